@@ -1,0 +1 @@
+"""Operators of the faded heavy-hitter engine."""

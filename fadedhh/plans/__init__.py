@@ -1,0 +1 @@
+"""Plans of the faded heavy-hitter engine."""

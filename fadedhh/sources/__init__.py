@@ -1,0 +1 @@
+"""Sources of the faded heavy-hitter engine."""

@@ -1,0 +1 @@
+"""Streaming of the faded heavy-hitter engine."""
