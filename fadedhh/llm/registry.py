@@ -2,15 +2,19 @@
 
 from __future__ import annotations
 
-from . import langid
+from . import chatfmt, langid, linededup, mixing, quality
 from .common import table
 
 
 def queries() -> dict:
     return {
         "op1_language_id": lambda s, d: langid.language_id(table(s, d, "documents")),
+        "op4_line_dedup": lambda s, d: linededup.line_query(table(s, d, "documents")),
+        "op6_quality_rules": lambda s, d: quality.quality_query(table(s, d, "documents"), table(s, d, "labels")),
+        "op8_source_mixing": lambda s, d: mixing.mixing_query(table(s, d, "documents")),
+        "op9_chat_format": lambda s, d: chatfmt.chat_query(table(s, d, "conversations")),
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op4_line_dedup": linededup.ORACLE, "op9_chat_format": chatfmt.ORACLE}
