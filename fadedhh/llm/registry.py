@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import chatfmt, decontam, langid, linededup, mixing, neardup, quality
+from . import chatfmt, decontam, langid, linededup, mixing, neardup, quality, suffixdedup
 from .common import table
 
 
@@ -13,6 +13,7 @@ def queries() -> dict:
         "op4_line_dedup": lambda s, d: linededup.line_query(table(s, d, "documents")),
         "op5_decontamination": lambda s, d: decontam.decontam_query(table(s, d, "documents"), table(s, d, "benchmark")),
         "op6_quality_rules": lambda s, d: quality.quality_query(table(s, d, "documents"), table(s, d, "labels")),
+        "op7_repeated_substrings": lambda s, d: suffixdedup.substring_query(table(s, d, "documents")),
         "op8_source_mixing": lambda s, d: mixing.mixing_query(table(s, d, "documents")),
         "op9_chat_format": lambda s, d: chatfmt.chat_query(table(s, d, "conversations")),
     }
