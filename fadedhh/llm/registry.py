@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import chatfmt, decontam, langid, linededup, mixing, neardup, quality, suffixdedup
+from . import chatfmt, decontam, embdedup, langid, linededup, mixing, neardup, quality, suffixdedup
 from .common import table
 
 
@@ -16,8 +16,9 @@ def queries() -> dict:
         "op7_repeated_substrings": lambda s, d: suffixdedup.substring_query(table(s, d, "documents")),
         "op8_source_mixing": lambda s, d: mixing.mixing_query(table(s, d, "documents")),
         "op9_chat_format": lambda s, d: chatfmt.chat_query(table(s, d, "conversations")),
+        "op10_embedding_near_duplicates": lambda s, d: embdedup.link_vectors(table(s, d, "embeddings")),
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_near_duplicates": neardup.ORACLE, "op5_decontamination": decontam.ORACLE, "op4_line_dedup": linededup.ORACLE, "op9_chat_format": chatfmt.ORACLE}
+    return {"op10_embedding_near_duplicates": embdedup.ORACLE, "op2_near_duplicates": neardup.ORACLE, "op5_decontamination": decontam.ORACLE, "op4_line_dedup": linededup.ORACLE, "op9_chat_format": chatfmt.ORACLE}
