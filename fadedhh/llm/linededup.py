@@ -58,10 +58,10 @@ def repeated_runs(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", m
     windows = settle(_windows(docs, doc_id, text, min_chars, max_lines))
     place = F.struct("d", "th", F.col("at").alias("p"))
     prints = windows.groupBy("fp").agg(F.min(place).alias("a"), F.max(place).alias("z")).where("a <> z").select("fp")
-    shared = windows.join(settle(prints), "fp", "left_semi")
+    shared = windows.join(settle(prints).hint("merge"), "fp", "left_semi")
     start = F.struct("d", "th", F.col("s").cast("long").alias("p"))
     first = shared.groupBy("run", "n").agg(F.min(start).alias("a"), F.max(start).alias("z")).where("a <> z").select(F.col("run").alias("r"), F.col("n").alias("m"), "a")
-    marks = windows.join(settle(first), F.expr("run = r and n = m")).where(start > F.col("a")).select("d", "th", "s", (F.col("s") + F.col("n") - 1).alias("e")).distinct()
+    marks = windows.join(settle(first).hint("merge"), F.expr("run = r and n = m")).where(start > F.col("a")).select("d", "th", "s", (F.col("s") + F.col("n") - 1).alias("e")).distinct()
     order = W.partitionBy("d", "th").orderBy("s", "e")
     reach = F.max("e").over(order.rowsBetween(W.unboundedPreceding, -1))
     islands = marks.withColumn("fresh", F.when(reach.isNull() | (F.col("s") > reach + 1), 1).otherwise(0))
@@ -80,7 +80,7 @@ def dedup_lines(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", min
     runs = repeated_runs(docs, doc_id, text, min_chars, max_lines)
     runs = settle(runs.select(F.col("d").alias("ld_d"), F.col("th").alias("ld_th"), F.col("spans").alias("ld_spans")))
     keyed = docs.withColumn("ld_th2", F.xxhash64(F.coalesce(F.col(text), F.lit(""))))
-    joined = keyed.join(runs, F.col(doc_id).eqNullSafe(F.col("ld_d")) & (F.col("ld_th2") == F.col("ld_th")), "left")
+    joined = keyed.join(runs.hint("merge"), F.col(doc_id).eqNullSafe(F.col("ld_d")) & (F.col("ld_th2") == F.col("ld_th")), "left")
     lines = F.split(F.coalesce(F.col(text), F.lit("")), "\n")
     joined = joined.withColumn("ld_ls", lines)
     size = F.size("ld_ls")
