@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import chatfmt, decontam, embdedup, langid, linededup, mixing, neardup, quality, suffixdedup
+from . import chatfmt, decontam, embdedup, langid, linededup, maxent, mixing, neardup, quality, suffixdedup
 from .common import table
 
 
@@ -10,6 +10,7 @@ def queries() -> dict:
     return {
         "op1_language_id": lambda s, d: langid.language_id(table(s, d, "documents")),
         "op2_near_duplicates": lambda s, d: neardup.near_duplicates(table(s, d, "documents")),
+        "op3_lm_scores": lambda s, d: maxent.lm_scores(table(s, d, "documents")),
         "op4_line_dedup": lambda s, d: linededup.line_query(table(s, d, "documents")),
         "op5_decontamination": lambda s, d: decontam.decontam_query(table(s, d, "documents"), table(s, d, "benchmark")),
         "op6_quality_rules": lambda s, d: quality.quality_query(table(s, d, "documents"), table(s, d, "labels")),
