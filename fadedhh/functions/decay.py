@@ -107,13 +107,13 @@ def check_contract(stream: DataFrame, spec: DecaySpec, landmark: int, nows: list
     other than 1 at age 0. All but the first must be 0."""
     out = None
     for k, now in enumerate(nows):
-        w = forward_weight(F.col("at"), now, landmark, spec)
-        before = forward_weight(F.col("at"), nows[k - 1], landmark, spec) if k else w
-        seen = stream.where((F.col("at") > landmark) & (F.col("at") <= (nows[k - 1] if k else now)))
+        w = forward_weight(F.col("tick"), now, landmark, spec)
+        before = forward_weight(F.col("tick"), nows[k - 1], landmark, spec) if k else w
+        seen = stream.where((F.col("tick") > landmark) & (F.col("tick") <= (nows[k - 1] if k else now)))
         one = seen.agg(
             F.lit(k).alias("step"), F.count("*").alias("n"),
             F.count_if((w < 0) | (w > 1)).alias("out_of_range"), F.count_if(w > before).alias("grew"),
-            F.count_if((F.col("at") == now) & (w != 1)).alias("not_one_at_zero"),
+            F.count_if((F.col("tick") == now) & (w != 1)).alias("not_one_at_zero"),
         )
         out = one if out is None else out.union(one)
     return out

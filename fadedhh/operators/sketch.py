@@ -1,6 +1,6 @@
 """The faded sketch on Spark: local sketches, their reduction, and the two-stage query.
 
-Streams are DataFrames with item (long), at (long ticks) and ord (a total order); ``weigh`` adds x, the raw
+Streams are DataFrames with item (long), tick (long) and ord (a total order); ``weigh`` adds x, the raw
 forward weight. Cells are rows (row, col, i1, f1, i2, f2); an absent row is an empty cell.
 """
 
@@ -23,14 +23,14 @@ CELLS = "row int, col int, i1 long, f1 double, i2 long, f2 double"
 
 def admissible(stream: DataFrame, landmark: int, now: int) -> DataFrame:
     """Rows with an item whose time is after the landmark and not after the query."""
-    return stream.where((F.col("at") > landmark) & (F.col("at") <= now) & F.col("item").isNotNull())
+    return stream.where((F.col("tick") > landmark) & (F.col("tick") <= now) & F.col("item").isNotNull())
 
 
 def weigh(stream: DataFrame, params: SketchParams, now: int, measure: str | None = None) -> DataFrame:
     """Adds x. ``measure`` is a non-negative column that multiplies the weight; negative or null measures go."""
     params.decay.check_span(now - params.landmark)
     rows = admissible(stream, params.landmark, now)
-    x = forward_raw(F.col("at"), params.landmark, params.decay)
+    x = forward_raw(F.col("tick"), params.landmark, params.decay)
     if measure:
         rows = rows.where(F.col(measure) >= 0)
         x = x * F.col(measure)
@@ -110,7 +110,7 @@ def merge_folded(local: DataFrame, shards: int, fan_in: int = 64) -> DataFrame:
     level, left = local, shards
     while True:
         left = -(-left // fan_in)
-        grouped = level.withColumn("shard", F.floor(F.col("shard") / fan_in).cast("int").alias("shard") if left > 1 else F.lit(0)).withColumn("from", level["shard"])
+        grouped = level.select(F.floor(F.col("shard") / fan_in).cast("int").alias("shard"), F.col("shard").alias("from"), "row", "col", "cell")
         level = grouped.groupBy("shard", "row", "col").agg(F.sort_array(F.collect_list(F.struct("from", "cell"))).alias("parts"))
         level = level.select("shard", "row", "col", cell.fold(F.transform("parts", lambda x: x["cell"])).alias("cell"))
         if left <= 1:
