@@ -6,12 +6,14 @@ One 63-bit hash per shingle; a document's sketch is its k smallest distinct hash
 2. Inverted lists of retained values count how many classes hold each. Similar sets share at least
    ``least_shared`` of k values (all but one pair in a million), so a class need only be listed under its
    ``k - least_shared + 1`` rarest values: very common passages drop out of the lists by themselves.
-3. Each class meets the first class of the list it shares most values with; the union-sketch estimate
-   filters, the exact Jaccard of full sets confirms, confirmed links give first components.
-4. In lists that still hold several components, classes outside the list's largest component meet all
-   members of other components (same filter, same confirmation). Groups of copies are one component by then,
-   so no group is expanded into its pairs, and no list is cut.
-5. Components of all links.
+3. Classes that share a list get a second, larger sketch of their full sets (most sets fit it whole) and new lists by
+   the same rule, with the place of each value in the class's order of rarity.
+4. Each class meets the most central classes of its lists; the exact Jaccard of full sets confirms, and confirmed links
+   give first components. Groups of copies become one component here, from a linear number of meetings.
+5. In lists that still hold several components, classes outside the largest meet members of other components,
+   if the sizes and the places of the shared value leave room for the overlap (every pair meets at its rarest shared
+   value, where that bound is exact). The union-sketch estimate filters and full sets confirm again. No list is cut.
+6. Components of all links.
 """
 
 from __future__ import annotations
@@ -28,6 +30,8 @@ from .common import connected_components, settle
 
 WIDTH = 5
 K = 48
+K_FULL = 512
+HEADS = 3
 PERCENT = 75
 
 
@@ -95,74 +99,90 @@ def full_sets(docs: DataFrame, wanted: DataFrame, doc_id: str, text: str, width:
                 sets = list(shingle_sets(b.column(1).slice(i, j - i), width))
                 yield pa.RecordBatch.from_arrays([b.column(0).slice(i, j - i), pa.array([len(u) for u in sets], pa.int64()), _lists(sets)], names=["d", "n", "st"])
 
-    rows = docs.select(F.col(doc_id).cast("long").alias("d"), F.col(text).alias("t")).join(wanted.select(F.col("rep").alias("d")), "d", "left_semi")
+    rows = docs.select(F.col(doc_id).cast("long").alias("d"), F.col(text).alias("t")).join(wanted.select(F.col("rep").alias("d")).hint("merge"), "d", "left_semi")
     return rows.mapInArrow(run, "d long, n long, st array<long>")
 
 
-def _estimate_ok(sa: str, sb: str, k: int, need: int):
+def _listing(sketches: DataFrame, shared: DataFrame, k: int, percent: int) -> DataFrame:
+    """(rep, n, size, c, pv, at): per class the shared values it is listed under, rarest first, the place of the first of
+    them among its ``size`` sketch values, and how many of those are shared at all. ``shared`` has (v, df), df > 1.
+
+    A set of at most k * percent / 100 values and every similar one lie whole in their sketches: there the overlap
+    needed is exact. Else it is the sampled one, or the exact one where that is smaller.
+    """
+    need = least_shared(k, percent)
+    hits = sketches.select("rep", F.explode("sk").alias("v")).join(shared.hint("merge"), "v")
+    lists = hits.groupBy("rep").agg(F.sort_array(F.collect_list(F.struct("df", "v"))).alias("dv"))
+    both = lists.join(sketches.select("rep", "n", F.size("sk").alias("size")).hint("merge"), "rep")
+    overlap = F.when(F.col("n") <= k * percent // 100, F.ceil(F.col("n") * percent / 100)).otherwise(F.least(F.lit(need), F.ceil(F.col("n") * percent / 100)))
+    both = both.withColumn("c", F.size("dv")).withColumn("spare", (F.col("c") - overlap + 1).cast("int")).where("spare > 0")
+    return both.select("rep", "n", "size", "c", F.transform(F.slice("dv", F.lit(1), F.col("spare")), lambda x: x["v"]).alias("pv"), (F.col("size") - F.col("c")).alias("at"))
+
+
+def _estimate_ok(sa: str, sb: str, k: int, need: int, percent: int):
     """Union-sketch estimate: of the k smallest values of both sketches, how many lie in both."""
     both = F.array_intersect(sa, sb)
     union = F.slice(F.array_sort(F.array_union(sa, sb)), 1, k)
-    small = F.size(union) < k
     shared = F.size(F.array_intersect(both, union))
-    return F.when(small, F.size(both) * 100 >= PERCENT * F.size(union)).otherwise(shared >= need)
+    return F.when(F.size(union) < k, F.size(both) * 100 >= percent * F.size(union)).otherwise(shared >= need)
 
 
 def _confirm(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """Pairs (a, b) whose full sets reach the similarity."""
     left = sets.select(F.col("d").alias("a"), F.col("n").alias("na"), F.col("st").alias("sa"))
     right = sets.select(F.col("d").alias("b"), F.col("n").alias("nb"), F.col("st").alias("sb"))
-    both = pairs.join(left, "a").join(right, "b")
+    both = pairs.join(left.hint("merge"), "a").join(right.hint("merge"), "b")
     both = both.withColumn("x", F.size(F.array_intersect("sa", "sb")).cast("long"))
     return both.where(F.col("x") * 100 >= percent * (F.col("na") + F.col("nb") - F.col("x"))).select("a", "b")
 
 
-def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = WIDTH, percent: int = PERCENT, k: int = K) -> DataFrame:
+def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", width: int = WIDTH, percent: int = PERCENT, k: int = K, k_full: int = K_FULL) -> DataFrame:
     """(doc_id, n_shingles, component_id, kept) for every row.
 
     Documents shorter than the shingle width count their whole sequence as one shingle; null texts and texts
     without words have no shingle and link with nothing. Rows that repeat an id come out once each. A row without id
     takes the component of its class, or null. Two sets are told apart by 126 bits, shingles by 63.
     """
-    need = least_shared(k, percent)
     d = settle(sketch_table(docs, doc_id, text, width, k))
     classes = settle(d.where("n > 0 and d is not null").groupBy("n", "f1", "f2").agg(F.min("d").alias("rep"), F.first("sk").alias("sk")))
-    exploded = classes.select("rep", F.explode("sk").alias("v"))
-    shared = settle(exploded.groupBy("v").agg(F.count("*").alias("df")).where("df > 1"))
-    hits = exploded.join(shared, "v")
-    listed = hits.groupBy("rep").agg(F.sort_array(F.collect_list(F.struct("df", "v"))).alias("pv"))
-    listed = listed.join(classes.select("rep", "n", "sk"), "rep")
-    width_ok = F.when(F.col("n") <= k * percent // 100, F.ceil(F.col("n") * percent / 100)).otherwise(F.least(F.lit(need), F.col("n")))
-    spare = F.size("sk") - width_ok + 1 - (F.size("sk") - F.size("pv"))
-    listed = listed.withColumn("pv", F.expr("transform(pv, x -> x.v)")).withColumn("spare", spare.cast("int")).where("spare > 0").withColumn("pv", F.slice("pv", F.lit(1), F.col("spare")))
-    listed = settle(listed.select("rep", "n", "sk", "pv"))
+    count = lambda sketches: settle(sketches.select(F.explode("sk").alias("v")).groupBy("v").agg(F.count("*").alias("df")).where("df > 1"))
+    listed = settle(_listing(classes, count(classes), k, percent))
     lists = listed.select("rep", F.explode("pv").alias("v"))
-    heads = settle(lists.groupBy("v").agg(F.min("rep").alias("head"), F.count("*").alias("m")).where("m > 1").select("v", "head"))
-    member = settle(lists.join(heads, "v"))
-    wanted = member.select("rep").distinct()
-    sets = settle(full_sets(docs, settle(wanted), doc_id, text, width))
-    side = lambda p: listed.select(F.col("rep").alias(p), F.col("n").alias(f"n{p}"), F.col("sk").alias(f"s{p}"))
-    near = lambda: (F.col("na") * 100 >= percent * F.col("nb")) & (F.col("nb") * 100 >= percent * F.col("na"))
-
-    meet = settle(member.where("rep <> head").groupBy(F.col("rep").alias("a"), F.col("head").alias("b")).agg(F.count("*").alias("c")))
-    meet = meet.join(side("a"), "a").join(side("b"), "b").where(near()).where(_estimate_ok("sa", "sb", k, need))
-    best = settle(meet.groupBy("a").agg(F.max(F.struct("c", F.col("b"))).alias("m")).select("a", "m.b"))
+    heads = settle(lists.groupBy("v").agg(F.count("*").alias("m")).where("m > 1").select("v"))
+    sets = settle(full_sets(docs, settle(lists.join(heads.hint("merge"), "v").select("rep").distinct()), doc_id, text, width))
+
+    large = sets.select(F.col("d").alias("rep"), "n", F.slice("st", 1, k_full).alias("sk"))
+    listed = settle(_listing(large, count(large), k_full, percent))
+    lists = listed.select("rep", "n", "size", "c", F.posexplode("pv").alias("i", "v"), "at").withColumn("at", (F.col("at") + F.col("i")).cast("int")).drop("i")
+    rank = F.struct(F.floor(F.col("c") * 1000 / F.col("size")).alias("c"), (-F.col("rep")).alias("r"))
+    heads = settle(lists.groupBy("v").agg(F.count("*").alias("m"), F.max(rank).alias("h")).where("m > 1").select("v", (-F.col("h.r")).alias("head")))
+    member = settle(lists.join(heads.hint("merge"), "v"))
+
+    meet = member.where("rep <> head").groupBy("rep", "head").agg(F.count("*").alias("m"))
+    best = meet.groupBy("rep").agg(F.slice(F.sort_array(F.collect_list(F.struct((-F.col("m")).alias("m"), "head"))), 1, HEADS).alias("h"))
+    best = settle(best.select(F.col("rep").alias("a"), F.explode(F.transform("h", lambda x: x["head"])).alias("b")))
     first = settle(_confirm(best, sets, percent))
     comp = connected_components(first).select(F.col("node").alias("rep"), "comp")
 
-    placed = settle(member.select("v", "rep").join(comp, "rep", "left").select("v", "rep", F.coalesce("comp", "rep").alias("comp")))
+    placed = settle(member.drop("head").join(comp.hint("merge"), "rep", "left").withColumn("comp", F.coalesce("comp", "rep")))
     groups = placed.groupBy("v", "comp").agg(F.count("*").alias("m"))
-    mixed = groups.groupBy("v").agg(F.count("*").alias("kinds"), F.max(F.struct("m", "comp")).alias("big")).where("kinds > 1").select("v", F.col("big.comp").alias("big"))
-    full = placed.join(settle(mixed), "v").join(listed.select("rep", "n", "sk"), "rep")
-    full = settle(full)
-    out = full.where("comp <> big").select("v", F.col("rep").alias("a"), F.col("comp").alias("ca"), F.col("n").alias("na"), F.col("sk").alias("sa"))
-    all_ = full.select("v", F.col("rep").alias("b"), F.col("comp").alias("cb"), F.col("n").alias("nb"), F.col("sk").alias("sb"), "big")
-    apart = (F.col("ca") != F.col("cb")) & ((F.col("cb") == F.col("big")) | (F.col("a") < F.col("b")))
-    pairs = out.join(all_, "v").where(apart & near() & _estimate_ok("sa", "sb", k, need)).select("a", "b").distinct()
+    mixed = settle(groups.groupBy("v").agg(F.count("*").alias("kinds"), F.max(F.struct("m", "comp")).alias("big")).where("kinds > 1").select("v", F.col("big.comp").alias("big")))
+    open_ = settle(placed.join(mixed.hint("merge"), "v"))
+    side = lambda p: [F.col(x).alias(f"{x}_{p}") for x in ("rep", "comp", "n", "size", "at")]
+    apart = (F.col("comp_a") != F.col("comp_b")) & ((F.col("comp_b") == F.col("big")) | (F.col("rep_a") < F.col("rep_b")))
+    sizes = (F.col("n_a") * 100 >= percent * F.col("n_b")) & (F.col("n_b") * 100 >= percent * F.col("n_a"))
+    whole = (F.col("n_a") <= k_full) & (F.col("n_b") <= k_full)
+    needed = F.when(whole, (F.col("n_a") + F.col("n_b")) * percent / (100 + percent)).otherwise(F.lit(float(least_shared(k_full, percent))))
+    room = F.least(F.col("size_a") - F.col("at_a"), F.col("size_b") - F.col("at_b")) >= needed - 1e-9
+    outside = open_.where("comp <> big").select("v", *side("a"))
+    pairs = outside.join(open_.select("v", "big", *side("b")).hint("merge"), "v").where(apart & sizes & room).select(F.col("rep_a").alias("a"), F.col("rep_b").alias("b")).distinct()
+    sk = classes.select("rep", "sk")
+    pairs = settle(pairs).join(sk.select(F.col("rep").alias("a"), F.col("sk").alias("sa")).hint("merge"), "a").join(sk.select(F.col("rep").alias("b"), F.col("sk").alias("sb")).hint("merge"), "b")
+    pairs = pairs.where(_estimate_ok("sa", "sb", k, least_shared(k, percent), percent)).select("a", "b")
     second = settle(_confirm(settle(pairs), sets, percent))
     final = connected_components(first.union(second)).select(F.col("node").alias("rep"), "comp")
     place = settle(classes.select("n", "f1", "f2", "rep").join(final, "rep", "left").select(F.col("n").alias("cn"), F.col("f1").alias("c1"), F.col("f2").alias("c2"), F.coalesce("comp", "rep").alias("comp")))
-    res = d.select("d", "n", "f1", "f2").join(place, F.expr("n = cn and f1 = c1 and f2 = c2"), "left")
+    res = d.select("d", "n", "f1", "f2").join(place.hint("merge"), F.expr("n = cn and f1 = c1 and f2 = c2"), "left")
     component = F.coalesce("comp", "d")
     return res.select(F.col("d").alias("doc_id"), F.col("n").alias("n_shingles"), component.alias("component_id"), F.coalesce(F.col("d") == component, F.lit(False)).alias("kept"))
 
