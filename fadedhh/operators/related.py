@@ -130,3 +130,8 @@ def builtin_top_k(stream: DataFrame, k: int, capacity: int = 10_000) -> DataFram
     """(item, n): the engine's own un-decayed approximate top k."""
     top = stream.agg(F.expr(f"approx_top_k(item, {k}, {max(capacity, k)})").alias("t"))
     return top.select(F.explode("t").alias("r")).select(F.col("r.item").alias("item"), F.col("r.count").alias("n"))
+
+
+def builtin_count_min(stream: DataFrame, eps: float, confidence: float, seed: int = 1) -> DataFrame:
+    """One row, sketch: the engine's own un-decayed Count-Min sketch, serialised."""
+    return stream.agg(F.count_min_sketch("item", F.lit(eps), F.lit(confidence), F.lit(seed)).alias("sketch"))

@@ -62,6 +62,14 @@ def table_function():
     return udtf(FadedHeavyHitters, returnType="item: long, est: double")
 
 
+def cell_fold(weighted: DataFrame, *keys: str, k: int = 2) -> DataFrame:
+    """(keys, cell): the summary of each group's occurrences in stream order, as an aggregate of built-in functions."""
+    from fadedhh.functions import cell
+
+    seq = weighted.where("x > 0").groupBy(*keys).agg(F.sort_array(F.collect_list(F.struct("ord", "item", "x"))).alias("s"))
+    return seq.select(*keys, cell.fold(F.transform("s", lambda r: cell.singleton(r["item"], r["x"])), k).alias("cell"))
+
+
 def views(cells: DataFrame, count: DataFrame, params: SketchParams, phi: float, now: int, prefix: str = "") -> None:
     """Temporary views <prefix>sketch_cells, <prefix>sketch_meta and <prefix>heavy_hitters."""
     cells.createOrReplaceTempView(f"{prefix}sketch_cells")
