@@ -5,8 +5,8 @@ A byte goes if a 100-byte string that covers it also starts earlier (smaller id,
 1. Winnowed anchors: in every 100-byte window the 32-byte gram of smallest hash. Equal windows have equal
    anchors at equal offsets, so only anchors found in two different texts, or twice in one, matter.
    Counting is one shuffle of (anchor, block) rows, pre-aggregated per batch.
-2. Each block of documents gets its repeated anchors back and cuts the context of each, all windows that hold
-   it (up to 168 bytes). Equal contexts of a block travel once; the later ones are covered whole.
+2. Each block of documents gets its repeated anchors back and cuts the context of each: the windows that chose it
+   (up to 168 bytes). Equal contexts of a block travel once; the later ones are covered whole.
 3. Contexts meet by anchor. Equal ones again leave the first; the rest go through suffix arrays: suffixes sort
    by their first 100 bytes, previous and next smaller positions in that order give the earlier match of
    each, and windows with one are marked. An anchor with very many contexts sends its windows one by one,
@@ -59,44 +59,46 @@ class Rolling:
         return tb.mix64((self.sum[end] - self.sum[begin]) * self.back[begin] + (end - begin).astype(np.uint64))
 
 
-def _slide(x: np.ndarray, width: int, best) -> np.ndarray:
+def _slide(x: np.ndarray, width: int) -> np.ndarray:
+    """Minimum of every window of ``width``."""
     span = 1
     while span < width:
         step = min(span, width - span)
-        x = best(x[:-step], x[step:]) if len(x) > step else x[:0]
+        x = np.minimum(x[:-step], x[step:]) if len(x) > step else x[:0]
         span += step
     return x
 
 
-def anchors(data: np.ndarray, offsets: np.ndarray, length: int, gram: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, Rolling]:
-    """(byte position, gram hash, row) of the winnowed grams, and the hasher."""
+def anchors(data: np.ndarray, offsets: np.ndarray, length: int, gram: int) -> tuple[np.ndarray, ...]:
+    """(gram hash, row, first window, last window, hasher) of the winnowed grams: each ``length``-byte window of a row
+    belongs to its leftmost gram of smallest hash, and the windows of a gram are consecutive starts."""
     roll = Rolling(data)
     n, width = len(data), length - gram + 1
     none = np.zeros(0, np.int64)
     if n < length:
-        return none, np.zeros(0, np.uint64), none, roll
+        return np.zeros(0, np.uint64), none, none, none, roll
     at = np.arange(n - gram + 1)
     g = roll.of(at, at + gram)
-    end = np.repeat(offsets[1:], np.diff(offsets))
-    short = (g >> np.uint64(32)).astype(np.uint32)
-    inside = at + gram <= end[: len(at)]
-    short[~inside] = 0xFFFFFFFF
-    low = _slide(short, width, np.minimum)
-    valid = np.arange(len(low)) + length <= end[: len(low)]
-    low = np.where(valid, low, 0)
-    padded = np.concatenate([np.zeros(width - 1, np.uint32), low, np.zeros(width - 1, np.uint32)])
-    chosen = np.flatnonzero((_slide(padded, width, np.maximum)[: len(short)] >= short) & inside)
-    return chosen, g[chosen], np.searchsorted(offsets, chosen, side="right") - 1, roll
+    low = _slide((g & np.uint64(0xFFFFFFFF00000000)) | at.astype(np.uint64), width)
+    low = (low & np.uint64(0xFFFFFFFF)).astype(np.int64)
+    size = np.maximum(np.diff(offsets) - length + 1, 0)
+    start = np.repeat(offsets[:-1], size) + np.arange(size.sum()) - np.repeat(np.cumsum(size) - size, size)
+    row = np.repeat(np.arange(len(size)), size)
+    mine = low[start]
+    head = np.flatnonzero(np.concatenate([[True], (mine[1:] != mine[:-1]) | (row[1:] != row[:-1])])) if len(mine) else none
+    last = np.append(head[1:], len(mine)) - 1
+    return g[mine[head]], row[head], start[head], start[last], roll
 
 
 def _count(batches, length: int, gram: int):
-    """(fp, blk, lo, hi, twice, n): anchors of a run of rows, one row per anchor and block."""
+    """(fp, blk, th, many, n): anchors of a run of rows, one row per anchor and block: the hash of a text that holds it,
+    whether another text does or the same one twice, and how often it occurs."""
     for b in batches:
         data, off = tb.raw(b.column(2))
         blk, th = (b.column(k).to_numpy(zero_copy_only=False) for k in (0, 1))
         for i, j in tb.runs_of_rows(off, 1 << 22):
-            pos, g, row, _ = anchors(data[off[i] : off[j]], off[i : j + 1] - off[i], length, gram)
-            if not len(pos):
+            g, row, _, _, _ = anchors(data[off[i] : off[j]], off[i : j + 1] - off[i], length, gram)
+            if not len(g):
                 continue
             row = row + i
             order = np.lexsort((row, blk[row], g))
@@ -104,10 +106,10 @@ def _count(batches, length: int, gram: int):
             k, t = blk[row], th[row]
             same = (g[1:] == g[:-1]) & (k[1:] == k[:-1])
             head = np.flatnonzero(np.concatenate([[True], ~same]))
-            twin = np.concatenate([[False], same & (row[1:] == row[:-1])])
+            other = np.concatenate([[False], same & ((row[1:] == row[:-1]) | (t[1:] != t[:-1]))])
             yield pa.RecordBatch.from_arrays(
-                [pa.array(g[head].view(np.int64)), pa.array(k[head]), pa.array(np.minimum.reduceat(t, head)), pa.array(np.maximum.reduceat(t, head)), pa.array(np.logical_or.reduceat(twin, head)), pa.array(np.diff(np.append(head, len(g))).astype(np.int64))],
-                names=["fp", "blk", "lo", "hi", "twice", "n"],
+                [pa.array(g[head].view(np.int64)), pa.array(k[head]), pa.array(t[head]), pa.array(np.logical_or.reduceat(other, head)), pa.array(np.diff(np.append(head, len(g))).astype(np.int32))],
+                names=["fp", "blk", "th", "many", "n"],
             )
 
 
@@ -161,15 +163,13 @@ def _contexts(texts: pa.Table, wanted: pa.Table, length: int, gram: int) -> pa.T
     done: list = []
     for i, j in tb.runs_of_rows(off, 1 << 22):
         part, o = data[off[i] : off[j]], off[i : j + 1] - off[i]
-        pos, g, row, roll = anchors(part, o, length, gram)
-        if not len(pos) or not len(fps):
+        g, row, begin, last, roll = anchors(part, o, length, gram)
+        if not len(g) or not len(fps):
             continue
         k = np.searchsorted(fps, g)
         k[k == len(fps)] = 0
         known = fps[k] == g
-        pos, g, row, hot = pos[known], g[known], row[known], hot_of[k[known]]
-        begin = np.maximum(o[row], pos - (length - gram))
-        end = np.minimum(o[row + 1], pos + length)
+        g, row, hot, begin, end = g[known], row[known], hot_of[k[known]], begin[known], last[known] + length
         if hot.any():
             m = np.maximum(0, end[hot] - begin[hot] - length + 1)
             wb = np.repeat(begin[hot], m) + np.arange(m.sum()) - np.repeat(np.cumsum(m) - m, m)
@@ -360,10 +360,10 @@ def remove_repeats(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     copies = whole.join(firsts.hint("merge"), F.expr("th = fh and t2 = f2 and n = fn")).where(F.struct("d") > F.col("f"))
     copies = copies.select("d", "th", F.lit(0).cast("long").alias("s"), F.col("n").alias("e"))
 
-    counted = rows.select("blk", "th", "t").mapInArrow(lambda it: _count(it, length, gram), "fp long, blk int, lo long, hi long, twice boolean, n long")
+    counted = rows.select("blk", "th", "t").mapInArrow(lambda it: _count(it, length, gram), "fp long, blk int, th long, many boolean, n int")
     same = W.partitionBy("fp")
-    judged = counted.select("fp", "blk", F.min("lo").over(same).alias("lo"), F.max("hi").over(same).alias("hi"), F.max("twice").over(same).alias("twice"), F.sum("n").over(same).alias("n"))
-    wanted = judged.where("lo <> hi or twice").select("blk", "fp", (F.col("n") > hot).alias("hot"))
+    judged = counted.select("fp", "blk", F.min("th").over(same).alias("lo"), F.max("th").over(same).alias("hi"), F.max("many").over(same).alias("many"), F.sum("n").over(same).alias("n"))
+    wanted = judged.where("lo <> hi or many").select("blk", "fp", (F.col("n") > hot).alias("hot"))
 
     def contexts(texts: pa.Table, fps: pa.Table) -> pa.Table:
         return _contexts(texts, fps, length, gram)
