@@ -350,8 +350,7 @@ def verified(s: wl.Stream, phi: float, w: int = 1360):
 
     def run(spark, sf_dir):
         weighted, p = s.weighted(spark, sf_dir), s.params(w=w)
-        answer = miner.mine_weighted(weighted, p).heavy_hitters(phi, s.now, strict=False)
-        return sketch.verify(answer, weighted, p, phi, s.now)
+        return miner.mine_weighted(weighted, p).verified(weighted, phi, s.now, strict=False)
 
     return run
 
@@ -372,8 +371,7 @@ SELECT item, f / {dbl(norm_of(_CUST))} AS f FROM f, c WHERE f > 0.014::DOUBLE *
 def _scoped(spark, sf_dir):
     c = load(spark, sf_dir, "customer").where("c_mktsegment = 'BUILDING'").select(F.col("c_custkey").alias("item"))
     weighted = _CUST.weighted(spark, sf_dir).join(c, "item", "left_semi")
-    answer = miner.mine_weighted(weighted, _CUST.params()).heavy_hitters(0.014, _CUST.now)
-    return sketch.verify(answer, weighted, _CUST.params(), 0.014, _CUST.now)
+    return miner.mine_weighted(weighted, _CUST.params()).verified(weighted, 0.014, _CUST.now)
 
 
 @query("labelled_hh_parts", f"SELECT item, p_name, h.f FROM ({hh_sql(PARTS, 0.0016, 'item, f / {norm} AS f')}) h JOIN part ON p_partkey = item")
@@ -387,9 +385,8 @@ _REV_W = f"SELECT * REPLACE (x * x0 AS x) FROM ({_REV.weighted_sql()})"
 
 @query("weighted_hh_revenue", hh_sql(_REV, 0.0017, "item, round(f / {norm}, 3) AS f", _REV_W))
 def _revenue(spark, sf_dir):
-    weighted, p = _REV.weighted(spark, sf_dir, "x0"), _REV.params()
-    answer = miner.mine_weighted(weighted, p).heavy_hitters(0.0017, _REV.now)
-    return sketch.verify(answer, weighted, p, 0.0017, _REV.now).select("item", F.round("f", 3).alias("f"))
+    weighted = _REV.weighted(spark, sf_dir, "x0")
+    return miner.mine_weighted(weighted, _REV.params()).verified(weighted, 0.0017, _REV.now).select("item", F.round("f", 3).alias("f"))
 
 
 _GROUPED = f"""WITH f AS (SELECT event_type, item, sum(x) AS f FROM ({_TYPED.weighted_sql()}) GROUP BY ALL) SELECT event_type, item, f FROM (SELECT *, sum(f) OVER (PARTITION BY event_type) AS c FROM f) WHERE f > 0.025::DOUBLE * c"""

@@ -61,6 +61,12 @@ def reduce_by_key(key: np.ndarray, cells: Cells) -> tuple[np.ndarray, Cells]:
     return key, cells
 
 
+def add_up(item: np.ndarray, weight: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct items with their summed weights, by Arrow's hash aggregation."""
+    got = pa.table({"i": item, "w": weight}).group_by("i", use_threads=False).aggregate([("w", "sum")])
+    return got.column("i").to_numpy(), got.column("w_sum").to_numpy()
+
+
 class NumpySketch:
     """One local sketch of d x w cells, with the raw decayed count."""
 
@@ -87,10 +93,11 @@ class NumpySketch:
             return
         self.count += float(weight.sum())
         p = self.params
-        if combine:
-            distinct, first, back = np.unique(item, return_index=True, return_inverse=True)
-            weight, item = np.bincount(back, weight), distinct
-            hashed = hashed[:, first] if hashed is not None else None
+        if combine and hashed is None:
+            item, weight = add_up(item, weight)
+        elif combine:
+            item, first, back = np.unique(item, return_index=True, return_inverse=True)
+            weight, hashed = np.bincount(back, weight), hashed[:, first]
         at = p.hashes.arrays(item) if hashed is None else hashed
         key = (at + np.arange(p.d)[:, None] * p.w).reshape(-1)
         items, weights = np.tile(item, p.d), np.tile(weight, p.d)

@@ -18,6 +18,8 @@ from fadedhh.shipping import ensure_shipped
 from .kernel import NumpySketch, reduce_by_key
 from .params import SketchParams
 
+#: Rows that the kernel takes in at once.
+PORTION = 1 << 19
 CELLS = "row int, col int, i1 long, f1 double, i2 long, f2 double"
 
 
@@ -76,13 +78,25 @@ def local_sketches(weighted: DataFrame, params: SketchParams, combine: bool = Tr
     number = F.col(shard) if shard else F.spark_partition_id()
     rows = weighted.select(number.cast("int").alias("shard"), "item", "x", *[c.alias(f"h{j}") for j, c in enumerate(cols)])
 
+    def portions(batches):
+        """Arrow batches joined up to a bounded number of rows, so that more equal items meet."""
+        part, size = [], 0
+        for b in batches:
+            part.append(b)
+            size += b.num_rows
+            if size >= PORTION:
+                yield pa.Table.from_batches(part)
+                part, size = [], 0
+        if part:
+            yield pa.Table.from_batches(part)
+
     def run(batches):
         held: dict[int, NumpySketch] = {}
-        for b in batches:
-            s, item, x = (b.column(k).to_numpy(zero_copy_only=False) for k in range(3))
-            hashed = np.stack([b.column(3 + j).to_numpy(zero_copy_only=False) for j in range(params.d)]).astype(np.int64) if jvm else None
+        for t in portions(batches):
+            s, item, x = (t.column(k).to_numpy() for k in range(3))
+            hashed = np.stack([t.column(3 + j).to_numpy() for j in range(params.d)]).astype(np.int64) if jvm else None
             for k in np.unique(s).tolist():
-                on = slice(None) if s[0] == k and (s == k).all() else s == k
+                on = slice(None) if (s == k).all() else s == k
                 held.setdefault(k, NumpySketch(params)).update(item[on], x[on], combine, hashed[:, on] if jvm else None)
         for k, sketch in held.items():
             yield sketch.rows(k)
@@ -117,27 +131,32 @@ def merge_folded(local: DataFrame, shards: int, fan_in: int = 64) -> DataFrame:
             return level.select("row", "col", "cell")
 
 
-def merge_sketches(local: DataFrame, params: SketchParams, partitions: int | None = None) -> DataFrame:
-    """Reduction of kernel output in one shuffle by cell: each task streams the partial cells of its share of
-    the grid through the vectorised merge, holding at most the grid and one batch. Returns cells."""
+def reduce_local(local: DataFrame, params: SketchParams, partitions: int | None = None) -> tuple[DataFrame, DataFrame]:
+    """(cells, count) of kernel output, by one shuffle that both share: each task streams the partial cells of its share
+    of the grid through the vectorised merge, holding at most the grid and one batch; counts add up on the way."""
     ensure_shipped(local.sparkSession)
-    w, size = params.w, params.d * params.w
+    w = params.w
     parts = partitions or int(local.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
     def run(batches):
         grid = NumpySketch(params)
         for b in batches:
-            c = [b.column(k) for k in range(6)]
-            key = c[0].to_numpy().astype(np.int64) * w + c[1].to_numpy()
-            cells = tuple(x.fill_null(0).to_numpy(zero_copy_only=False) for x in c[2:])
-            key, cells = reduce_by_key(key, cells)
+            row, col = (b.column(k).to_numpy().astype(np.int64) for k in (0, 1))
+            cells = tuple(b.column(k).fill_null(0).to_numpy(zero_copy_only=False) for k in range(2, 6))
+            grid.count += float(cells[1][row < 0].sum())
+            on = row >= 0
+            key, cells = reduce_by_key(row[on] * w + col[on], tuple(x[on] for x in cells))
             grid.absorb(key, cells)
-        out = grid.rows(0)
-        yield out.slice(0, out.num_rows - 1).select(["row", "col", "i1", "f1", "i2", "f2"])
+        yield grid.rows(0).select(["row", "col", "i1", "f1", "i2", "f2"])
 
-    assert size > 0
-    rows = local.where("row >= 0").select("row", "col", "i1", "f1", "i2", "f2")
-    return rows.repartition(min(parts, 64), "row", "col").mapInArrow(run, CELLS)
+    rows = local.select("row", "col", "i1", "f1", "i2", "f2").repartition(min(parts, 64), "row", "col")
+    merged = rows.mapInArrow(run, CELLS)
+    return merged.where("row >= 0"), merged.where("row = -1").agg(F.coalesce(F.sum("f1"), F.lit(0.0)).alias("c"))
+
+
+def merge_sketches(local: DataFrame, params: SketchParams, partitions: int | None = None) -> DataFrame:
+    """The merged cells alone."""
+    return reduce_local(local, params, partitions)[0]
 
 
 def unpack(cells: DataFrame) -> DataFrame:
@@ -191,11 +210,12 @@ def heavy_hitters(cells: DataFrame, count: DataFrame, params: SketchParams, phi:
     return kept.select("item", (F.col("est") / F.lit(params.decay.g(now - params.landmark))).alias("est"))
 
 
-def verify(answer: DataFrame, weighted: DataFrame, params: SketchParams, phi: float, now: int) -> DataFrame:
-    """(item, f): exact decayed frequencies of the answer's items by a second scan, those above the threshold.
-    The answer has fewer than d / phi rows, so it may be broadcast."""
+def verify(answer: DataFrame, weighted: DataFrame, params: SketchParams, phi: float, now: int, count: DataFrame | None = None) -> DataFrame:
+    """(item, f): exact decayed frequencies of the answer's items by a second scan, those above the threshold. ``count`` is
+    the sketch's raw count; without it a further scan finds it. The answer has fewer than d / phi rows, so it may
+    be broadcast."""
     exact = weighted.join(F.broadcast(answer.select("item")), "item", "left_semi").groupBy("item").agg(F.sum("x").alias("f"))
-    kept = exact.crossJoin(F.broadcast(global_count(weighted))).where(F.col("f") > F.lit(phi) * F.col("c"))
+    kept = exact.crossJoin(F.broadcast(global_count(weighted) if count is None else count)).where(F.col("f") > F.lit(phi) * F.col("c"))
     return kept.select("item", (F.col("f") / F.lit(params.decay.g(now - params.landmark))).alias("f"))
 
 

@@ -24,6 +24,10 @@ class Mined:
     def estimate(self, items: DataFrame, now: int) -> DataFrame:
         return sketch.point_estimate(self.cells, self.params, items, now)
 
+    def verified(self, weighted: DataFrame, phi: float, now: int, strict: bool = True) -> DataFrame:
+        """(item, f): the answer with exact frequencies from a second scan; no item below the threshold is left."""
+        return sketch.verify(self.heavy_hitters(phi, now, strict), weighted, self.params, phi, now, self.count)
+
     def top_k(self, k: int, now: int) -> DataFrame:
         return sketch.top_k(self.cells, self.params, k, now)
 
@@ -31,7 +35,7 @@ class Mined:
 def mine_weighted(weighted: DataFrame, params: SketchParams, shard: str | None = None, combine: bool = True) -> Mined:
     """Sketches a weighted stream by the kernel. Without a shard column each input partition is a shard."""
     local = sketch.local_sketches(weighted, params, combine, shard)
-    return Mined(sketch.merge_sketches(local, params), sketch.count_from_local(local), params)
+    return Mined(*sketch.reduce_local(local, params), params)
 
 
 def mine(stream: DataFrame, params: SketchParams, phi: float, now: int, measure: str | None = None, strict: bool = True) -> DataFrame:
@@ -56,7 +60,7 @@ def mine_grouped(weighted: DataFrame, params: SketchParams, group: str, phi: flo
     out = None
     for k, v in enumerate(values, 1):
         mine_ = local.where(F.col("shard") == k)
-        got = sketch.heavy_hitters(sketch.merge_sketches(mine_, params), sketch.count_from_local(mine_), params, phi, now, strict=False)
+        got = sketch.heavy_hitters(*sketch.reduce_local(mine_, params), params, phi, now, strict=False)
         got = got.select(F.lit(v).alias(group), "item", "est")
         out = got if out is None else out.union(got)
     return out

@@ -234,8 +234,7 @@ def accuracy(spark: SparkSession, sf_dir: str, vary: str) -> DataFrame:
     out = None
     for value in SWEEPS[vary]:
         weighted, params, phi, now = point(spark, sf_dir, vary, value)
-        local = sketch.local_sketches(weighted, params)
-        cells, count = sketch.merge_sketches(local, params), sketch.count_from_local(local)
+        cells, count = sketch.reduce_local(sketch.local_sketches(weighted, params), params)
         norm = params.decay.g(now - params.landmark)
         answer = sketch.heavy_hitters(cells, count, params, phi, now, strict=False)
         exact = decayed_frequency(weighted).withColumn("f", F.col("f") / F.lit(norm))
