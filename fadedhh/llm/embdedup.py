@@ -143,11 +143,11 @@ def _grouped(batches, threshold: float):
 def link_vectors(emb: DataFrame, vec_id: str = "vec_id", vector: str = "embedding", label: str = "label", threshold: float = THRESHOLD, width: float = WIDTH, recall: float = RECALL, block: int = BLOCK) -> DataFrame:
     """(vec_id, n_links, component_id, kept) for every row.
 
-    Null labels, null or zero vectors and vectors with null or non-finite parts link with nothing. Shorter vectors
+    Labels of any type are compared by a 64-bit hash. Null labels, null or zero vectors and vectors with null or non-finite parts link with nothing. Shorter vectors
     count as padded with zeros. Rows that repeat an id count as vectors of their own. A row without id links
     like others but names no component; it gets its component or null. Empty tables give empty results.
     """
-    rows = emb.select(F.col(vec_id).cast("long").alias("id"), F.col(vector).alias("vec"), F.col(label).cast("long").alias("label"))
+    rows = emb.select(F.col(vec_id).cast("long").alias("id"), F.col(vector).alias("vec"), F.when(F.col(label).isNotNull(), F.xxhash64(label)).alias("label"))
     sound = F.col("label").isNotNull() & F.col("vec").isNotNull() & F.coalesce(F.exists("vec", lambda x: x != 0), F.lit(False)) & ~F.exists("vec", lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf")))
     rows = rows.withColumn("vec", F.when(F.col("vec").isNotNull(), F.transform("vec", lambda x: x.cast("double")))).withColumn("ok", F.coalesce(sound, F.lit(False)))
     d = settle(rows.withColumn("h", F.when(F.col("ok"), F.xxhash64("vec"))).withColumn("g", F.when(F.col("ok"), F.xxhash64(F.lit(3), "vec"))))

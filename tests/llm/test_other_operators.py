@@ -52,6 +52,49 @@ def test_mix_keeps_shares_until_a_source_ends(spark):
     assert len(out) == 4000
 
 
+def slot_by_slot(blocks, shares):
+    """One phase by brute force: in every slot the released block of earliest deadline, ties as in the operator."""
+    q, names = sum(shares.values()), sorted(shares)
+    done, out = dict.fromkeys(names, 0), []
+    runs = min(blocks[k] // shares[k] for k in names) + 1
+    for t in range(runs * q):
+        best = None
+        for i, k in enumerate(names):
+            j, a = done[k] + 1, shares[k]
+            if j > runs * a or (j - 1) * q // a > t:
+                continue
+            due, base = -(-j * q // a), (j - 1) // a * q
+            b = (j - 1) % a + 1
+            overlap = due > j * q // a
+            key = (due, not overlap, -(base + mixing.group_deadline(a, q, b)) if overlap else 0, -a, i)
+            if best is None or key < best[0]:
+                best = (key, k)
+        done[best[1]] += 1
+        if done[best[1]] <= blocks[best[1]]:
+            out.append((best[1], done[best[1]], t))
+    return out
+
+
+@pytest.mark.parametrize("blocks", [{"a": 7, "b": 30, "c": 11}, {"a": 64, "b": 64}, {"a": 1, "b": 200, "c": 3, "d": 90}])
+def test_first_phase_equals_slot_by_slot(blocks):
+    weights = {k: n**0.5 for k, n in blocks.items()}
+    phase = mixing.phases(blocks, weights, 16)[0]
+    want = slot_by_slot(blocks, phase["shares"])
+    q = sum(phase["shares"].values())
+    got = sorted(((k, n + 1, n // a * q + phase["places"][k][n % a]) for k, a in phase["shares"].items() for n in range(phase["take"][k])), key=lambda x: x[2])
+    assert got == want
+
+
+def test_phases_use_every_block_once():
+    blocks = {"a": 7, "b": 300, "c": 11, "d": 0}
+    total = dict.fromkeys(blocks, 0)
+    for p in mixing.phases(blocks, dict.fromkeys(blocks, 1), 8):
+        assert all(p["before"][k] == total[k] for k in p["take"])
+        for k, n in p["take"].items():
+            total[k] += n
+    assert total == blocks
+
+
 def test_mix_ranks_over_many_buckets(spark):
     docs = spark.range(500).select(F.col("id").alias("doc_id"), F.lit("s").alias("source"))
     got = mixing.ranked(docs, 500, "doc_id", "source", bucket_rows=4).select("doc_id", "mix_rank").collect()
@@ -154,6 +197,16 @@ def test_pipeline_stages(spark, sf_dir):
         docs = out
 
 
+def test_settled_tables_can_be_deleted(spark):
+    from fadedhh.llm import common
+
+    df = common.settle(spark.range(3))
+    assert df.count() == 3
+    common.forget(spark)
+    with pytest.raises(Exception):
+        spark.read.parquet(df.inputFiles()[0]).count()
+
+
 def test_pipeline_odd_rows(spark, docs, sf_dir):
     """Nulls, empties, repeats and an empty table run through every stage."""
     import corpus_pipeline as cp
