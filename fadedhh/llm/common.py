@@ -27,6 +27,13 @@ def shared_root(spark: SparkSession) -> str:
     return root
 
 
+def fresh(df: DataFrame, prefix: str) -> str:
+    """The prefix, lengthened until no column of ``df`` starts with it: names for passing columns."""
+    while any(c.lower().startswith(prefix) for c in df.columns):
+        prefix = f"_{prefix}"
+    return prefix
+
+
 def _folder(spark: SparkSession) -> str:
     return f"{shared_root(spark).rstrip('/')}/settled-{spark.sparkContext.applicationId}"
 

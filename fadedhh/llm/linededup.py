@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import settle
+from .common import fresh, settle
 
 MIN_CHARS = 120
 MAX_LINES = 6
@@ -72,24 +72,26 @@ def repeated_runs(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", m
 
 def dedup_lines(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", min_chars: int = MIN_CHARS, max_lines: int = MAX_LINES) -> DataFrame:
     """All rows and columns of ``docs`` with the later copies of repeated runs cut from the text, plus
-    ld_lines, ld_removed (lines) and ld_spans.
+    ld_lines, ld_removed (lines) and ld_spans (columns so named are replaced).
 
     Null text stays null and counts as one empty line. Rows that repeat an id and its text are one document:
     each comes out alike. A null id orders before all others. Empty tables give empty results.
     """
+    f = fresh(docs, "_ld_")
     runs = repeated_runs(docs, doc_id, text, min_chars, max_lines)
-    runs = settle(runs.select(F.col("d").alias("ld_d"), F.col("th").alias("ld_th"), F.col("spans").alias("ld_spans")))
-    keyed = docs.withColumn("ld_th2", F.xxhash64(F.coalesce(F.col(text), F.lit(""))))
-    joined = keyed.join(runs.hint("merge"), F.col(doc_id).eqNullSafe(F.col("ld_d")) & (F.col("ld_th2") == F.col("ld_th")), "left")
-    lines = F.split(F.coalesce(F.col(text), F.lit("")), "\n")
-    joined = joined.withColumn("ld_ls", lines)
-    size = F.size("ld_ls")
-    edge = F.struct((size + 1).alias("s"), (size + 1).alias("e"))
-    stops = F.concat("ld_spans", F.array(edge))
-    keep = F.flatten(F.transform(stops, lambda x, i: F.slice("ld_ls", F.when(i == 0, 1).otherwise(F.get("ld_spans", i - 1)["e"] + 1), x["s"] - F.when(i == 0, 1).otherwise(F.get("ld_spans", i - 1)["e"] + 1))))
+    runs = settle(runs.select(F.col("d").alias(f"{f}d"), F.col("th").alias(f"{f}th"), F.col("spans").alias("ld_spans")))
+    plain = F.coalesce(F.col(text), F.lit(""))
+    keyed = docs.drop("ld_spans", "ld_lines", "ld_removed").withColumn(f"{f}h", F.xxhash64(plain))
+    joined = keyed.join(runs.hint("merge"), F.col(doc_id).eqNullSafe(F.col(f"{f}d")) & (F.col(f"{f}h") == F.col(f"{f}th")), "left")
+    joined = joined.withColumn(f"{f}ls", F.split(plain, "\n"))
+    size = F.size(f"{f}ls")
+    stops = F.concat("ld_spans", F.array(F.struct((size + 1).alias("s"), (size + 1).alias("e"))))
+    since = lambda i: F.when(i == 0, 1).otherwise(F.get("ld_spans", i - 1)["e"] + 1)
+    keep = F.flatten(F.transform(stops, lambda x, i: F.slice(f"{f}ls", since(i), x["s"] - since(i))))
     out = joined.withColumn(text, F.when(F.col("ld_spans").isNull(), F.col(text)).otherwise(F.concat_ws("\n", keep)))
-    out = out.withColumn("ld_lines", size.cast("long")).withColumn("ld_removed", F.coalesce(F.aggregate("ld_spans", F.lit(0), lambda acc, x: acc + x["e"] - x["s"] + 1), F.lit(0)).cast("long"))
-    return out.drop("ld_d", "ld_th", "ld_th2", "ld_ls")
+    gone = F.aggregate("ld_spans", F.lit(0), lambda acc, x: acc + x["e"] - x["s"] + 1)
+    out = out.withColumn("ld_lines", size.cast("long")).withColumn("ld_removed", F.coalesce(gone, F.lit(0)).cast("long"))
+    return out.drop(*[f + x for x in ("d", "th", "h", "ls")])
 
 
 def line_query(docs: DataFrame) -> DataFrame:

@@ -18,9 +18,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
+from .common import fresh
+
 BLOCK_DOCS = 16
 QUANTUM = 1024
-MAX_SOURCES = 4096
+#: Sources scheduled on their own; any beyond share one pool.
+MAX_SOURCES = 512
 #: Rows per rank bucket, and the letters of md5 that name a bucket.
 BUCKET_ROWS = 20_000
 
@@ -104,42 +107,53 @@ def phases(blocks: dict, weights: dict, quantum: int) -> list[dict]:
     return out
 
 
-def ranked(docs: DataFrame, n_rows: int, doc_id: str, source: str, bucket_rows: int = BUCKET_ROWS) -> DataFrame:
-    """Adds ``mix_key`` (source, null as a value of its own) and ``mix_rank`` (0-based place in the source,
-    in the order of md5 of the id). Ranks are counted per md5 bucket and shifted by the buckets before, so a
-    source of any size is spread over tasks."""
+def source_key(source: str):
+    """A source as text, null being a value of its own."""
+    return F.coalesce(F.concat(F.lit("s:"), F.col(source).cast("string")), F.lit("n:"))
+
+
+def ranked(docs: DataFrame, n_rows: int, doc_id: str, key, bucket_rows: int = BUCKET_ROWS) -> DataFrame:
+    """Adds ``mix_key`` and ``mix_rank`` (0-based place within the key, in the order of md5 of the id). Ranks are counted
+    per md5 bucket and shifted by the buckets before, so a source of any size is spread over tasks."""
+    f = fresh(docs, "_mix_")
     letters = 1
     while 16**letters * bucket_rows < n_rows:
         letters += 1
-    keyed = docs.withColumns({
-        "mix_key": F.coalesce(F.concat(F.lit("s:"), F.col(source).cast("string")), F.lit("n:")),
-        "mix_md5": F.md5(F.coalesce(F.col(doc_id).cast("string"), F.lit(""))),
-    }).withColumn("mix_bucket", F.substring("mix_md5", 1, letters))
-    count = keyed.groupBy("mix_key", "mix_bucket").agg(F.count("*").alias("mix_n"))
-    shift = count.select(
-        F.col("mix_key").alias("sk"), F.col("mix_bucket").alias("sb"),
-        (F.sum("mix_n").over(W.partitionBy("mix_key").orderBy("mix_bucket").rowsBetween(W.unboundedPreceding, 0)) - F.col("mix_n")).alias("mix_shift"),
-    )
-    inside = F.row_number().over(W.partitionBy("mix_key", "mix_bucket").orderBy("mix_md5", doc_id))
-    out = keyed.withColumn("mix_in", inside)
-    out = out.join(shift, F.expr("mix_key = sk and mix_bucket = sb"))
-    return out.withColumn("mix_rank", (F.col("mix_shift") + F.col("mix_in") - 1).cast("long")).drop("sk", "sb", "mix_n", "mix_shift", "mix_in", "mix_md5", "mix_bucket")
+    keyed = docs.withColumns({"mix_key": key, f"{f}md5": F.md5(F.coalesce(F.col(doc_id).cast("string"), F.lit("")))}).withColumn(f"{f}bucket", F.substring(f"{f}md5", 1, letters))
+    count = keyed.groupBy("mix_key", f"{f}bucket").agg(F.count("*").alias("n"))
+    before = F.sum("n").over(W.partitionBy("mix_key").orderBy(f"{f}bucket").rowsBetween(W.unboundedPreceding, 0)) - F.col("n")
+    shift = count.select(F.col("mix_key").alias(f"{f}k"), F.col(f"{f}bucket").alias(f"{f}b"), before.alias(f"{f}shift"))
+    inside = F.row_number().over(W.partitionBy("mix_key", f"{f}bucket").orderBy(f"{f}md5", doc_id))
+    out = keyed.withColumn(f"{f}in", inside).join(shift.hint("merge"), F.expr(f"mix_key = {f}k and {f}bucket = {f}b"))
+    out = out.withColumn("mix_rank", (F.col(f"{f}shift") + F.col(f"{f}in") - 1).cast("long"))
+    return out.drop(*[f + x for x in ("md5", "bucket", "k", "b", "shift", "in")])
 
 
 def mix(docs: DataFrame, weights: dict | None = None, doc_id: str = "doc_id", source: str = "source", block_docs: int = BLOCK_DOCS, quantum: int = QUANTUM, temperature: float = 0.5) -> DataFrame:
-    """Every row of ``docs`` with mix_source, mix_phase, mix_block, mix_slot and mix_order (slot, then place
-    in the block). ``weights`` maps sources to targets; without it the target is rows ** temperature, and
-    sources not named in it share what the smallest named one has. Null sources form one source of their own.
+    """Every row of ``docs`` with mix_phase, mix_block, mix_slot and mix_order (slot, then place in the block; columns so
+    named are replaced). ``weights``
+    maps sources to targets; without it the target is rows ** temperature, and sources not named in it get what the
+    smallest named one has. Null sources form one source of their own. Beyond ``MAX_SOURCES`` the smallest sources that
+    are not named form a pool with the sum of their targets, mixed by hash within.
     An empty table gives an empty result; repeated rows are placed one by one; ties in md5 go by id.
     """
     spark = docs.sparkSession
-    key = F.coalesce(F.concat(F.lit("s:"), F.col(source).cast("string")), F.lit("n:"))
-    counts = {r["k"]: r["n"] for r in docs.groupBy(key.alias("k")).agg(F.count("*").alias("n")).limit(MAX_SOURCES + 1).collect()}
-    if len(counts) > MAX_SOURCES:
-        raise ValueError(f"more than {MAX_SOURCES} sources: group them before mixing")
-    given = {f"s:{k}" if k is not None else "n:": w for k, w in (weights or {}).items()}
-    floor = min(given.values(), default=1)
-    target = {k: given.get(k, floor) if given else Fraction(n**temperature).limit_denominator(10**9) for k, n in counts.items()}
+    given = {f"s:{k}" if k is not None else "n:": float(w) for k, w in (weights or {}).items()}
+    floor = min(given.values(), default=1.0)
+    counts = docs.groupBy(source_key(source).alias("k")).agg(F.count("*").alias("n"))
+    want = F.lit(floor) if given else F.pow(F.col("n").cast("double"), F.lit(temperature))
+    counts = counts.withColumn("w", want)
+    named = F.col("k").isin(list(given)) if given else F.lit(False)
+    top = counts.orderBy(named.desc(), F.desc("n"), "k").limit(MAX_SOURCES - 1).collect()
+    n_all, w_all = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum("w"), F.lit(0.0))).first()
+    target = {r["k"]: Fraction(given.get(r["k"], r["w"])).limit_denominator(10**9) for r in top}
+    rows_of = {r["k"]: r["n"] for r in top}
+    key = source_key(source)
+    if n_all > sum(rows_of.values()):
+        rows_of["p:"] = n_all - sum(rows_of.values())
+        target["p:"] = Fraction(w_all - sum(r["w"] for r in top)).limit_denominator(10**9)
+        key = F.when(source_key(source).isin(list(rows_of)), source_key(source)).otherwise(F.lit("p:"))
+    counts = rows_of
     blocks = {k: -(-n // block_docs) for k, n in counts.items()}
     plan = phases(blocks, target, quantum)
     rows, slots = [], []
@@ -147,14 +161,15 @@ def mix(docs: DataFrame, weights: dict | None = None, doc_id: str = "doc_id", so
         for k, a in p["shares"].items():
             rows.append((k, p["phase"], p["before"][k], p["before"][k] + p["take"][k], a, p["start"], sum(p["shares"].values())))
             slots.append((k, p["phase"], p["places"][k]))
-    frame = spark.createDataFrame(rows or [("", 0, 0, 0, 1, 0, 1)], "pk string, mix_phase int, lo long, hi long, share long, start long, q long")
-    place = spark.createDataFrame(slots or [("", 0, [0])], "ck string, cp int, places array<int>")
-    table = frame.join(place, F.expr("pk = ck and mix_phase = cp")).drop("ck", "cp")
-    placed = ranked(docs, sum(counts.values()), doc_id, source).withColumn("mix_block", F.floor(F.col("mix_rank") / block_docs).cast("long"))
-    joined = placed.join(F.broadcast(table), F.expr("mix_key = pk and mix_block >= lo and mix_block < hi"))
-    within = F.col("mix_block") - F.col("lo")
-    slot = F.col("start") + F.expr("(mix_block - lo) div share") * F.col("q") + F.element_at("places", (within % F.col("share") + 1).cast("int"))
-    return joined.withColumn("mix_slot", slot.cast("long")).withColumn("mix_order", (F.col("mix_slot") * block_docs + F.col("mix_rank") % block_docs).cast("long")).drop("pk", "lo", "hi", "share", "start", "q", "places", "mix_key", "mix_rank")
+    f = fresh(docs, "_mix_")
+    table = [(*r, places) for r, (_, _, places) in zip(rows, slots)] or [("", 0, 0, 0, 1, 0, 1, [0])]
+    table = spark.createDataFrame(table, f"{f}key string, mix_phase int, {f}lo long, {f}hi long, {f}share long, {f}start long, {f}q long, {f}places array<int>")
+    clean = docs.drop("mix_phase", "mix_block", "mix_slot", "mix_order", "mix_key", "mix_rank")
+    placed = ranked(clean, sum(counts.values()), doc_id, key).withColumn("mix_block", F.floor(F.col("mix_rank") / block_docs).cast("long"))
+    joined = placed.join(F.broadcast(table), F.expr(f"mix_key = {f}key and mix_block >= {f}lo and mix_block < {f}hi"))
+    slot = F.expr(f"{f}start + (mix_block - {f}lo) div {f}share * {f}q + element_at({f}places, cast((mix_block - {f}lo) % {f}share + 1 as int))")
+    out = joined.withColumn("mix_slot", slot.cast("long")).withColumn("mix_order", (F.col("mix_slot") * block_docs + F.col("mix_rank") % block_docs).cast("long"))
+    return out.drop("mix_key", "mix_rank", *[f + x for x in ("key", "lo", "hi", "share", "start", "q", "places")])
 
 
 def mixing_query(docs: DataFrame) -> DataFrame:

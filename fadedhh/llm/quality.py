@@ -13,6 +13,8 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import fresh
+
 #: Bound of the labelled sample (rows of smallest id hash); a fit needs no more.
 SAMPLE_ROWS = 20_000
 
@@ -52,12 +54,13 @@ class RuleModel:
     intercept: float = 0.0
     rules: list[tuple[tuple[tuple[str, bool, float], ...], float]] = field(default_factory=list)
 
-    def column(self) -> Column:
+    def column(self, prefix: str = "q_") -> Column:
+        """The score as an expression over columns named prefix + statistic."""
         total = F.lit(float(self.intercept))
         for rule, w in self.rules:
             hit = F.lit(True)
             for name, more, cut in rule:
-                hit = hit & ((F.col(f"q_{name}") > F.lit(cut)) if more else (F.col(f"q_{name}") <= F.lit(cut)))
+                hit = hit & ((F.col(prefix + name) > F.lit(cut)) if more else (F.col(prefix + name) <= F.lit(cut)))
             total = total + F.when(hit, F.lit(float(w))).otherwise(F.lit(0.0))
         return 1.0 / (1.0 + F.exp(-total))
 
@@ -150,13 +153,13 @@ def fit(docs: DataFrame, labels: DataFrame, target: str = "quality", sample_rows
     return fit_rules(got[:, 1:], got[:, 0], list(stats))
 
 
-def score(docs: DataFrame, model: RuleModel, text: str = "text") -> DataFrame:
-    """Adds score and predicted to every row; null and empty texts are scored like any other.
-    Statistics are computed once, in a step of their own, and dropped again."""
-    stats = statistics(text)
-    with_stats = docs.select("*", *[c.cast("double").alias(f"q_{k}") for k, c in stats.items()])
-    out = with_stats.withColumn("score", model.column())
-    return out.withColumn("predicted", (F.col("score") >= 0.5).cast("int")).drop(*[f"q_{k}" for k in stats])
+def score(docs: DataFrame, model: RuleModel, text: str = "text", names: tuple[str, str] = ("score", "predicted")) -> DataFrame:
+    """Adds score and predicted (or other ``names``; columns so named are replaced) to every row; null and empty texts are
+    scored like any other. Statistics are computed once, in a step of their own, and dropped again."""
+    stats, prefix = statistics(text), fresh(docs, "q_")
+    with_stats = docs.select("*", *[c.cast("double").alias(prefix + k) for k, c in stats.items()])
+    out = with_stats.withColumn(names[0], model.column(prefix))
+    return out.withColumn(names[1], (F.col(names[0]) >= 0.5).cast("int")).drop(*[prefix + k for k in stats])
 
 
 def held_out(doc_id: str = "doc_id") -> Column:

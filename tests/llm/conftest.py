@@ -47,7 +47,7 @@ def docs(spark, rows):
     from pyspark.sql import functions as F
 
     df = spark.createDataFrame(rows, SCHEMA).repartition(3)
-    return df.withColumns({"d": F.lit("x"), "th": F.lit(1), "score": F.lit(9), "rep": F.lit(0), "v": F.lit(2), "kept": F.lit(False), "mix_key": F.lit("k")})
+    return df.withColumns({"d": F.lit("x"), "th": F.lit(1), "score": F.lit(9), "rep": F.lit(0), "v": F.lit(2), "kept": F.lit(False), "mix_key": F.lit("k"), "start": F.lit(1), "_mix_q": F.lit(1), "q_letters": F.lit(0.0), "_ld_d": F.lit(3), "ld_spans": F.lit(4), "_gone_id": F.lit(5), "predicted": F.lit(0), "sk": F.lit(6), "blk": F.lit(7)})
 
 
 @pytest.fixture(scope="session")

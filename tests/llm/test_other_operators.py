@@ -95,9 +95,17 @@ def test_phases_use_every_block_once():
     assert total == blocks
 
 
+def test_mix_pools_the_smallest_sources(spark, monkeypatch):
+    monkeypatch.setattr(mixing, "MAX_SOURCES", 4)
+    rows = [(i, f"s{i % 10 if i % 3 else 0}") for i in range(900)]
+    out = mixing.mix(spark.createDataFrame(rows, "doc_id long, source string"), {"s9": 5}, block_docs=4, quantum=16).collect()
+    assert sorted(r.doc_id for r in out) == list(range(900)) and len({r.mix_order for r in out}) == 900
+    assert {r.mix_block for r in out if r.source == "s9"} == set(range(15))
+
+
 def test_mix_ranks_over_many_buckets(spark):
     docs = spark.range(500).select(F.col("id").alias("doc_id"), F.lit("s").alias("source"))
-    got = mixing.ranked(docs, 500, "doc_id", "source", bucket_rows=4).select("doc_id", "mix_rank").collect()
+    got = mixing.ranked(docs, 500, "doc_id", mixing.source_key("source"), bucket_rows=4).select("doc_id", "mix_rank").collect()
     want = sorted(range(500), key=lambda i: hashlib.md5(str(i).encode()).hexdigest())
     assert {r.doc_id: r.mix_rank for r in got} == {d: k for k, d in enumerate(want)}
 
