@@ -10,18 +10,24 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from fadedhh.llm import decontam, linededup, mixing, neardup, quality
-from fadedhh.llm.common import settle, table
+from fadedhh.llm.common import fresh, settle, table
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the rule ensemble rejects go. It learns from the labelled rows that are not held out."""
     labels = table(spark, sf_dir, "labels")
     model = quality.fit(docs.select("doc_id", "text"), labels.where(~quality.held_out()))
-    return quality.score(docs, model).where("predicted = 1").select(*docs.columns)
+    f = fresh(docs, "_qc_")
+    return quality.score(docs, model, names=(f"{f}score", f"{f}good")).where(f"{f}good = 1").select(*docs.columns)
 
 
 def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Later copies of repeated runs of lines go; a document of which nothing but blank lines is left goes too."""
+    names = [c for c in docs.columns if c.startswith("ld_")]
+    if names:  # columns that the operator would replace pass under other names
+        f = fresh(docs, "_kept_")
+        docs_ = docs.withColumnsRenamed({c: f + c for c in names})
+        return line_stage(spark, docs_, sf_dir).withColumnsRenamed({f + c: c for c in names}).select(*docs.columns)
     out = linededup.dedup_lines(docs)
     left = (F.col("ld_removed") == 0) | (F.length(F.trim(F.translate("text", "\n\r\t", ""))) > 0)
     return out.where(left).withColumn("n_chars", F.when(F.col("ld_removed") > 0, F.length("text").cast("long")).otherwise(F.col("n_chars"))).select(*docs.columns)
@@ -30,15 +36,17 @@ def line_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The smallest id of each near-duplicate component stays. Rows without id are not compared and stay; rows that
     repeat an id share its fate."""
-    gone = neardup.near_duplicates(docs).where(~F.col("kept") & F.col("doc_id").isNotNull()).select(F.col("doc_id").alias("gone_id"))
-    return docs.join(gone.hint("merge"), F.col("doc_id") == F.col("gone_id"), "left_anti").select(*docs.columns)
+    f = fresh(docs, "_gone_")
+    gone = neardup.near_duplicates(docs).where(~F.col("kept") & F.col("doc_id").isNotNull()).select(F.col("doc_id").alias(f))
+    return docs.join(gone.hint("merge"), F.col("doc_id") == F.col(f), "left_anti").select(*docs.columns)
 
 
 def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents with benchmark windows over at least a twentieth of their words go."""
     found = decontam.verdicts(docs.select("doc_id", "text"), table(spark, sf_dir, "benchmark"))
-    gone = found.where("contaminated").select(F.col("doc_id").alias("gone_id"), F.col("th").alias("gone_th"))
-    same = F.col("doc_id").eqNullSafe(F.col("gone_id")) & (F.xxhash64("text") == F.col("gone_th"))
+    f = fresh(docs, "_gone_")
+    gone = found.where("contaminated").select(F.col("doc_id").alias(f"{f}id"), F.col("th").alias(f"{f}th"))
+    same = F.col("doc_id").eqNullSafe(F.col(f"{f}id")) & (F.xxhash64("text") == F.col(f"{f}th"))
     return docs.join(gone.hint("merge"), same, "left_anti").select(*docs.columns)
 
 
