@@ -96,7 +96,7 @@ def _count(batches, length: int, gram: int):
     for b in batches:
         data, off = tb.raw(b.column(2))
         blk, th = (b.column(k).to_numpy(zero_copy_only=False) for k in (0, 1))
-        for i, j in tb.runs_of_rows(off, 1 << 22):
+        for i, j in tb.runs_of_rows(off, 1 << 21):
             g, row, _, _, _ = anchors(data[off[i] : off[j]], off[i : j + 1] - off[i], length, gram)
             if not len(g):
                 continue
@@ -161,7 +161,7 @@ def _contexts(texts: pa.Table, wanted: pa.Table, length: int, gram: int) -> pa.T
     data, off = tb.raw(column)
     seen = np.zeros(0, np.uint64)
     done: list = []
-    for i, j in tb.runs_of_rows(off, 1 << 22):
+    for i, j in tb.runs_of_rows(off, 1 << 21):
         part, o = data[off[i] : off[j]], off[i : j + 1] - off[i]
         g, row, begin, last, roll = anchors(part, o, length, gram)
         if not len(g) or not len(fps):
@@ -289,7 +289,7 @@ def _resolve(t: pa.Table, length: int) -> pa.Table:
     return pa.table([pa.array(col["d"][some[k]]), pa.array(col["th"][some[k]]), pa.array(s.astype(np.int64)), pa.array(e.astype(np.int64))], names=["d", "th", "s", "e"])
 
 
-def _by_anchor(batches, length: int, budget: int = 3 << 20):
+def _by_anchor(batches, length: int, budget: int = 2 << 20):
     """Feeds whole anchors (rows arrive sorted by fp) to ``_resolve`` in portions of bounded size."""
     held: list[pa.RecordBatch] = []
     size = 0
