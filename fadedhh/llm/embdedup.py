@@ -69,10 +69,10 @@ def _keys(x: np.ndarray, m: int, tables: int, width: float) -> np.ndarray:
     dim = x.shape[1]
     shift = (tb.mix64(np.arange(1, m * tables + 1, dtype=np.uint64) + np.uint64(99)) >> np.uint64(11)).astype(float) / 2**53
     cell = np.floor(x @ projections(dim, m * tables) / width + shift).astype(np.int64).astype(np.uint64).reshape(len(x), tables, m)
-    key = np.zeros((len(x), tables), np.uint64)
+    key = np.zeros((len(x), tables), np.uint64)  # folded to 31 bits at the end: two cells that fall together only meet
     for i in range(m):
         key = tb.mix64(key * np.uint64(3) + cell[:, :, i])
-    return key.view(np.int64)
+    return (key >> np.uint64(33)).astype(np.int32)
 
 
 def _links(group: pa.Table, threshold: float) -> pa.Table | None:
@@ -149,7 +149,8 @@ def link_vectors(emb: DataFrame, vec_id: str = "vec_id", vector: str = "embeddin
     """
     rows = emb.select(F.col(vec_id).cast("long").alias("id"), F.col(vector).alias("vec"), F.when(F.col(label).isNotNull(), F.xxhash64(label)).alias("label"))
     sound = F.col("label").isNotNull() & F.col("vec").isNotNull() & F.coalesce(F.exists("vec", lambda x: x != 0), F.lit(False)) & ~F.exists("vec", lambda x: x.isNull() | F.isnan(x) | (F.abs(x) == float("inf")))
-    rows = rows.withColumn("vec", F.when(F.col("vec").isNotNull(), F.transform("vec", lambda x: x.cast("double")))).withColumn("ok", F.coalesce(sound, F.lit(False)))
+    rows = rows.withColumn("ok", F.coalesce(sound, F.lit(False)))
+    kind = dict(rows.dtypes)["vec"]
     d = settle(rows.withColumn("h", F.when(F.col("ok"), F.xxhash64("vec"))).withColumn("g", F.when(F.col("ok"), F.xxhash64(F.lit(3), "vec"))))
     classes = settle(d.where("ok and id is not null").groupBy("label", "h", "g").agg(F.min("id").alias("rep"), F.count("*").alias("mult"), F.first("vec").alias("vec")))
     most = classes.groupBy("label").agg(F.count("*").alias("n")).agg(F.max("n")).first()[0] or 0
@@ -162,7 +163,7 @@ def link_vectors(emb: DataFrame, vec_id: str = "vec_id", vector: str = "embeddin
             off = pa.array(np.arange(0, tables * (len(k) + 1), tables).astype(np.int32))
             yield pa.RecordBatch.from_arrays([*b.columns, pa.ListArray.from_arrays(off, pa.array(k.reshape(-1)))], names=["label", "rep", "mult", "vec", "keys"])
 
-    keyed = settle(classes.select("label", "rep", "mult", "vec").mapInArrow(hashed, "label long, rep long, mult long, vec array<double>, keys array<long>"))
+    keyed = settle(classes.select("label", "rep", "mult", "vec").mapInArrow(hashed, f"label long, rep long, mult long, vec {kind}, keys array<int>"))
     spread = keyed.select("label", "rep", F.posexplode("keys").alias("tb", "key"))
     shared = settle(spread.groupBy("label", "tb", "key").agg(F.count("*").alias("size")).where("size > 1"))
     member = spread.join(shared.hint("merge"), ["label", "tb", "key"])
