@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from datetime import timedelta
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -74,7 +75,7 @@ USERS, PARTS = STREAMS["users"], STREAMS["parts"]
 
 _EV = f"(SELECT event_id, epoch_us(ts) AS tick FROM events WHERE epoch_us(ts) > {wl.EVENTS_FROM}::BIGINT AND epoch_us(ts) <= {wl.EVENTS_TO}::BIGINT)"
 _SPAN = wl.EVENTS_TO - wl.EVENTS_FROM
-_RATE = decay.rate_from_half_life(__import__("datetime").timedelta(days=2))
+_RATE = decay.rate_from_half_life(timedelta(days=2))
 
 
 def _timed(spark, sf_dir):
@@ -409,7 +410,6 @@ def _topk(spark, sf_dir):
 # ---- experiments ----
 
 _Z = STREAMS["zipf11"]
-_TRUTH = "precision, recall"
 
 
 def sweep_sql(vary: str) -> str:
@@ -502,7 +502,6 @@ def _deficits(spark, sf_dir):
     return out
 
 
-_HEAVY_PARTS = "(SELECT l_partkey AS item, count(*) AS f FROM lineitem WHERE l_partkey IS NOT NULL GROUP BY 1)"
 
 
 def _plain(spark, sf_dir):
@@ -545,7 +544,7 @@ def _sticky(spark, sf_dir):
     return _guarantee(related.sticky_sampling(s, 0.02, 0.01, 0.001, n).withColumnRenamed("count", "low"), s, 0.02, 0.01)
 
 
-@query("spacesaving_hh", _GUARANTEE.format(need=0.01).replace("missed, 0::BIGINT AS over", "missed, 0::BIGINT AS over"))
+@query("spacesaving_hh", _GUARANTEE.format(need=0.01))
 def _ss(spark, sf_dir):
     """k counters over-estimate by at most n / k; lowered by that, they never exceed the truth."""
     s = _plain(spark, sf_dir).withColumn("x", F.lit(1.0))
@@ -674,7 +673,7 @@ def _sql_weight(spark, sf_dir):
     return _timed(spark, sf_dir).select("event_id", F.expr(call).alias("w"))
 
 
-query("online_hh_final", _FADED_USERS.replace(fold_sql(USERS, _W256, 4), fold_sql(USERS, _W256, 4)))(lambda spark, sf_dir: online_runs.final_answer(spark, sf_dir, _W256, 4, 0.0122))
+query("online_hh_final", _FADED_USERS)(lambda spark, sf_dir: online_runs.final_answer(spark, sf_dir, _W256, 4, 0.0122))
 query("online_window_counts", "SELECT date_trunc('day', ts) AS start, date_trunc('day', ts) + INTERVAL 1 DAY AS \"end\", event_type, count(*) AS n FROM events GROUP BY ALL")(online_runs.window_counts)
 query("online_session", """WITH e AS (SELECT user_id, ts, CASE WHEN ts >= lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 6 HOUR OR lag(ts) OVER (PARTITION BY user_id ORDER BY ts) IS NULL THEN 1 ELSE 0 END AS fresh FROM events),
 g AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM e)

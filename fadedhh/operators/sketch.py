@@ -8,6 +8,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -75,8 +76,8 @@ def local_sketches(weighted: DataFrame, params: SketchParams, combine: bool = Tr
     ensure_shipped(weighted.sparkSession)
     jvm = params.profile == "xx64"
     cols = params.hashes.columns(F.col("item")) if jvm else []
-    number = F.col(shard) if shard else F.spark_partition_id()
-    rows = weighted.select(number.cast("int").alias("shard"), "item", "x", *[c.alias(f"h{j}") for j, c in enumerate(cols)])
+    lead = [F.col(shard).cast("int").alias("shard")] if shard else []
+    rows = weighted.select("item", "x", *[c.alias(f"h{j}") for j, c in enumerate(cols)], *lead)
 
     def portions(batches):
         """Arrow batches joined up to a bounded number of rows, so that more equal items meet."""
@@ -92,11 +93,13 @@ def local_sketches(weighted: DataFrame, params: SketchParams, combine: bool = Tr
 
     def run(batches):
         held: dict[int, NumpySketch] = {}
+        own = TaskContext.get().partitionId()
         for t in portions(batches):
-            s, item, x = (t.column(k).to_numpy() for k in range(3))
-            hashed = np.stack([t.column(3 + j).to_numpy() for j in range(params.d)]).astype(np.int64) if jvm else None
-            for k in np.unique(s).tolist():
-                on = slice(None) if (s == k).all() else s == k
+            item, x = t.column(0).to_numpy(), t.column(1).to_numpy()
+            hashed = np.stack([t.column(2 + j).to_numpy() for j in range(params.d)]).astype(np.int64) if jvm else None
+            s = t.column("shard").to_numpy() if shard else None
+            for k in [own] if s is None else np.unique(s).tolist():
+                on = slice(None) if s is None or (s[0] == k and (s == k).all()) else s == k
                 held.setdefault(k, NumpySketch(params)).update(item[on], x[on], combine, hashed[:, on] if jvm else None)
         for k, sketch in held.items():
             yield sketch.rows(k)

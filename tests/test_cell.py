@@ -122,3 +122,31 @@ def test_sizing():
     assert SketchParams(w=1340).check_support(0.001, strict=False) is False
     with pytest.raises(ValueError):
         dimension(0, 0.5)
+
+
+def test_only_two_counters_keep_the_norm(spark):
+    from fadedhh.operators.invariants import summary_deficit
+
+    rng = random.Random(9)
+    lost = {}
+    for k in (2, 3, 8):
+        def summary():
+            c = {}
+            for _ in range(40):
+                c = plain_merge(c, {rng.randrange(30): float(rng.randrange(1, 5))}, k)
+            return sorted((-f, i) for i, f in c.items())
+
+        df = spark.createDataFrame([(summary(), summary()) for _ in range(60)], f"a {cell.TYPE}, b {cell.TYPE}")
+        lost[k] = [r.deficit for r in summary_deficit(df, k).collect()]
+    assert set(lost[2]) == {0.0} and min(lost[3]) >= 0 and min(lost[8]) >= 0 and max(lost[3]) > 0
+
+
+def test_merge_is_not_associative_but_keeps_mass():
+    rng = random.Random(11)
+    differ = 0
+    for _ in range(400):
+        a, b, c = (random_cell(rng) for _ in range(3))
+        x, y = plain_merge(plain_merge(a, b), c), plain_merge(a, plain_merge(b, c))
+        assert sum(x.values()) == sum(y.values()) == sum(map(lambda s: sum(s.values()), (a, b, c)))
+        differ += x != y
+    assert differ
