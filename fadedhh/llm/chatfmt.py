@@ -24,7 +24,8 @@ def prefix_hashes(turns: DataFrame) -> DataFrame:
     """(conv_id, n, total, h): for each conversation the hash of its first n turns.
 
     Place and content of each turn hash to 128 bits; a prefix is the sum of its turns' hashes, kept in
-    32-bit halves so that sums stay exact. Turns order by (turn, role, text); null counts as its own value.
+    32-bit halves so that sums stay exact. Turns order by number, null first; turns of one number by the hashes of role
+    and text, so that no text is shuffled here. A null role or text counts as a value of its own.
     """
     order = W.partitionBy("conv_id").orderBy("turn", "rh", "th")
     slim = turns.select(
@@ -79,6 +80,7 @@ def chat_query(conversations: DataFrame) -> DataFrame:
     return out.select("conv_id", "n_turns", F.length("text").cast("long").alias("n_chars"), F.sha2("text", 256).alias("text_sha256"))
 
 
+#: Equal where the turns of a conversation have different numbers.
 ORACLE = """
 WITH t AS (SELECT conv_id, turn, coalesce(role, 'user') AS role, coalesce(text, '') AS text FROM conversations WHERE conv_id IS NOT NULL),
 c AS (SELECT conv_id, list('<|' || role || '|>' || chr(10) || text || '<|end|>' ORDER BY turn, role, text) AS xs FROM t GROUP BY conv_id),
