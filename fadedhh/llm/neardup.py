@@ -83,7 +83,7 @@ def sketch_table(docs: DataFrame, doc_id: str, text: str, width: int, k: int) ->
                 n.append(len(u))
                 f1.append(int((tb.mix64(u + np.uint64(3)) >> np.uint64(20)).sum() & np.uint64((1 << 62) - 1)))
                 f2.append(int(np.bitwise_xor.reduce(tb.mix64(u + np.uint64(9))) >> np.uint64(1)) if len(u) else 0)
-                sk.append(u[:k])
+                sk.append(u[:k].copy())  # a view would keep the whole set alive
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(f1, pa.int64()), pa.array(f2, pa.int64()), _lists(sk)], names=["d", "n", "f1", "f2", "sk"])
 
     return docs.select(F.col(doc_id).cast("long").alias("d"), F.col(text).alias("t")).mapInArrow(run, "d long, n long, f1 long, f2 long, sk array<long>")
@@ -95,7 +95,7 @@ def full_sets(docs: DataFrame, wanted: DataFrame, doc_id: str, text: str, width:
     def run(batches):
         for b in batches:
             off = tb.raw(b.column(1))[1]
-            for i, j in tb.runs_of_rows(off, 1 << 22):
+            for i, j in tb.runs_of_rows(off, 1 << 20):
                 sets = list(shingle_sets(b.column(1).slice(i, j - i), width))
                 yield pa.RecordBatch.from_arrays([b.column(0).slice(i, j - i), pa.array([len(u) for u in sets], pa.int64()), _lists(sets)], names=["d", "n", "st"])
 
