@@ -1,11 +1,14 @@
-"""Line deduplication by winnowing.
+"""Line deduplication: later copies of repeated runs of lines go.
 
-Lines hash to 64 bits. A window is a run of consecutive lines, from a start forwards or from an end
-backwards, that just reaches ``min_chars`` characters within ``max_lines`` lines. Each window selects its
-smallest line hash as fingerprint, so every repeated run of that size shares a fingerprint with its
-first copy whatever surrounds it. Positions with a repeated fingerprint are extended to both ends of
-their windows; windows whose whole content occurred before (smaller id, then earlier line) mark their
-lines, overlapping marks merge into runs, and the runs go. The first copy stays.
+A window is a run of consecutive lines, from a start forwards or from an end backwards, that just reaches
+``min_chars`` characters, over as many lines as that takes. Windows whose whole content occurred before
+(smaller id, then earlier line) mark their lines, overlapping marks merge into runs, and the runs go. The
+first copy stays. Content is compared by 64-bit hashes.
+
+Nothing needs to be extended: in a repeated run of ``min_chars`` characters or more, a line with that many
+characters from it to the end of the run lies in its forward window, and any other in the backward window
+of the run's end. Both lie in the run, so the marked lines are those of all such runs, to their last line.
+``max_lines`` leaves out windows of more lines; with it, repeated runs of short lines stay.
 
 Only DataFrame functions; every aggregation combines before its shuffle, and the joins are plain ones
 over settled tables, which Spark may split where a passage is very common.
@@ -20,47 +23,62 @@ from pyspark.sql import functions as F
 from .common import fresh, settle
 
 MIN_CHARS = 120
+#: Lines a window may have in the query that ORACLE describes.
 MAX_LINES = 6
 
 
-def _windows(docs: DataFrame, doc_id: str, text: str, min_chars: int, max_lines: int) -> DataFrame:
-    """(d, th, s, n, fp, at, run): windows of n lines from line s (1-based), their fingerprint, its line, and
-    the hash of the whole content."""
+def _reach(part, min_chars: int):
+    """(n, chars, p): size and end of the shortest head of ``part`` with min_chars characters, or fewer characters if there is none.
+    A line that is not blank has a character, so no more than min_chars lines are ever looked at."""
+    start = F.struct(F.lit(0).alias("n"), F.lit(0).alias("chars"), F.lit(0).alias("p"))
+    grow = lambda acc, x: F.when(acc["chars"] >= min_chars, acc).otherwise(F.struct((acc["n"] + 1).alias("n"), (acc["chars"] + x["c"]).alias("chars"), x["p"].alias("p")))
+    return F.aggregate(part, start, grow)
+
+
+def _windows(docs: DataFrame, doc_id: str, text: str, min_chars: int, max_lines: int | None) -> DataFrame:
+    """(d, th, s, n, run): windows of n lines from line s (1-based) and the hash of their whole content.
+
+    Blank lines are kept out of the arrays: a window is its other lines with their distances from its start, and
+    the blank lines before (from a start) or after (from an end) each give a window of their own."""
     base = docs.select(F.col(doc_id).alias("d"), F.xxhash64(F.coalesce(F.col(text), F.lit(""))).alias("th"), F.split(F.coalesce(F.col(text), F.lit("")), "\n").alias("ls"))
-    base = base.select("d", "th", F.transform("ls", lambda x: F.struct(F.xxhash64(x).alias("h"), F.length(x).alias("c"))).alias("ls"))
+    full = F.filter(F.transform("ls", lambda x, i: F.struct(F.xxhash64(x).alias("h"), F.length(x).alias("c"), (i + 1).alias("p"))), lambda x: x["c"] > 0)
+    base = base.select("d", "th", full.alias("ls"), (F.size("ls") + 1).alias("z"))
     size = F.size("ls")
+    steps = sorted({min(8, min_chars), min_chars})
+
+    def first_of(parts):
+        got = _reach(parts[0], min_chars)
+        return got if len(parts) == 1 else F.transform(F.array(got), lambda r: F.when(r["chars"] >= min_chars, r).otherwise(first_of(parts[1:])))[0]
 
     def forward(x, i):
-        reach = F.lit(None).cast("int")
-        for m in range(max_lines, 0, -1):
-            chars = sum((F.coalesce(F.get("ls", i + k)["c"], F.lit(0)) for k in range(1, m)), x["c"])
-            reach = F.when((i + m <= size) & (chars >= min_chars), F.lit(m)).otherwise(reach)
-        return F.struct((i + 1).alias("s"), reach.alias("n"))
+        reach = first_of([F.slice("ls", i + 1, m) for m in steps])
+        before = F.when(i > 0, F.get("ls", i - 1)["p"]).otherwise(0)
+        return F.struct(i.alias("i"), reach["n"].alias("m"), reach["chars"].alias("chars"), (before + 1).alias("lo"), x["p"].alias("hi"), reach["p"].alias("elo"), reach["p"].alias("ehi"))
 
     def backward(x, i):
-        reach = F.lit(None).cast("int")
-        for m in range(max_lines, 0, -1):
-            chars = sum((F.coalesce(F.get("ls", i - k)["c"], F.lit(0)) for k in range(1, m)), x["c"])
-            reach = F.when((i + 1 >= m) & (chars >= min_chars), F.lit(m)).otherwise(reach)
-        return F.struct((i + 2 - reach).alias("s"), reach.alias("n"))
-
-    spans = base.select("d", "th", F.transform("ls", lambda x: x["h"]).alias("hs"), F.array_distinct(F.concat(F.transform("ls", forward), F.transform("ls", backward))).alias("sp"))
-    rows = F.transform(
-        F.filter("sp", lambda p: p["n"].isNotNull()),
-        lambda p: F.struct(p["s"].alias("s"), p["n"].alias("n"), F.slice("hs", p["s"], p["n"]).alias("w")),
-    )
-    one = spans.select("d", "th", F.inline(rows))
-    return one.select("d", "th", "s", "n", F.array_min("w").alias("fp"), (F.col("s") + F.array_position("w", F.array_min("w")) - 1).alias("at"), F.xxhash64("w").alias("run"))
-
-
-def repeated_runs(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", min_chars: int = MIN_CHARS, max_lines: int = MAX_LINES) -> DataFrame:
+        reach = first_of([F.reverse(F.slice("ls", F.greatest(i + 2 - m, F.lit(1)), F.least(i + 1, F.lit(m)))) for m in steps])
+        after = F.when(i + 1 < size, F.get("ls", i + 1)["p"]).otherwise(F.col("z"))
+        # with nothing after it, and short of min_chars without its last line, it is the window from its start
+        same = (reach["chars"] - x["c"] < min_chars).cast("int")
+        return F.struct((i + 1 - reach["n"]).alias("i"), reach["n"].alias("m"), reach["chars"].alias("chars"), reach["p"].alias("lo"), reach["p"].alias("hi"), (x["p"] + same).alias("elo"), (after - 1).alias("ehi"))
+
+    spans = base.select("d", "th", "ls", F.concat(F.transform("ls", forward), F.transform("ls", backward)).alias("sp"))
+    good = F.filter("sp", lambda p: (p["chars"] >= min_chars) & (p["elo"] <= p["ehi"]))
+
+    def rows(p):
+        core = F.slice("ls", p["i"] + 1, p["m"])
+        span = lambda s, e: F.struct(s.alias("s"), (e - s + 1).alias("n"), F.xxhash64(F.transform(core, lambda x: F.struct(x["h"], x["p"] - s))).alias("run"))
+        return F.when(p["lo"] < p["hi"], F.transform(F.sequence(p["lo"], p["hi"]), lambda s: span(s, p["elo"]))).otherwise(F.transform(F.sequence(p["elo"], p["ehi"]), lambda e: span(p["lo"], e)))
+
+    out = spans.select("d", "th", F.inline(F.flatten(F.transform(good, rows))))
+    return out if max_lines is None else out.where(F.col("n") <= max_lines)
+
+
+def repeated_runs(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", min_chars: int = MIN_CHARS, max_lines: int | None = None) -> DataFrame:
     """(d, th, spans): per document (id, hash of its text) the merged runs of lines to delete."""
     windows = settle(_windows(docs, doc_id, text, min_chars, max_lines))
-    place = F.struct("d", "th", F.col("at").alias("p"))
-    prints = windows.groupBy("fp").agg(F.min(place).alias("a"), F.max(place).alias("z")).where("a <> z").select("fp")
-    shared = windows.join(settle(prints).hint("merge"), "fp", "left_semi")
     start = F.struct("d", "th", F.col("s").cast("long").alias("p"))
-    first = shared.groupBy("run", "n").agg(F.min(start).alias("a"), F.max(start).alias("z")).where("a <> z").select(F.col("run").alias("r"), F.col("n").alias("m"), "a")
+    first = windows.groupBy("run", "n").agg(F.min(start).alias("a"), F.max(start).alias("z")).where("a <> z").select(F.col("run").alias("r"), F.col("n").alias("m"), "a")
     marks = windows.join(settle(first).hint("merge"), F.expr("run = r and n = m")).where(start > F.col("a")).select("d", "th", "s", (F.col("s") + F.col("n") - 1).alias("e")).distinct()
     order = W.partitionBy("d", "th").orderBy("s", "e")
     reach = F.max("e").over(order.rowsBetween(W.unboundedPreceding, -1))
@@ -70,10 +88,11 @@ def repeated_runs(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", m
     return runs.groupBy("d", "th").agg(F.sort_array(F.collect_list(F.struct("s", "e"))).alias("spans"))
 
 
-def dedup_lines(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", min_chars: int = MIN_CHARS, max_lines: int = MAX_LINES) -> DataFrame:
+def dedup_lines(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", min_chars: int = MIN_CHARS, max_lines: int | None = None) -> DataFrame:
     """All rows and columns of ``docs`` with the later copies of repeated runs cut from the text, plus
     ld_lines, ld_removed (lines) and ld_spans (columns so named are replaced).
 
+    ``max_lines`` bounds the lines of a window; without it none is lost.
     Null text stays null and counts as one empty line. Rows that repeat an id and its text are one document:
     each comes out alike. A null id orders before all others. Empty tables give empty results.
     """
@@ -94,8 +113,8 @@ def dedup_lines(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", min
     return out.drop(*[f + x for x in ("d", "th", "h", "ls")])
 
 
-def line_query(docs: DataFrame) -> DataFrame:
-    out = dedup_lines(docs.select("doc_id", "text"))
+def line_query(docs: DataFrame, max_lines: int | None = MAX_LINES) -> DataFrame:
+    out = dedup_lines(docs.select("doc_id", "text"), max_lines=max_lines)
     return out.select("doc_id", F.col("ld_lines").alias("n_lines"), F.col("ld_removed").alias("n_removed"), F.coalesce(F.size("ld_spans"), F.lit(0)).cast("long").alias("n_spans"), F.sha2(F.coalesce("text", F.lit("")), 256).alias("kept_sha256"))
 
 
@@ -117,3 +136,19 @@ SELECT d.doc_id, len(ls)::BIGINT AS n_lines, coalesce(n, 0)::BIGINT AS n_removed
   sha256(array_to_string(list_transform(list_filter(range(1, len(ls) + 1), lambda j: NOT list_contains(coalesce(del, []), j)), lambda j: ls[j]), chr(10))) AS kept_sha256
 FROM d LEFT JOIN g ON d.doc_id = g.doc_id
 """
+
+ORACLE_WHOLE = f"""
+WITH d AS (SELECT doc_id, string_split(coalesce(text, ''), chr(10)) AS ls FROM documents),
+u AS (SELECT doc_id, ls, unnest(range(1, len(ls) + 1)) AS i FROM d),
+l AS (SELECT doc_id, ls, i, length(ls[i]) AS c, sum(length(ls[i])) OVER (PARTITION BY doc_id ORDER BY i) AS t FROM u),
+f AS (SELECT a.doc_id, a.i AS s, min(b.i) AS e FROM l a JOIN l b ON a.doc_id = b.doc_id AND b.i >= a.i AND b.t - a.t + a.c >= {MIN_CHARS} GROUP BY ALL),
+k AS (SELECT b.doc_id, max(a.i) AS s, b.i AS e FROM l a JOIN l b ON a.doc_id = b.doc_id AND b.i >= a.i AND b.t - a.t + a.c >= {MIN_CHARS} GROUP BY ALL),
+w AS (SELECT x.doc_id, s, e, array_to_string(ls[s:e], chr(10)) AS c FROM (SELECT doc_id, s, e FROM f UNION SELECT doc_id, s, e FROM k) x JOIN d ON d.doc_id = x.doc_id),
+r AS (SELECT *, row_number() OVER (PARTITION BY c ORDER BY doc_id, s) AS k FROM w),
+x AS (SELECT DISTINCT doc_id, unnest(range(s, e + 1)) AS i FROM r WHERE k > 1),
+g AS (SELECT doc_id, count(*) AS n, count(*) FILTER (WHERE p IS NULL OR i > p + 1) AS spans, list(i) AS del
+      FROM (SELECT doc_id, i, lag(i) OVER (PARTITION BY doc_id ORDER BY i) AS p FROM x) GROUP BY doc_id)
+SELECT d.doc_id, len(ls)::BIGINT AS n_lines, coalesce(n, 0)::BIGINT AS n_removed, coalesce(spans, 0)::BIGINT AS n_spans,
+  sha256(array_to_string(list_transform(list_filter(range(1, len(ls) + 1), lambda j: NOT list_contains(coalesce(del, []), j)), lambda j: ls[j]), chr(10))) AS kept_sha256
+FROM d LEFT JOIN g ON d.doc_id = g.doc_id
+"""

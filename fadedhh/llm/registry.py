@@ -12,6 +12,7 @@ def queries() -> dict:
         "op2_near_duplicates": lambda s, d: neardup.near_duplicates(table(s, d, "documents")),
         "op3_lm_scores": lambda s, d: maxent.lm_scores(table(s, d, "documents")),
         "op4_line_dedup": lambda s, d: linededup.line_query(table(s, d, "documents")),
+        "op4_line_dedup_whole": lambda s, d: linededup.line_query(table(s, d, "documents"), max_lines=None),
         "op5_decontamination": lambda s, d: decontam.decontam_query(table(s, d, "documents"), table(s, d, "benchmark")),
         "op6_quality_rules": lambda s, d: quality.quality_query(table(s, d, "documents"), table(s, d, "labels")),
         "op7_repeated_substrings": lambda s, d: suffixdedup.substring_query(table(s, d, "documents")),
@@ -22,4 +23,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op10_embedding_near_duplicates": embdedup.ORACLE, "op2_near_duplicates": neardup.ORACLE, "op5_decontamination": decontam.ORACLE, "op4_line_dedup": linededup.ORACLE, "op9_chat_format": chatfmt.ORACLE}
+    return {"op10_embedding_near_duplicates": embdedup.ORACLE, "op2_near_duplicates": neardup.ORACLE, "op5_decontamination": decontam.ORACLE, "op4_line_dedup": linededup.ORACLE, "op4_line_dedup_whole": linededup.ORACLE_WHOLE, "op9_chat_format": chatfmt.ORACLE}
