@@ -108,12 +108,13 @@ def test_line_dedup_edges(spark, empty):
 
 
 def test_line_dedup_finds_runs_of_any_number_of_lines(spark):
-    """Many short lines, and blank lines between: neither fits six lines."""
+    """Many short lines, blank lines between, and the short tail of a run: none fits six lines."""
     short = "\n".join(f"w{k} v{k}" for k in range(60))
     gaps = "\n\n\n".join(f"part {k} of the passage" for k in range(9))
-    rows = [(2 * k + j, f"{'ab'[j] * 5}{k}\n{t}\n{'cd'[j] * 5}{k}") for k, t in enumerate((short, gaps)) for j in (0, 1)]
+    tail = "\n".join(["z" * 200, *(f"tail {k:05d}" for k in range(8))])
+    rows = [(2 * k + j, f"{'ab'[j] * 5}{k}\n{t}\n{'cd'[j] * 5}{k}") for k, t in enumerate((short, gaps, tail)) for j in (0, 1)]
     got = {r.doc_id: (r.text, r.ld_removed) for r in linededup.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
-    for k, t in enumerate((short, gaps)):
+    for k, t in enumerate((short, gaps, tail)):
         assert got[2 * k] == (rows[2 * k][1], 0) and got[2 * k + 1] == (f"bbbbb{k}\nddddd{k}", t.count("\n") + 1)
 
 
