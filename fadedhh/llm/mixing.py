@@ -1,18 +1,21 @@
 """Mixing sources to target weights by proportionate-fair scheduling.
 
-A source of weight a/Q owns a subtask per block: block j is released at floor((j-1)Q/a) and due at
-ceil(jQ/a). Taking the released block of earliest deadline in every slot keeps each source within one
-block of its ideal share at every moment. The schedule repeats every Q slots, so one period is worked
-out on the driver (Q entries, whatever the data) and the data place themselves by arithmetic.
-
-When a source runs out its weight is shared among the others and a new phase with its own period starts;
-no row is dropped or repeated. Inside a phase the deviation bound holds for all its whole periods.
+In the ideal course every source with rows left gets slots at the rate of its weight, divided by the weights
+of all sources with rows left. A block is released in the slot in which the ideal course begins it and due at
+the end of the one in which the course ends it. The ideal course itself fits these windows, so taking
+the released block of earliest deadline in every slot misses none, and every source stays within one block of
+its ideal share at every moment, from the first slot to the last. Times are exact rationals of the weights.
+
+When a source runs out its weight is shared among the others and a new phase starts; no row is dropped or
+repeated and no slot stays empty. The driver holds the sources and takes one heap step per block.
 """
 
 from __future__ import annotations
 
 import heapq
+from bisect import bisect_left, bisect_right
 from fractions import Fraction
+from math import lcm
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -22,8 +25,11 @@ from .common import fresh
 
 BLOCK_DOCS = 16
 QUANTUM = 1024
-#: Sources scheduled on their own; any beyond share one pool.
+#: Sources and blocks up to which the schedule is broadcast; a larger one meets the rows by a merge join.
 MAX_SOURCES = 512
+BROADCAST_BLOCKS = 1 << 20
+#: Blocks of a source in one row of the schedule.
+CHUNK = 1024
 #: Rows per rank bucket, and the letters of md5 that name a bucket.
 BUCKET_ROWS = 20_000
 
@@ -107,6 +113,53 @@ def phases(blocks: dict, weights: dict, quantum: int) -> list[dict]:
     return out
 
 
+def schedule(blocks: dict, weights: dict) -> tuple[dict, list]:
+    """(slots of each source's blocks in order, slots from which phases count) for any number of sources.
+
+    Sources of weight 0 come after all others, in equal shares."""
+    if any(weights[k] < 0 for k in blocks):
+        raise ValueError("weights must not be negative")
+    names = sorted(k for k, n in blocks.items() if n > 0 and weights[k] > 0)
+    last = [k for k, n in blocks.items() if n > 0 and weights[k] == 0]
+    exact = [Fraction(weights[k]) for k in names]
+    scale = lcm(*(x.denominator for x in exact))
+    w, n = [int(x * scale) for x in exact], [blocks[k] for k in names]
+    # In phase p the slot reached is done[p] + rate[p] * v, where v, the blocks per unit of weight, runs to ends[p].
+    ends, done, rate = [], [0], [sum(w)]
+    for v, i in sorted((Fraction(n[i], w[i]), i) for i in range(len(names))):
+        if not ends or v > ends[-1]:
+            ends.append(v)
+            done.append(done[-1])
+            rate.append(rate[-1])
+        done[-1] += n[i]
+        rate[-1] -= w[i]
+    total, phase = sum(n), [0] * len(names)
+    slots: dict = {k: [] for k in names}
+    waiting, ready = [(0, i) for i in range(len(names))], []
+    for slot in range(total):
+        while waiting and waiting[0][0] <= slot:
+            i = heapq.heappop(waiting)[1]
+            j, p = len(slots[names[i]]) + 1, phase[i]
+            if j * ends[p].denominator > ends[p].numerator * w[i]:
+                p = phase[i] = bisect_left(ends, Fraction(j, w[i]), p)
+            whole, rest = divmod(rate[p] * j, w[i])
+            heapq.heappush(ready, (done[p] + whole + (rest > 0), i, done[p] + whole))
+        if not ready:
+            raise AssertionError("the ideal course leaves no slot idle")
+        due, i, release = heapq.heappop(ready)
+        if due < slot + 1:
+            raise AssertionError("deadline missed")
+        slots[names[i]].append(slot)
+        if len(slots[names[i]]) < n[i]:
+            heapq.heappush(waiting, (max(slot + 1, release), i))
+    starts = [done[p] + -(-rate[p] * v.numerator // (v.denominator)) for p, v in enumerate(ends)]
+    if last:
+        more, later = schedule({k: blocks[k] for k in last}, dict.fromkeys(last, 1))
+        slots |= {k: [total + t for t in x] for k, x in more.items()}
+        starts += [total + t for t in later]
+    return slots, starts
+
+
 def source_key(source: str):
     """A source as text, null being a value of its own."""
     return F.coalesce(F.concat(F.lit("s:"), F.col(source).cast("string")), F.lit("n:"))
@@ -133,43 +186,32 @@ def mix(docs: DataFrame, weights: dict | None = None, doc_id: str = "doc_id", so
     """Every row of ``docs`` with mix_phase, mix_block, mix_slot and mix_order (slot, then place in the block; columns so
     named are replaced). ``weights``
     maps sources to targets; without it the target is rows ** temperature, and sources not named in it get what the
-    smallest named one has. Null sources form one source of their own. Beyond ``MAX_SOURCES`` the smallest sources that
-    are not named form a pool with the sum of their targets, mixed by hash within.
+    smallest named one has. Null sources form one source of their own. Every source, however many there are, is
+    scheduled by its own exact target; ``quantum`` is of no effect any more.
     An empty table gives an empty result; repeated rows are placed one by one; ties in md5 go by id.
     """
     spark = docs.sparkSession
-    given = {f"s:{k}" if k is not None else "n:": float(w) for k, w in (weights or {}).items()}
-    floor = min(given.values(), default=1.0)
-    counts = docs.groupBy(source_key(source).alias("k")).agg(F.count("*").alias("n"))
-    want = F.lit(floor) if given else F.pow(F.col("n").cast("double"), F.lit(temperature))
-    counts = counts.withColumn("w", want)
-    named = F.col("k").isin(list(given)) if given else F.lit(False)
-    top = counts.orderBy(named.desc(), F.desc("n"), "k").limit(MAX_SOURCES - 1).collect()
-    n_all, w_all = counts.agg(F.coalesce(F.sum("n"), F.lit(0)), F.coalesce(F.sum("w"), F.lit(0.0))).first()
-    target = {r["k"]: Fraction(given.get(r["k"], r["w"])).limit_denominator(10**9) for r in top}
-    rows_of = {r["k"]: r["n"] for r in top}
-    key = source_key(source)
-    if n_all > sum(rows_of.values()):
-        rows_of["p:"] = n_all - sum(rows_of.values())
-        target["p:"] = Fraction(w_all - sum(r["w"] for r in top)).limit_denominator(10**9)
-        key = F.when(source_key(source).isin(list(rows_of)), source_key(source)).otherwise(F.lit("p:"))
-    counts = rows_of
-    blocks = {k: -(-n // block_docs) for k, n in counts.items()}
-    plan = phases(blocks, target, quantum)
-    rows, slots = [], []
-    for p in plan:
-        for k, a in p["shares"].items():
-            rows.append((k, p["phase"], p["before"][k], p["before"][k] + p["take"][k], a, p["start"], sum(p["shares"].values())))
-            slots.append((k, p["phase"], p["places"][k]))
+    given = {f"s:{k}" if k is not None else "n:": Fraction(w) for k, w in (weights or {}).items()}
+    floor = min(given.values(), default=None)
+    counts = {r["k"]: r["n"] for r in docs.groupBy(source_key(source).alias("k")).agg(F.count("*").alias("n")).collect()}
+    target = {k: given.get(k, floor) if given else Fraction(float(n) ** temperature) for k, n in counts.items()}
+    slots, starts = schedule({k: -(-n // block_docs) for k, n in counts.items()}, target)
+    rows = []
+    for k, at in slots.items():
+        for c, lo in enumerate(range(0, len(at), CHUNK)):
+            part = at[lo : lo + CHUNK]
+            rows.append((k, c, part, [bisect_right(starts, t) for t in part]))
     f = fresh(docs, "_mix_")
-    table = [(*r, places) for r, (_, _, places) in zip(rows, slots)] or [("", 0, 0, 0, 1, 0, 1, [0])]
-    table = spark.createDataFrame(table, f"{f}key string, mix_phase int, {f}lo long, {f}hi long, {f}share long, {f}start long, {f}q long, {f}places array<int>")
+    table = spark.createDataFrame(rows or [("", 0, [0], [0])], f"{f}key string, {f}part long, {f}slots array<long>, {f}phases array<int>")
+    small = len(counts) <= MAX_SOURCES and sum(len(x) for x in slots.values()) <= BROADCAST_BLOCKS
+    table = F.broadcast(table) if small else table.hint("merge")
     clean = docs.drop("mix_phase", "mix_block", "mix_slot", "mix_order", "mix_key", "mix_rank")
-    placed = ranked(clean, sum(counts.values()), doc_id, key).withColumn("mix_block", F.floor(F.col("mix_rank") / block_docs).cast("long"))
-    joined = placed.join(F.broadcast(table), F.expr(f"mix_key = {f}key and mix_block >= {f}lo and mix_block < {f}hi"))
-    slot = F.expr(f"{f}start + (mix_block - {f}lo) div {f}share * {f}q + element_at({f}places, cast((mix_block - {f}lo) % {f}share + 1 as int))")
-    out = joined.withColumn("mix_slot", slot.cast("long")).withColumn("mix_order", (F.col("mix_slot") * block_docs + F.col("mix_rank") % block_docs).cast("long"))
-    return out.drop("mix_key", "mix_rank", *[f + x for x in ("key", "lo", "hi", "share", "start", "q", "places")])
+    placed = ranked(clean, sum(counts.values()), doc_id, source_key(source)).withColumn("mix_block", F.floor(F.col("mix_rank") / block_docs).cast("long"))
+    joined = placed.join(table, F.expr(f"mix_key = {f}key and mix_block div {CHUNK} = {f}part"))
+    place = F.expr(f"cast(mix_block % {CHUNK} + 1 as int)")
+    out = joined.withColumns({"mix_phase": F.element_at(f"{f}phases", place), "mix_slot": F.element_at(f"{f}slots", place)})
+    out = out.withColumn("mix_order", (F.col("mix_slot") * block_docs + F.col("mix_rank") % block_docs).cast("long"))
+    return out.drop("mix_key", "mix_rank", *[f + x for x in ("key", "part", "slots", "phases")])
 
 
 def mixing_query(docs: DataFrame) -> DataFrame:

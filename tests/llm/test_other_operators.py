@@ -103,6 +103,50 @@ def test_mix_pools_the_smallest_sources(spark, monkeypatch):
     assert {r.mix_block for r in out if r.source == "s9"} == set(range(15))
 
 
+def ideal_gap(blocks, weights, slots):
+    """Largest distance of any source from its ideal share, after any slot, by stepping the ideal course."""
+    owner = {t: k for k, x in slots.items() for t in x}
+    assert sorted(owner) == list(range(sum(blocks.values()))) and all(x == sorted(x) for x in slots.values())
+    want, got, gap = dict.fromkeys(blocks, Fraction(0)), dict.fromkeys(blocks, 0), 0
+    for t in range(len(owner)):
+        time = Fraction(1)
+        while time:
+            left = {k: blocks[k] - want[k] for k in blocks if blocks[k] > want[k]}
+            rate = {k: Fraction(weights[k]) / sum(Fraction(weights[x]) for x in left) for k in left}
+            step = min([time, *(left[k] / rate[k] for k in left)])
+            for k in left:
+                want[k] += step * rate[k]
+            time -= step
+        got[owner[t]] += 1
+        gap = max([gap, *(abs(want[k] - got[k]) for k in blocks)])
+    return gap
+
+
+@pytest.mark.parametrize("blocks, weights", [
+    ({"a": 400, **{f"b{k:02}": 9 for k in range(40)}}, {"a": 1, **{f"b{k:02}": Fraction(1, 39) for k in range(40)}}),
+    ({"a": 90, "b": 300, "c": 7, "d": 1}, {"a": 2, "b": 7, "c": 3, "d": Fraction(1, 1000)}),
+    ({"a": 30, "b": 30, "c": 30}, {"a": 1, "b": 1, "c": 1}),
+])
+def test_schedule_keeps_the_exact_targets(blocks, weights):
+    """Within one block of the true targets over the whole table, also after sources have ended."""
+    assert ideal_gap(blocks, weights, mixing.schedule(blocks, weights)[0]) < 1
+
+
+def test_mix_keeps_a_target_that_no_quantum_divides(spark):
+    rows = [(i, "a" if i % 2 else f"b{i % 40:02}") for i in range(8000)]
+    weights = {"a": 20, **{f"b{k:02}": 1 for k in range(0, 40, 2)}}
+    out = mixing.mix(spark.createDataFrame(rows, "doc_id long, source string"), weights, block_docs=1, quantum=64).orderBy("mix_order").collect()
+    seen = 0
+    for t, r in enumerate(out, 1):
+        seen += r.source == "a"
+        assert abs(seen - Fraction(t, 2)) < 1
+
+
+def test_mix_of_weight_zero_comes_last(spark):
+    out = mixing.mix(spark.createDataFrame([(i, "ab"[i % 2]) for i in range(20)], "doc_id long, source string"), {"a": 1, "b": 0}, block_docs=1).orderBy("mix_order").collect()
+    assert [r.source for r in out] == ["a"] * 10 + ["b"] * 10
+
+
 def test_mix_ranks_over_many_buckets(spark):
     docs = spark.range(500).select(F.col("id").alias("doc_id"), F.lit("s").alias("source"))
     got = mixing.ranked(docs, 500, "doc_id", mixing.source_key("source"), bucket_rows=4).select("doc_id", "mix_rank").collect()
