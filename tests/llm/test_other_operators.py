@@ -142,6 +142,19 @@ def test_mix_keeps_a_target_that_no_quantum_divides(spark):
         assert abs(seen - Fraction(t, 2)) < 1
 
 
+def test_mix_schedules_every_source_by_its_weight(spark):
+    """More sources than MAX_SOURCES: all are named, so each must hold its own share."""
+    names = [f"s{k:04}" for k in range(600)]
+    rows = [(k * 4 + j, s) for k, s in enumerate(names) for j in range(4)]
+    weights = {s: 1 + k % 3 for k, s in enumerate(names)}
+    out = mixing.mix(spark.createDataFrame(rows, "doc_id long, source string"), weights, block_docs=1).collect()
+    assert sorted(r.mix_slot for r in out) == list(range(2400))
+    half = 600  # of weight 3, 2, 1 in turn: no source has ended yet
+    for k, s in enumerate(names):
+        assert abs(sum(r.source == s and r.mix_slot < half for r in out) - Fraction(half * weights[s], sum(weights.values()))) < 1
+    assert {r.mix_phase for r in out if r.mix_slot < half} == {0}
+
+
 def test_mix_of_weight_zero_comes_last(spark):
     out = mixing.mix(spark.createDataFrame([(i, "ab"[i % 2]) for i in range(20)], "doc_id long, source string"), {"a": 1, "b": 0}, block_docs=1).orderBy("mix_order").collect()
     assert [r.source for r in out] == ["a"] * 10 + ["b"] * 10
