@@ -59,10 +59,11 @@ def _matrix(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
 
 
 def projections(dim: int, count: int, seed: int = 5) -> np.ndarray:
-    """Standard normal numbers from a counter, so that every task has the same without sharing a table."""
-    n = dim * count
-    u = (tb.mix64(np.arange(1, 2 * n + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.uint64(seed)) >> np.uint64(11)).astype(float) / 2**53
-    return (np.sqrt(-2 * np.log(1 - u[:n])) * np.cos(2 * pi * u[n:])).reshape(dim, count)
+    """Standard normal numbers, each from the counter of its own row and column: every task has the same without sharing
+    a table, and longer vectors only add rows."""
+    at = (np.arange(count, dtype=np.uint64)[None, :] << np.uint64(32)) + np.arange(dim, dtype=np.uint64)[:, None]
+    u, v = ((tb.mix64((np.uint64(2) * at + np.uint64(k)) * np.uint64(0x9E3779B97F4A7C15) + np.uint64(seed)) >> np.uint64(11)).astype(float) / 2**53 for k in (1, 2))
+    return np.sqrt(-2 * np.log(1 - u)) * np.cos(2 * pi * v)
 
 
 def _keys(x: np.ndarray, m: int, tables: int, width: float) -> np.ndarray:

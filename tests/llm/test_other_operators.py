@@ -218,6 +218,12 @@ def test_embeddings(spark, block):
     assert embdedup.link_vectors(df.limit(0)).count() == 0
 
 
+def test_projections_do_not_depend_on_the_longest_vector():
+    p = embdedup.projections(64, 300)
+    assert (embdedup.projections(80, 300)[:64] == p).all() and (embdedup.projections(64, 310)[:, :300] == p).all()
+    assert abs(p.mean()) < 0.03 and abs(p.std() - 1) < 0.03 and np.abs(np.corrcoef(p) - np.eye(64)).max() < 0.3
+
+
 def test_embedding_plan_reaches_recall():
     for n in (100, 10**4, 10**7):
         m, tables = embdedup.plan(n)
