@@ -9,6 +9,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from fadedhh.shipping import arrow_map
+
 from .params import SketchParams
 from .sketch import row_hashes
 
@@ -59,7 +61,7 @@ def heavy_hitters(weighted: DataFrame, params: SketchParams, phi: float) -> Data
                     del best[i]
         yield pa.RecordBatch.from_arrays([pa.array(list(best), pa.int64())], names=["item"])
 
-    items = rows.mapInArrow(run, "item long").distinct()
+    items = arrow_map(rows, run, "item long").distinct()
     total = weighted.agg(F.coalesce(F.sum("x"), F.lit(0.0)).alias("c"))
     est = estimate(build(weighted, params), params, items)
     return est.crossJoin(F.broadcast(total)).where(F.col("est") > F.lit(phi) * F.col("c")).select("item", "est")

@@ -12,6 +12,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from fadedhh.shipping import arrow_map
+
 from .params import SketchParams
 from .sketch import row_hashes
 
@@ -28,7 +30,7 @@ def _per_partition(rows: DataFrame, step, schema: str, finish):
             state = step(state, item.tolist(), count.tolist(), seen)
         yield finish(state, seen)
 
-    return rows.select("item").where("item is not null").mapInArrow(run, schema)
+    return arrow_map(rows.select("item").where("item is not null"), run, schema)
 
 
 def _shrink(state: dict, k: int) -> dict:

@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 from fadedhh.functions import cell
 from fadedhh.functions.decay import forward_raw
-from fadedhh.shipping import ensure_shipped
+from fadedhh.shipping import arrow_map
 
 from .kernel import NumpySketch, reduce_by_key
 from .params import SketchParams
@@ -73,7 +73,6 @@ def local_sketches(weighted: DataFrame, params: SketchParams, combine: bool = Tr
     Without a shard column every partition is a shard: nothing is shuffled, and a task holds one sketch. With
     one, rows stay where they are and a task holds one sketch per shard it meets.
     """
-    ensure_shipped(weighted.sparkSession)
     jvm = params.profile == "xx64"
     cols = params.hashes.columns(F.col("item")) if jvm else []
     lead = [F.col(shard).cast("int").alias("shard")] if shard else []
@@ -104,7 +103,7 @@ def local_sketches(weighted: DataFrame, params: SketchParams, combine: bool = Tr
         for k, sketch in held.items():
             yield sketch.rows(k)
 
-    return rows.mapInArrow(run, "shard int, " + CELLS)
+    return arrow_map(rows, run, "shard int, " + CELLS)
 
 
 def counts_of(local: DataFrame) -> DataFrame:
@@ -137,7 +136,6 @@ def merge_folded(local: DataFrame, shards: int, fan_in: int = 64) -> DataFrame:
 def reduce_local(local: DataFrame, params: SketchParams, partitions: int | None = None) -> tuple[DataFrame, DataFrame]:
     """(cells, count) of kernel output, by one shuffle that both share: each task streams the partial cells of its share
     of the grid through the vectorised merge, holding at most the grid and one batch; counts add up on the way."""
-    ensure_shipped(local.sparkSession)
     w = params.w
     parts = partitions or int(local.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
@@ -153,7 +151,7 @@ def reduce_local(local: DataFrame, params: SketchParams, partitions: int | None
         yield grid.rows(0).select(["row", "col", "i1", "f1", "i2", "f2"])
 
     rows = local.select("row", "col", "i1", "f1", "i2", "f2").repartition(min(parts, 64), "row", "col")
-    merged = rows.mapInArrow(run, CELLS)
+    merged = arrow_map(rows, run, CELLS)
     return merged.where("row >= 0"), merged.where("row = -1").agg(F.coalesce(F.sum("f1"), F.lit(0.0)).alias("c"))
 
 

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from fadedhh.functions import cell
+from fadedhh.shipping import arrow_map
 
 
 def fold_stream(weighted: DataFrame, k: int) -> DataFrame:
@@ -45,7 +46,7 @@ def build(weighted: DataFrame, k: int) -> DataFrame:
         kind = pa.list_(pa.struct([("n", pa.float64()), ("i", pa.int64())]))
         yield pa.RecordBatch.from_arrays([pa.array([mass]), pa.array([[{"n": n, "i": i} for n, i in pairs]], kind)], names=["mass", "cell"])
 
-    made = rows.mapInArrow(run, f"mass double, cell {cell.TYPE}")
+    made = arrow_map(rows, run, f"mass double, cell {cell.TYPE}")
     return made.select(F.spark_partition_id().alias("shard"), "mass", "cell")
 
 

@@ -6,7 +6,7 @@ import tempfile
 import zipfile
 from pathlib import Path
 
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 
 _sent: set[str] = set()
 
@@ -23,3 +23,15 @@ def ensure_shipped(spark: SparkSession) -> None:
             z.write(f, str(f.relative_to(top.parent)))
     context.addPyFile(str(path))
     _sent.add(context.applicationId)
+
+
+def arrow_map(df: DataFrame, function, schema: str) -> DataFrame:
+    """``mapInArrow`` of a function of this package, whoever made ``df``."""
+    ensure_shipped(df.sparkSession)
+    return df.mapInArrow(function, schema)
+
+
+def arrow_groups(grouped, df: DataFrame, function, schema: str) -> DataFrame:
+    """``applyInArrow`` of a function of this package on groups of ``df``."""
+    ensure_shipped(df.sparkSession)
+    return grouped.applyInArrow(function, schema)

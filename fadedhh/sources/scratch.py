@@ -2,15 +2,24 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
 from pyspark.sql import SparkSession
 
 
-def scratch_path(spark: SparkSession, name: str) -> str:
-    """A fresh path under the session's checkpoint folder; only where none is set, under a temporary one."""
+def shared_root(spark: SparkSession) -> str:
+    """The folder that the driver and all executors share: the session's checkpoint folder. Only a session whose tasks run
+    in the driver's own process may do without one; it gets a temporary folder."""
     root = spark.conf.get("spark.checkpoint.dir", None) or getattr(spark, "_own_scratch", None)
     if not root:
+        if not re.match(r"local($|\[)", spark.sparkContext.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         root = spark._own_scratch = tempfile.mkdtemp(prefix="scratch-")
-    return f"{root.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    return root.rstrip("/")
+
+
+def scratch_path(spark: SparkSession, name: str) -> str:
+    """A fresh path under the shared folder."""
+    return f"{shared_root(spark)}/{name}-{uuid.uuid4().hex}"

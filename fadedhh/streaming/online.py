@@ -73,17 +73,18 @@ def run_sites(stream: DataFrame, params: SketchParams, site: str = "site") -> Da
 
 
 def snapshot_writer(params: SketchParams, path: str):
-    """foreachBatch function: writes each touched site's newest sketch as a snapshot numbered by the batch."""
+    """foreachBatch function: writes each touched site's newest sketch as a snapshot numbered by the batch.
+    A batch that is run again replaces its snapshot."""
 
     def write(batch: DataFrame, batch_id: int) -> None:
         last = batch.groupBy(F.col("site").alias("s")).agg(F.max("seen").alias("m"))
         rows = batch.join(F.broadcast(last), F.expr("site = s and seen = m")).select("site", "row", "col", "i1", "f1", "i2", "f2")
         cells = rows.where("row >= 0")
-        cells.withColumn("snapshot", F.lit(batch_id)).write.mode("append").partitionBy("snapshot").parquet(f"{path}/cells")
+        cells.write.mode("overwrite").parquet(f"{path}/cells/snapshot={batch_id}")
         import json
 
-        meta = rows.where("row = -1").select("site", F.col("f1").alias("lcount"), F.lit(json.dumps(params.describe())).alias("params"), F.lit(batch_id).alias("snapshot"))
-        meta.write.mode("append").partitionBy("snapshot").parquet(f"{path}/meta")
+        meta = rows.where("row = -1").select("site", F.col("f1").alias("lcount"), F.lit(json.dumps(params.describe())).alias("params"))
+        meta.write.mode("overwrite").parquet(f"{path}/meta/snapshot={batch_id}")
 
     return write
 
