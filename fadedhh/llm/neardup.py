@@ -7,12 +7,13 @@ One 63-bit hash per shingle; a document's sketch is its k smallest distinct hash
    ``least_shared`` of k values (all but one pair in a million), so a class need only be listed under its
    ``k - least_shared + 1`` rarest values: very common passages drop out of the lists by themselves.
 3. Classes that share a list get a second, larger sketch of their full sets (most sets fit it whole) and new lists by
-   the same rule, with the place of each value in the class's order of rarity.
-4. Each class meets the most central classes of its lists; the exact Jaccard of full sets confirms, and confirmed links
-   give first components. Groups of copies become one component here, from a linear number of meetings.
-5. In lists that still hold several components, classes outside the largest meet members of other components,
-   if the sizes and the places of the shared value leave room for the overlap (every pair meets at its rarest shared
-   value, where that bound is exact). The union-sketch estimate filters and full sets confirm again. No list is cut.
+   the same rule; what it does not list is done with.
+4. Each class meets the most central classes of its new lists; the exact Jaccard of full sets confirms, and confirmed
+   links give first components. Groups of copies become one component here, from a linear number of meetings.
+5. In lists of the first sketch that still hold several components, classes outside the largest meet members of other
+   components. A pair meets in one list only, that of the rarest value both are listed under, and only if the sizes and
+   the union-sketch estimate allow; the sketches travel with the lists, so pairs that fail are never written. Full
+   sets confirm again. No list is cut.
 6. Components of all links.
 """
 
@@ -25,6 +26,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from fadedhh.shipping import arrow_map
+
 from . import textbytes as tb
 from .common import connected_components, settle
 
@@ -86,7 +89,8 @@ def sketch_table(docs: DataFrame, doc_id: str, text: str, width: int, k: int) ->
                 sk.append(u[:k].copy())  # a view would keep the whole set alive
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n, pa.int64()), pa.array(f1, pa.int64()), pa.array(f2, pa.int64()), _lists(sk)], names=["d", "n", "f1", "f2", "sk"])
 
-    return docs.select(F.col(doc_id).cast("long").alias("d"), F.col(text).alias("t")).mapInArrow(run, "d long, n long, f1 long, f2 long, sk array<long>")
+    rows = docs.select(F.col(doc_id).cast("long").alias("d"), F.col(text).alias("t"))
+    return arrow_map(rows, run, "d long, n long, f1 long, f2 long, sk array<long>")
 
 
 def full_sets(docs: DataFrame, wanted: DataFrame, doc_id: str, text: str, width: int) -> DataFrame:
@@ -100,12 +104,12 @@ def full_sets(docs: DataFrame, wanted: DataFrame, doc_id: str, text: str, width:
                 yield pa.RecordBatch.from_arrays([b.column(0).slice(i, j - i), pa.array([len(u) for u in sets], pa.int64()), _lists(sets)], names=["d", "n", "st"])
 
     rows = docs.select(F.col(doc_id).cast("long").alias("d"), F.col(text).alias("t")).join(wanted.select(F.col("rep").alias("d")).hint("merge"), "d", "left_semi")
-    return rows.mapInArrow(run, "d long, n long, st array<long>")
+    return arrow_map(rows, run, "d long, n long, st array<long>")
 
 
 def _listing(sketches: DataFrame, shared: DataFrame, k: int, percent: int) -> DataFrame:
-    """(rep, n, size, c, pv, at): per class the shared values it is listed under, rarest first, the place of the first of
-    them among its ``size`` sketch values, and how many of those are shared at all. ``shared`` has (v, df), df > 1.
+    """(rep, n, size, c, pv): per class the shared values it is listed under, rarest first, its ``size`` sketch values and
+    how many of those are shared at all. ``shared`` has (v, df), df > 1.
 
     A set of at most k * percent / 100 values and every similar one lie whole in their sketches: there the overlap
     needed is exact. Else it is the sampled one, or the exact one where that is smaller.
@@ -116,7 +120,7 @@ def _listing(sketches: DataFrame, shared: DataFrame, k: int, percent: int) -> Da
     both = lists.join(sketches.select("rep", "n", F.size("sk").alias("size")).hint("merge"), "rep")
     overlap = F.when(F.col("n") <= k * percent // 100, F.ceil(F.col("n") * percent / 100)).otherwise(F.least(F.lit(need), F.ceil(F.col("n") * percent / 100)))
     both = both.withColumn("c", F.size("dv")).withColumn("spare", (F.col("c") - overlap + 1).cast("int")).where("spare > 0")
-    return both.select("rep", "n", "size", "c", F.transform(F.slice("dv", F.lit(1), F.col("spare")), lambda x: x["v"]).alias("pv"), (F.col("size") - F.col("c")).alias("at"))
+    return both.select("rep", "n", "size", "c", F.transform(F.slice("dv", F.lit(1), F.greatest("spare", F.lit(0))), lambda x: x["v"]).alias("pv"))
 
 
 def _estimate_ok(sa: str, sb: str, k: int, need: int, percent: int):
@@ -152,34 +156,30 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     sets = settle(full_sets(docs, settle(lists.join(heads.hint("merge"), "v").select("rep").distinct()), doc_id, text, width))
 
     large = sets.select(F.col("d").alias("rep"), "n", F.slice("st", 1, k_full).alias("sk"))
-    listed = settle(_listing(large, count(large), k_full, percent))
-    lists = listed.select("rep", "n", "size", "c", F.posexplode("pv").alias("i", "v"), "at").withColumn("at", (F.col("at") + F.col("i")).cast("int")).drop("i")
+    wide = settle(_listing(large, count(large), k_full, percent))
+    lists = wide.select("rep", "size", "c", F.explode("pv").alias("v"))
     rank = F.struct(F.floor(F.col("c") * 1000 / F.col("size")).alias("c"), (-F.col("rep")).alias("r"))
     heads = settle(lists.groupBy("v").agg(F.count("*").alias("m"), F.max(rank).alias("h")).where("m > 1").select("v", (-F.col("h.r")).alias("head")))
-    member = settle(lists.join(heads.hint("merge"), "v"))
-
-    meet = member.where("rep <> head").groupBy("rep", "head").agg(F.count("*").alias("m"))
+    meet = lists.join(heads.hint("merge"), "v").where("rep <> head").groupBy("rep", "head").agg(F.count("*").alias("m"))
     best = meet.groupBy("rep").agg(F.slice(F.sort_array(F.collect_list(F.struct((-F.col("m")).alias("m"), "head"))), 1, HEADS).alias("h"))
     best = settle(best.select(F.col("rep").alias("a"), F.explode(F.transform("h", lambda x: x["head"])).alias("b")))
     first = settle(_confirm(best, sets, percent))
     comp = connected_components(first).select(F.col("node").alias("rep"), "comp")
 
-    placed = settle(member.drop("head").join(comp.hint("merge"), "rep", "left").withColumn("comp", F.coalesce("comp", "rep")))
-    groups = placed.groupBy("v", "comp").agg(F.count("*").alias("m"))
+    reps = settle(listed.select("rep").join(wide.select("rep").hint("merge"), "rep", "left_semi").join(comp.hint("merge"), "rep", "left").withColumn("comp", F.coalesce("comp", "rep")))
+    short = listed.select("rep", "n", "pv").join(reps.hint("merge"), "rep")
+    groups = short.select("comp", F.explode("pv").alias("v")).groupBy("v", "comp").agg(F.count("*").alias("m"))
     mixed = settle(groups.groupBy("v").agg(F.count("*").alias("kinds"), F.max(F.struct("m", "comp")).alias("big")).where("kinds > 1").select("v", F.col("big.comp").alias("big")))
-    open_ = settle(placed.join(mixed.hint("merge"), "v"))
-    side = lambda p: [F.col(x).alias(f"{x}_{p}") for x in ("rep", "comp", "n", "size", "at")]
+    full = short.join(classes.select("rep", "sk").hint("merge"), "rep").select("rep", "comp", "n", "sk", "pv", F.posexplode("pv").alias("i", "v"))
+    open_ = settle(full.withColumn("pre", F.expr("slice(pv, 1, i)")).drop("pv", "i").join(mixed.hint("merge"), "v"))
+    side = lambda p: [F.col(x).alias(f"{x}_{p}") for x in ("rep", "comp", "n", "pre", "sk")]
     apart = (F.col("comp_a") != F.col("comp_b")) & ((F.col("comp_b") == F.col("big")) | (F.col("rep_a") < F.col("rep_b")))
     sizes = (F.col("n_a") * 100 >= percent * F.col("n_b")) & (F.col("n_b") * 100 >= percent * F.col("n_a"))
-    whole = (F.col("n_a") <= k_full) & (F.col("n_b") <= k_full)
-    needed = F.when(whole, (F.col("n_a") + F.col("n_b")) * percent / (100 + percent)).otherwise(F.lit(float(least_shared(k_full, percent))))
-    room = F.least(F.col("size_a") - F.col("at_a"), F.col("size_b") - F.col("at_b")) >= needed - 1e-9
+    once = ~F.arrays_overlap("pre_a", "pre_b")
+    near = _estimate_ok("sk_a", "sk_b", k, least_shared(k, percent), percent)
     outside = open_.where("comp <> big").select("v", *side("a"))
-    pairs = outside.join(open_.select("v", "big", *side("b")).hint("merge"), "v").where(apart & sizes & room).select(F.col("rep_a").alias("a"), F.col("rep_b").alias("b")).distinct()
-    sk = classes.select("rep", "sk")
-    pairs = settle(pairs).join(sk.select(F.col("rep").alias("a"), F.col("sk").alias("sa")).hint("merge"), "a").join(sk.select(F.col("rep").alias("b"), F.col("sk").alias("sb")).hint("merge"), "b")
-    pairs = pairs.where(_estimate_ok("sa", "sb", k, least_shared(k, percent), percent)).select("a", "b")
-    second = settle(_confirm(settle(pairs), sets, percent))
+    pairs = outside.join(open_.select("v", "big", *side("b")).hint("merge"), "v").where(apart & sizes & once & near).select(F.col("rep_a").alias("a"), F.col("rep_b").alias("b"))
+    second = settle(_confirm(settle(pairs.distinct()), sets, percent))
     final = connected_components(first.union(second)).select(F.col("node").alias("rep"), "comp")
     place = settle(classes.select("n", "f1", "f2", "rep").join(final, "rep", "left").select(F.col("n").alias("cn"), F.col("f1").alias("c1"), F.col("f2").alias("c2"), F.coalesce("comp", "rep").alias("comp")))
     res = d.select("d", "n", "f1", "f2").join(place.hint("merge"), F.expr("n = cn and f1 = c1 and f2 = c2"), "left")
