@@ -2,13 +2,13 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from fadedhh.shipping import ensure_shipped
+from fadedhh.sources.scratch import shared_root
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -17,16 +17,6 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_root(spark: SparkSession) -> str:
-    """The folder all executors share. It is the session's checkpoint folder; only where none is set
-    (unit tests on one machine) a temporary one is made."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if not root:
-        root = getattr(spark, "_own_settled_root", None) or tempfile.mkdtemp(prefix="settled-")
-        spark._own_settled_root = root
-    return root
-
-
 def fresh(df: DataFrame, prefix: str) -> str:
     """The prefix, lengthened until no column of ``df`` starts with it: names for passing columns."""
     while any(c.lower().startswith(prefix) for c in df.columns):
@@ -35,7 +25,7 @@ def fresh(df: DataFrame, prefix: str) -> str:
 
 
 def _folder(spark: SparkSession) -> str:
-    return f"{shared_root(spark).rstrip('/')}/settled-{spark.sparkContext.applicationId}"
+    return f"{shared_root(spark)}/settled-{spark.sparkContext.applicationId}"
 
 
 def forget(spark: SparkSession) -> None:

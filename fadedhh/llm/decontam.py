@@ -14,6 +14,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from fadedhh.shipping import arrow_map
+
 from . import textbytes as tb
 
 WINDOW = 13
@@ -253,7 +255,7 @@ def _one_pass(docs: DataFrame, bench: Windows, doc_id: str, text: str) -> DataFr
             names = pa.array([bench.items[k] for k in item.tolist()], pa.string())
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(counts, pa.int64()), spans, pa.ListArray.from_arrays(pa.array(iat.astype(np.int32)), names)], names=["doc_id", "th", "n_words", "spans", "items"])
 
-    return frame.mapInArrow(run, f"doc_id {dict(frame.dtypes)['doc_id']}, th long, n_words long, spans array<struct<s:long,e:long>>, items array<string>")
+    return arrow_map(frame, run, f"doc_id {dict(frame.dtypes)['doc_id']}, th long, n_words long, spans array<struct<s:long,e:long>>, items array<string>")
 
 
 def verdicts(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:

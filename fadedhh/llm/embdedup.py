@@ -18,6 +18,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from fadedhh.shipping import arrow_map
+
 from . import textbytes as tb
 from .common import connected_components, settle
 
@@ -164,7 +166,7 @@ def link_vectors(emb: DataFrame, vec_id: str = "vec_id", vector: str = "embeddin
             off = pa.array(np.arange(0, tables * (len(k) + 1), tables).astype(np.int32))
             yield pa.RecordBatch.from_arrays([*b.columns, pa.ListArray.from_arrays(off, pa.array(k.reshape(-1)))], names=["label", "rep", "mult", "vec", "keys"])
 
-    keyed = settle(classes.select("label", "rep", "mult", "vec").mapInArrow(hashed, f"label long, rep long, mult long, vec {kind}, keys array<int>"))
+    keyed = settle(arrow_map(classes.select("label", "rep", "mult", "vec"), hashed, f"label long, rep long, mult long, vec {kind}, keys array<int>"))
     spread = keyed.select("label", "rep", F.posexplode("keys").alias("tb", "key"))
     shared = settle(spread.groupBy("label", "tb", "key").agg(F.count("*").alias("size")).where("size > 1"))
     member = spread.join(shared.hint("merge"), ["label", "tb", "key"])
@@ -175,7 +177,7 @@ def link_vectors(emb: DataFrame, vec_id: str = "vec_id", vector: str = "embeddin
     full = full.select("tb", "key", "label", "bi", "bj", "side", (F.col("bi") == F.col("bj")).alias("own"), "rep", "mult", "vec", "keys")
     parts = int(emb.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     full = full.repartition(parts, "tb", "key", "label", "bi", "bj").sortWithinPartitions("tb", "key", "label", "bi", "bj")
-    links = settle(full.mapInArrow(lambda it: _grouped(it, threshold), "a long, b long, c long"))
+    links = settle(arrow_map(full, lambda it: _grouped(it, threshold), "a long, b long, c long"))
     count = links.groupBy(F.col("a").alias("rep")).agg(F.sum("c").alias("c"))
     comp = connected_components(links).select(F.col("node").alias("rep"), "comp")
     place = settle(classes.select("label", "h", "g", "rep", "mult").join(count, "rep", "left").join(comp, "rep", "left").select(F.col("label").alias("cl"), F.col("h").alias("ch"), F.col("g").alias("cg"), F.coalesce("comp", "rep").alias("comp"), (F.coalesce("c", F.lit(0)) + F.col("mult") - 1).alias("links")))

@@ -13,6 +13,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from fadedhh.shipping import arrow_map
+
 from . import textbytes as tb
 
 DIM = 1024
@@ -94,7 +96,7 @@ def fit(train: DataFrame, text: str = "text", lang: str = "lang", dim: int = DIM
             yield pa.RecordBatch.from_arrays([pa.array([x]), pa.array([v.tolist()])], names=["lang", "vec"])
 
     rows = train.select(F.col(text).alias("t"), F.col(lang).alias("l")).where("t is not null and l is not null")
-    parts = rows.mapInArrow(partial, "lang string, vec array<double>")
+    parts = arrow_map(rows, partial, "lang string, vec array<double>")
     sums = parts.select("lang", F.posexplode("vec").alias("at", "x")).groupBy("lang", "at").agg(F.sum("x").alias("x"))
     got = sums.groupBy("lang").agg(F.sort_array(F.collect_list(F.struct("at", "x"))).alias("v")).orderBy("lang").collect()
     return [r["lang"] for r in got], np.array([[p["x"] for p in r["v"]] for r in got]).reshape(len(got), dim)
@@ -131,7 +133,7 @@ def predict(docs: DataFrame, names: list[str], prototypes: np.ndarray, text: str
             yield pa.RecordBatch.from_arrays([*b.columns[:n], pa.array(pred, pa.string()), pa.array(best, pa.float64())], schema=None, names=[*[f"k{i}" for i in range(n)], "lang_pred", "score"])
 
     kinds = dict(frame.dtypes)
-    out = frame.mapInArrow(score, ", ".join([*[f"k{i} {kinds[f'k{i}']}" for i in range(n)], "lang_pred string", "score double"]))
+    out = arrow_map(frame, score, ", ".join([*[f"k{i} {kinds[f'k{i}']}" for i in range(n)], "lang_pred string", "score double"]))
     return out.select(*[F.col(f"k{i}").alias(c) for i, c in enumerate(keep)], "lang_pred", "score")
 
 

@@ -22,6 +22,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from fadedhh.shipping import arrow_map
+
 from . import textbytes as tb
 from .common import settle
 
@@ -360,7 +362,7 @@ def remove_repeats(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     copies = whole.join(firsts.hint("merge"), F.expr("th = fh and t2 = f2 and n = fn")).where(F.struct("d") > F.col("f"))
     copies = copies.select("d", "th", F.lit(0).cast("long").alias("s"), F.col("n").alias("e"))
 
-    counted = rows.select("blk", "th", "t").mapInArrow(lambda it: _count(it, length, gram), "fp long, blk int, th long, many boolean, n int")
+    counted = arrow_map(rows.select("blk", "th", "t"), lambda it: _count(it, length, gram), "fp long, blk int, th long, many boolean, n int")
     same = W.partitionBy("fp")
     judged = counted.select("fp", "blk", F.min("th").over(same).alias("lo"), F.max("th").over(same).alias("hi"), F.max("many").over(same).alias("many"), F.sum("n").over(same).alias("n"))
     wanted = judged.where("lo <> hi or many").select("blk", "fp", (F.col("n") > hot).alias("hot"))
@@ -370,7 +372,7 @@ def remove_repeats(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
 
     cut = rows.groupBy("blk").cogroup(wanted.groupBy("blk")).applyInArrow(contexts, _SCHEMA)
     met = cut.repartition(spark_partitions(spark), "fp").sortWithinPartitions("fp")
-    marks = met.mapInArrow(lambda it: _by_anchor(it, length), "d long, th long, s long, e long")
+    marks = arrow_map(met, lambda it: _by_anchor(it, length), "d long, th long, s long, e long")
     marks = marks.select(F.when(F.col("d") != _MIN, F.col("d")).alias("d"), "th", "s", "e").union(copies)
     marks = marks.withColumn("blk", block(F.col("d")))
     done = rows.groupBy("blk").cogroup(marks.groupBy("blk")).applyInArrow(lambda a, b: _finish(a, b), "d long, n_bytes long, n_removed long, starts array<long>, stops array<long>, kept binary")
