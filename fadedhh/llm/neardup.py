@@ -10,10 +10,10 @@ One 63-bit hash per shingle; a document's sketch is its k smallest distinct hash
    the same rule; what it does not list is done with.
 4. Each class meets the most central classes of its new lists; the exact Jaccard of full sets confirms, and confirmed
    links give first components. Groups of copies become one component here, from a linear number of meetings.
-5. In lists of the first sketch that still hold several components, classes outside the largest meet members of other
-   components. A pair meets in one list only, that of the rarest value both are listed under, and only if the sizes and
-   the union-sketch estimate allow; the sketches travel with the lists, so pairs that fail are never written. Full
-   sets confirm again. No list is cut.
+5. In lists that still hold several components, classes outside the largest meet members of other components. A pair
+   meets in one list only, that of the rarest value both are listed under, where the bound on its overlap by the places of
+   that value is exact, and only if the sizes and the bound allow; the values before travel with the lists, so pairs
+   that fail are never written. The union-sketch estimate filters and full sets confirm again. No list is cut.
 6. Components of all links.
 """
 
@@ -126,7 +126,7 @@ def _listing(sketches: DataFrame, shared: DataFrame, k: int, percent: int) -> Da
 def _estimate_ok(sa: str, sb: str, k: int, need: int, percent: int):
     """Union-sketch estimate: of the k smallest values of both sketches, how many lie in both."""
     both = F.array_intersect(sa, sb)
-    union = F.slice(F.array_sort(F.array_union(sa, sb)), 1, k)
+    union = F.slice(F.sort_array(F.array_union(sa, sb)), 1, k)
     shared = F.size(F.array_intersect(both, union))
     return F.when(F.size(union) < k, F.size(both) * 100 >= percent * F.size(union)).otherwise(shared >= need)
 
@@ -166,20 +166,25 @@ def near_duplicates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text",
     first = settle(_confirm(best, sets, percent))
     comp = connected_components(first).select(F.col("node").alias("rep"), "comp")
 
-    reps = settle(listed.select("rep").join(wide.select("rep").hint("merge"), "rep", "left_semi").join(comp.hint("merge"), "rep", "left").withColumn("comp", F.coalesce("comp", "rep")))
-    short = listed.select("rep", "n", "pv").join(reps.hint("merge"), "rep")
+    short = settle(wide.join(comp.hint("merge"), "rep", "left").withColumn("comp", F.coalesce("comp", "rep")))
     groups = short.select("comp", F.explode("pv").alias("v")).groupBy("v", "comp").agg(F.count("*").alias("m"))
     mixed = settle(groups.groupBy("v").agg(F.count("*").alias("kinds"), F.max(F.struct("m", "comp")).alias("big")).where("kinds > 1").select("v", F.col("big.comp").alias("big")))
-    full = short.join(classes.select("rep", "sk").hint("merge"), "rep").select("rep", "comp", "n", "sk", "pv", F.posexplode("pv").alias("i", "v"))
-    open_ = settle(full.withColumn("pre", F.expr("slice(pv, 1, i)")).drop("pv", "i").join(mixed.hint("merge"), "v"))
-    side = lambda p: [F.col(x).alias(f"{x}_{p}") for x in ("rep", "comp", "n", "pre", "sk")]
+    full = short.select("rep", "comp", "n", "size", "c", "pv", F.posexplode("pv").alias("i", "v"))
+    placed = full.select("v", "rep", "comp", "n", (F.col("size") - F.col("c") + F.col("i")).alias("at"), "size", F.expr("slice(pv, 1, i)").alias("pre"))
+    open_ = settle(placed.join(mixed.hint("merge"), "v"))
+    side = lambda p: [F.col(x).alias(f"{x}_{p}") for x in ("rep", "comp", "n", "at", "size", "pre")]
     apart = (F.col("comp_a") != F.col("comp_b")) & ((F.col("comp_b") == F.col("big")) | (F.col("rep_a") < F.col("rep_b")))
     sizes = (F.col("n_a") * 100 >= percent * F.col("n_b")) & (F.col("n_b") * 100 >= percent * F.col("n_a"))
+    whole = (F.col("n_a") <= k_full) & (F.col("n_b") <= k_full)
+    needed = F.when(whole, (F.col("n_a") + F.col("n_b")) * percent / (100 + percent)).otherwise(F.lit(float(least_shared(k_full, percent))))
+    room = F.least(F.col("size_a") - F.col("at_a"), F.col("size_b") - F.col("at_b")) >= needed - 1e-9
     once = ~F.arrays_overlap("pre_a", "pre_b")
-    near = _estimate_ok("sk_a", "sk_b", k, least_shared(k, percent), percent)
     outside = open_.where("comp <> big").select("v", *side("a"))
-    pairs = outside.join(open_.select("v", "big", *side("b")).hint("merge"), "v").where(apart & sizes & once & near).select(F.col("rep_a").alias("a"), F.col("rep_b").alias("b"))
-    second = settle(_confirm(settle(pairs.distinct()), sets, percent))
+    pairs = outside.join(open_.select("v", "big", *side("b")).hint("merge"), "v").where(apart & sizes & room & once).select(F.col("rep_a").alias("a"), F.col("rep_b").alias("b"))
+    sk = classes.select("rep", "sk")
+    pairs = settle(pairs).join(sk.select(F.col("rep").alias("a"), F.col("sk").alias("sa")).hint("merge"), "a").join(sk.select(F.col("rep").alias("b"), F.col("sk").alias("sb")).hint("merge"), "b")
+    pairs = pairs.where(_estimate_ok("sa", "sb", k, least_shared(k, percent), percent)).select("a", "b")
+    second = settle(_confirm(settle(pairs), sets, percent))
     final = connected_components(first.union(second)).select(F.col("node").alias("rep"), "comp")
     place = settle(classes.select("n", "f1", "f2", "rep").join(final, "rep", "left").select(F.col("n").alias("cn"), F.col("f1").alias("c1"), F.col("f2").alias("c2"), F.coalesce("comp", "rep").alias("comp")))
     res = d.select("d", "n", "f1", "f2").join(place.hint("merge"), F.expr("n = cn and f1 = c1 and f2 = c2"), "left")
