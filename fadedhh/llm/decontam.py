@@ -5,6 +5,11 @@ maximal runs of benchmark words joined by benchmark word pairs, of at least the
 The index is a Burrows-Wheeler transform over word symbols held in a wavelet matrix, with suffix positions
 sampled at every eighth word and at the head of each run. All windows search backwards at once; occurrences are
 located by walking to the nearest sample, and their spans merge per document.
+
+The benchmark is held as its text in symbols with the places where distinct windows start; windows are read off it while
+searching. A part of ``PASS_BYTES`` takes some 25 bytes a word beside its words' hashes, about 70 MB for prose, and is broadcast.
+A larger benchmark goes in several passes, each of which carries the rows of the one before, so results never
+depend on the number of passes.
 """
 
 from __future__ import annotations
@@ -17,10 +22,11 @@ from pyspark.sql import functions as F
 from fadedhh.shipping import arrow_map
 
 from . import textbytes as tb
+from .common import settle
 
 WINDOW = 13
-#: Benchmark text held by one pass; a larger benchmark takes several passes over the corpus.
-PASS_BYTES = 64 << 20
+#: Bytes of benchmark text held by one pass.
+PASS_BYTES = 16 << 20
 
 
 class WordIndex:
@@ -82,12 +88,13 @@ class WordIndex:
             x = np.where(bit == 1, zeros + ones[x], x - ones[x])
         return out
 
-    def ranges(self, patterns: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(pattern numbers, low rows, high rows) of the patterns (rows of symbols) that occur."""
-        who = np.arange(len(patterns))
-        lo, hi = np.zeros(len(patterns), np.int64), np.full(len(patterns), self.n, np.int64)
-        for j in range(patterns.shape[1] - 1, -1, -1):
-            c = patterns[who, j]
+    def ranges(self, text: np.ndarray, start: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(pattern numbers, low rows, high rows) of the patterns text[start : start + width] that occur."""
+        occurs = np.diff(self.first) > 0
+        who = np.flatnonzero(occurs[text[start + (width - 1)]])
+        lo, hi = np.zeros(len(who), np.int64), np.full(len(who), self.n, np.int64)
+        for j in range(width - 1, -1, -1):
+            c = text[start[who] + j].astype(np.int64)
             a, b = self._down(c, lo, hi)
             lo, hi = self.first[c] + a, self.first[c] + b
             live = hi > lo
@@ -109,33 +116,34 @@ class WordIndex:
 
 
 class Windows:
-    """Distinct benchmark windows as symbol rows per length, with the items that hold each."""
+    """A benchmark part: its text as symbols, and per window length where each distinct window starts and which items hold it."""
 
-    def __init__(self, ids: list[str], texts: list[str], window: int):
-        h, count = tb.words(*tb.raw(pa.array(texts, pa.large_string())), tb.ALNUM)
-        self.items = sorted(set(ids))
+    def __init__(self, ids: pa.Array, texts: pa.Array, window: int):
+        h, count = tb.words(*tb.raw(texts), tb.ALNUM)
+        self.items = sorted(set(ids.to_pylist()))
         place = {x: i for i, x in enumerate(self.items)}
-        item = np.array([place[x] for x in ids], np.int64)
+        item = np.array([place[x] for x in ids.to_pylist()], np.int32)
         self.vocabulary = np.unique(h)
-        symbol = np.searchsorted(self.vocabulary, h) + 1
-        ends = np.cumsum(count)
-        found: dict[int, list] = {}
-        pairs = [np.zeros(0, np.uint64)]
-        for i, c, e in zip(item.tolist(), count.tolist(), ends.tolist()):
-            if c:
-                own = symbol[e - c : e]
-                w = min(c, window)
-                rows = np.lib.stride_tricks.sliding_window_view(own, w)
-                found.setdefault(w, []).append((rows, np.full(len(rows), i)))
-                pairs.append(own[:-1].astype(np.uint64) << np.uint64(32) | own[1:].astype(np.uint64))
-        self.pairs = np.unique(np.concatenate(pairs))
-        self.shortest = min(found, default=0)
+        self.text = (np.searchsorted(self.vocabulary, h) + 1).astype(np.int32)
+        end = np.cumsum(count)
+        width = np.minimum(count, window)
+        inner = np.ones(len(h), bool)
+        inner[end[count > 0] - 1] = False
+        at = np.flatnonzero(inner)
+        self.pairs = np.unique(self.text[at].astype(np.uint64) << np.uint64(32) | self.text[at + 1].astype(np.uint64)) if len(at) else np.zeros(0, np.uint64)
+        self.shortest = int(width[width > 0].min()) if (width > 0).any() else 0
         self.by_length = []
-        for w, parts in sorted(found.items()):
-            rows, who = np.concatenate([p[0] for p in parts]), np.concatenate([p[1] for p in parts])
-            distinct, back = np.unique(rows, axis=0, return_inverse=True)
-            owner = np.unique(np.stack([back.reshape(-1), who], axis=1), axis=0)
-            self.by_length.append((distinct, owner[:, 1], np.searchsorted(owner[:, 0], np.arange(len(distinct) + 1))))
+        for w in np.unique(width[width > 0]).tolist():
+            rows = np.flatnonzero(width == w)
+            m = count[rows] - w + 1
+            start = np.repeat(end[rows] - count[rows] - np.cumsum(m) + m, m) + np.arange(m.sum())
+            key = np.zeros(len(start), np.uint64)
+            for k, p in enumerate(tb.powers(w + 1)[1:]):
+                key += h[start + k] * p
+            _, one, back = np.unique(key, return_index=True, return_inverse=True)
+            owner = np.unique(back.astype(np.uint64) << np.uint64(32) | np.repeat(item[rows], m).astype(np.uint64))
+            bounds = np.searchsorted(owner, np.arange(len(one) + 1, dtype=np.uint64) << np.uint64(32))
+            self.by_length.append((w, start[one].astype(np.int32), owner.astype(np.int32), bounds.astype(np.int32)))
         self.sieve = np.zeros(1 << 20, bool)
         self.sieve[(self.vocabulary >> np.uint64(44)).astype(np.int64)] = True
 
@@ -192,15 +200,15 @@ def _scan(column: pa.Array, bench: Windows):
     cover = np.zeros(len(text) + 1, np.int64)
     if len(text):
         index = WordIndex(text, len(bench.vocabulary))
-        for patterns, owners, bounds in bench.by_length:
-            who, lo, hi = index.ranges(patterns)
+        for width, start, owners, bounds in bench.by_length:
+            who, lo, hi = index.ranges(bench.text, start, width)
             if not len(who):
                 continue
             m = hi - lo
             suffix = np.repeat(lo, m) + np.arange(m.sum()) - np.repeat(np.cumsum(m) - m, m)
             pos, of = index.locate(suffix), np.repeat(who, m)
             np.add.at(cover, pos, 1)
-            np.add.at(cover, pos + patterns.shape[1], -1)
+            np.add.at(cover, pos + width, -1)
             key = np.unique(of * np.int64(len(counts) + 1) + row[pos])
             of, doc = key // (len(counts) + 1), key % (len(counts) + 1)
             k = bounds[of + 1] - bounds[of]
@@ -214,48 +222,58 @@ def _scan(column: pa.Array, bench: Windows):
 
 
 def _bench_passes(benchmark: DataFrame, item_id: str, text: str, window: int, pass_bytes: int):
-    """The benchmark in parts of bounded size."""
+    """The benchmark in parts of bounded size; the last one is marked."""
     rows = benchmark.select(F.col(item_id).cast("string").alias("i"), F.coalesce(F.col(text), F.lit("")).alias("t")).where("i is not null")
     size = rows.agg(F.sum(F.octet_length("t") + 64)).first()[0] or 0
     passes = max(1, -(-int(size) // pass_bytes))
     for p in range(passes):
-        part = rows if passes == 1 else rows.where(F.pmod(F.xxhash64("i", "t"), F.lit(passes)) == p)
-        got = part.collect()
-        yield Windows([r["i"] for r in got], [r["t"] for r in got], window)
+        got = (rows if passes == 1 else rows.where(F.pmod(F.xxhash64("i", "t"), F.lit(passes)) == p)).toArrow().combine_chunks()
+        yield p == passes - 1, Windows(*(c.combine_chunks() if isinstance(c, pa.ChunkedArray) else c for c in got.columns), window)
 
 
 def contamination(docs: DataFrame, benchmark: DataFrame, doc_id: str = "doc_id", text: str = "text", item_id: str = "item_id", window: int = WINDOW, pass_bytes: int = PASS_BYTES) -> DataFrame:
     """(doc_id, th, n_words, spans, items): words, merged hit spans (first and last word, 0-based) and the ids of
-    items with an occurring window, sorted as strings. One row per row of ``docs``; over several passes rows
-    that repeat an id and its text come out once. Null has no words; benchmark rows without id are ignored."""
-    parts = [_one_pass(docs, bench, doc_id, text) for bench in _bench_passes(benchmark, item_id, "text", window, pass_bytes)]
-    if len(parts) == 1:
-        return parts[0]
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.union(p)
-    out = out.groupBy("doc_id", "th").agg(F.max("n_words").alias("n_words"), F.array_sort(F.flatten(F.collect_list("spans"))).alias("spans"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"))
-    merged = F.expr("""aggregate(spans, cast(array() as array<struct<s:bigint,e:bigint>>), (a, x) ->
-        case when size(a) > 0 and x.s <= element_at(a, -1).e + 1
-             then concat(slice(a, 1, size(a) - 1), array(named_struct('s', element_at(a, -1).s, 'e', greatest(x.e, element_at(a, -1).e))))
-             else concat(a, array(x)) end)""")
-    return out.withColumn("spans", merged)
-
-
-def _one_pass(docs: DataFrame, bench: Windows, doc_id: str, text: str) -> DataFrame:
-    frame = docs.select(F.col(doc_id).alias("doc_id"), F.xxhash64(text).alias("th"), F.col(text).alias("t"))
+    items with an occurring window, sorted as strings. One row per row of ``docs``, whatever the number of passes.
+    Null has no words; benchmark rows without id are ignored. Empty tables give empty results, an empty benchmark no spans."""
+    out = docs.select(F.col(doc_id).alias("doc_id"), F.xxhash64(text).alias("th"), F.col(text).alias("t"))
+    for k, (last, bench) in enumerate(_bench_passes(benchmark, item_id, "text", window, pass_bytes)):
+        out = _one_pass(settle(out) if k else out, bench, last)
+    return out
+
+
+def _merged(spans: list, items: list, more: list, names: list) -> tuple[list, list]:
+    """Union of two sorted lists of spans, and of two sorted lists of names."""
+    out: list = []
+    for x in sorted([(x["s"], x["e"]) for x in [*spans, *more]]):
+        if out and x[0] <= out[-1]["e"] + 1:
+            out[-1]["e"] = max(out[-1]["e"], x[1])
+        else:
+            out.append({"s": x[0], "e": x[1]})
+    return out, sorted({*items, *names})
+
+
+def _one_pass(frame: DataFrame, bench: Windows, last: bool) -> DataFrame:
+    """Adds what one part of the benchmark finds to rows (doc_id, th, t) or to those of the pass before; the last leaves t out."""
+    held = frame.sparkSession.sparkContext.broadcast(bench)
+    names = ["doc_id", "th", "t", "n_words", "spans", "items"]
+    frame = frame.select(*[c for c in names if c in frame.columns])
 
     def run(batches):
+        bench = held.value
         for b in batches:
             counts, row, s, e, irow, item = _scan(b.column(2), bench)
             n = len(counts)
             at = np.searchsorted(row, np.arange(n + 1))
             iat = np.searchsorted(irow, np.arange(n + 1))
             spans = pa.ListArray.from_arrays(pa.array(at.astype(np.int32)), pa.StructArray.from_arrays([pa.array(s), pa.array(e)], names=["s", "e"]))
-            names = pa.array([bench.items[k] for k in item.tolist()], pa.string())
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(counts, pa.int64()), spans, pa.ListArray.from_arrays(pa.array(iat.astype(np.int32)), names)], names=["doc_id", "th", "n_words", "spans", "items"])
+            found = pa.ListArray.from_arrays(pa.array(iat.astype(np.int32)), pa.array([bench.items[k] for k in item.tolist()], pa.string()))
+            if b.num_columns > 3:
+                both = [_merged(*x) for x in zip(b.column(4).to_pylist(), b.column(5).to_pylist(), spans.to_pylist(), found.to_pylist())]
+                spans, found = pa.array([x[0] for x in both], spans.type), pa.array([x[1] for x in both], found.type)
+            out = pa.RecordBatch.from_arrays([*b.columns[:3], pa.array(counts, pa.int64()), spans, found], names=names)
+            yield out.select([c for c in names if c != "t"]) if last else out
 
-    return arrow_map(frame, run, f"doc_id {dict(frame.dtypes)['doc_id']}, th long, n_words long, spans array<struct<s:long,e:long>>, items array<string>")
+    return arrow_map(frame, run, f"doc_id {dict(frame.dtypes)['doc_id']}, th long,{'' if last else ' t string,'} n_words long, spans array<struct<s:long,e:long>>, items array<string>")
 
 
 def verdicts(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
@@ -266,6 +284,7 @@ def verdicts(docs: DataFrame, benchmark: DataFrame, **options) -> DataFrame:
 
 
 def decontam_query(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
+    """The contract's columns, one row per row of ``docs``; nulls and empty tables as in ``contamination``."""
     out = verdicts(docs.select("doc_id", "text"), benchmark)
     return out.select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), "contaminated")
 
