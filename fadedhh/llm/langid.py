@@ -3,7 +3,8 @@
 Every letter owns a random +-1 hypervector. A letter trigram is bound as the product of its letters'
 vectors, each rotated by its place; a text is the bundle (sum) of its trigram vectors and a language
 prototype the bundle of its training texts. Prediction is the prototype of largest cosine.
-Non-letters fold into one blank; upper case folds into lower.
+Non-letters fold into one blank; upper case folds into lower. Texts are taken in runs of bounded size, a long one in
+pieces, so memory depends on neither the length of a text nor the number of short ones.
 """
 
 from __future__ import annotations
@@ -18,6 +19,8 @@ from fadedhh.shipping import arrow_map
 from . import textbytes as tb
 
 DIM = 1024
+#: Texts whose bundles are held at once.
+ROWS = 2048
 _letters = None
 
 
@@ -63,10 +66,35 @@ def trigrams(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
     return tri[mid], row[1:-1][mid]
 
 
-def bundle(tri: np.ndarray, group: np.ndarray, groups: int, dim: int = DIM, step: int = 8192) -> np.ndarray:
-    """Sum of trigram vectors per group, over slices of distinct trigrams so that memory stays bounded."""
+def pieces(text: str, piece: int):
+    """Packed trigram codes of one text, ``piece`` characters at a time: the same as of the whole."""
+    low, carry = text.lower(), np.zeros(1, np.uint64)
+    for lo in range(0, len(low) + 1, piece):
+        part = low[lo : lo + piece] + ("\n" if lo + piece > len(low) else "")
+        point = np.frombuffer(part.encode("utf-32-le", "surrogatepass"), np.uint32)
+        code = np.concatenate([carry, np.where(_is_letter()[point], point, 0).astype(np.uint64)])
+        code = code[np.concatenate([[True], (code[1:] != 0) | (code[:-1] != 0)])]
+        tri = (code[:-2] << np.uint64(42)) | (code[1:-1] << np.uint64(21)) | code[2:]
+        yield tri[code[1:-1] != 0]
+        carry = code[-2:]
+
+
+def bundles(texts: list[str], group: np.ndarray, groups: int, dim: int = DIM, piece: int = 1 << 18) -> tuple[np.ndarray, np.ndarray]:
+    """(sum of trigram vectors, number of trigrams) per group of texts."""
+    if len(texts) == 1 and texts[0] and len(texts[0]) > piece:
+        parts = [(bundle(tri, np.zeros(len(tri), np.int64), 1, dim), len(tri)) for tri in pieces(texts[0], piece)]
+        out, size = np.zeros((groups, dim)), np.zeros(groups, np.int64)
+        out[group[0]], size[group[0]] = sum(p[0][0] for p in parts), sum(p[1] for p in parts)
+        return out, size
+    tri, row = trigrams(texts)
+    return bundle(tri, group[row] if len(row) else row, groups, dim), np.bincount(group[row] if len(row) else row, minlength=groups)
+
+
+def bundle(tri: np.ndarray, group: np.ndarray, groups: int, dim: int = DIM, cells: int = 1 << 22) -> np.ndarray:
+    """Sum of trigram vectors per group, over slices of distinct trigrams so that a table of groups by trigrams has ``cells``."""
     out = np.zeros((groups, dim))
     if len(tri):
+        step = max(64, min(8192, cells // groups))
         distinct, back = np.unique(tri, return_inverse=True)
         for lo in range(0, len(distinct), step):
             part = distinct[lo : lo + step]
@@ -88,8 +116,7 @@ def fit(train: DataFrame, text: str = "text", lang: str = "lang", dim: int = DIM
                 langs = b.column(1).slice(i, j - i).to_pylist()
                 names = sorted(set(langs))
                 index = {x: k for k, x in enumerate(names)}
-                tri, row = trigrams(b.column(0).slice(i, j - i).to_pylist())
-                sums = bundle(tri, np.array([index[x] for x in langs])[row] if len(row) else row, len(names), dim)
+                sums, _ = bundles(b.column(0).slice(i, j - i).to_pylist(), np.array([index[x] for x in langs]), len(names), dim)
                 for k, x in enumerate(names):
                     total[x] = total.get(x, 0) + sums[k]
         for x, v in total.items():
@@ -105,7 +132,7 @@ def fit(train: DataFrame, text: str = "text", lang: str = "lang", dim: int = DIM
 def predict(docs: DataFrame, names: list[str], prototypes: np.ndarray, text: str = "text", keep: tuple[str, ...] = ("doc_id",), dim: int = DIM) -> DataFrame:
     """Adds lang_pred and score (cosine, cut to 0..1) to the kept columns of every row.
 
-    Null texts and texts without a letter, and every text when nothing was learnt, get ``und`` and 0.
+    Null and empty texts and texts without a letter, and every text when nothing was learnt, get ``und`` and 0.
     Ties go to the language first in order. Repeated rows are scored each on their own.
     """
     frame = docs.select(*[F.col(c).alias(f"k{i}") for i, c in enumerate(keep)], F.col(text).alias("t"))
@@ -117,9 +144,8 @@ def predict(docs: DataFrame, names: list[str], prototypes: np.ndarray, text: str
         for b in batches:
             _, off = tb.raw(b.column(n))
             pred, best = [], []
-            for i, j in tb.runs_of_rows(off, 1 << 18):
-                tri, row = trigrams(b.column(n).slice(i, j - i).to_pylist())
-                v = bundle(tri, row, j - i, dim)
+            for i, j in tb.runs_of_rows(off, 1 << 18, ROWS):
+                v, found = bundles(b.column(n).slice(i, j - i).to_pylist(), np.arange(j - i), j - i, dim)
                 size = np.linalg.norm(v, axis=1)
                 if not len(names):
                     pred += ["und"] * (j - i)
@@ -127,7 +153,7 @@ def predict(docs: DataFrame, names: list[str], prototypes: np.ndarray, text: str
                     continue
                 cos = (v @ unit.T) / np.maximum(size, 1e-12)[:, None]
                 top = cos.argmax(axis=1)
-                has = np.bincount(row, minlength=j - i) > 0
+                has = found > 0
                 pred += np.where(has, labels[top], "und").tolist()
                 best += np.where(has, np.clip(cos[np.arange(j - i), top], 0, 1), 0.0).tolist()
             yield pa.RecordBatch.from_arrays([*b.columns[:n], pa.array(pred, pa.string()), pa.array(best, pa.float64())], schema=None, names=[*[f"k{i}" for i in range(n)], "lang_pred", "score"])
@@ -139,7 +165,7 @@ def predict(docs: DataFrame, names: list[str], prototypes: np.ndarray, text: str
 
 def language_id(docs: DataFrame) -> DataFrame:
     """The contract's query: learn from rows whose id hash modulo 4 is not 2, predict all rows.
-    A null id hashes to null and counts as not held out."""
+    A null id hashes to null and counts as not held out. Empty tables give empty results; nulls and repeats as in ``predict``."""
     held = F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 4 == 2, F.lit(False))
     names, prototypes = fit(docs.where(~held))
     out = predict(docs.withColumn("held_out", held), names, prototypes, keep=("doc_id", "held_out"))

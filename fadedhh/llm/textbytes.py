@@ -69,12 +69,12 @@ def raw(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return whole[offsets[0] : offsets[-1]], offsets - offsets[0]
 
 
-def runs_of_rows(offsets: np.ndarray, budget: int):
-    """Row ranges whose bytes stay near ``budget``; a longer row stands alone."""
+def runs_of_rows(offsets: np.ndarray, budget: int, most: int = 1 << 30):
+    """Ranges of at most ``most`` rows whose bytes stay near ``budget``; a longer row stands alone."""
     i, n = 0, len(offsets) - 1
     while i < n:
         j = int(np.searchsorted(offsets, offsets[i] + budget, side="right")) - 1
-        j = min(n, max(i + 1, j))
+        j = min(n, i + most, max(i + 1, j))
         yield i, j
         i = j
 
