@@ -1,7 +1,8 @@
 """Corpus pipeline over ``documents``: five of the training-data operators, one after the other.
 
 Each stage takes (spark, docs, sf_dir) and returns a DataFrame that is written and read again as the next
-stage's input. All but the last return the columns of ``documents``; n_chars follows the text.
+stage's input. All but the last return the columns of ``documents``; n_chars follows the text. Every stage takes nulls in any
+column, repeated rows, texts of any length and empty tables (which stay empty).
 """
 
 from __future__ import annotations
@@ -14,7 +15,8 @@ from fadedhh.llm.common import fresh, settle, table
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the rule ensemble rejects go. It learns from the labelled rows that are not held out."""
+    """Documents that the rule ensemble rejects go. It learns from the labelled rows that are not held out. A null text is
+    judged as an empty one; repeated rows and rows without id are judged each on their own."""
     labels = table(spark, sf_dir, "labels")
     model = quality.fit(docs.select("doc_id", "text"), labels.where(~quality.held_out()))
     f = fresh(docs, "_qc_")
@@ -42,7 +44,8 @@ def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 
 def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents with benchmark windows over at least a twentieth of their words go."""
+    """Documents with benchmark windows over at least a twentieth of their words go, repeated rows all alike. A null text has
+    no words and stays; with an empty benchmark all stay."""
     found = decontam.verdicts(docs.select("doc_id", "text"), table(spark, sf_dir, "benchmark"))
     f = fresh(docs, "_gone_")
     gone = found.where("contaminated").select(F.col("doc_id").alias(f"{f}id"), F.col("th").alias(f"{f}th"))
@@ -51,7 +54,8 @@ def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
 
 
 def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Every document with its place in the proportionate-fair schedule of its source."""
+    """Every document with its place in the proportionate-fair schedule of its source. Rows without source are a source of
+    their own; repeated rows are placed one by one."""
     return mixing.mix(docs)
 
 

@@ -76,6 +76,7 @@ def chat_format(conversations: DataFrame) -> DataFrame:
 
 
 def chat_query(conversations: DataFrame) -> DataFrame:
+    """Digests of the rendered conversations; nulls, repeats and empty tables as in ``chat_format``."""
     out = chat_format(conversations)
     return out.select("conv_id", "n_turns", F.length("text").cast("long").alias("n_chars"), F.sha2("text", 256).alias("text_sha256"))
 

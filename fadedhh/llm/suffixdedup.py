@@ -384,5 +384,6 @@ def spark_partitions(spark) -> int:
 
 
 def substring_query(docs: DataFrame) -> DataFrame:
+    """The contract's columns for every row; nulls, repeats and empty tables as in ``remove_repeats``."""
     out = remove_repeats(docs.select("doc_id", "text"))
     return out.select("doc_id", "n_bytes", "n_removed", F.size("starts").cast("long").alias("n_spans"), F.sha2("kept", 256).alias("kept_sha256"))

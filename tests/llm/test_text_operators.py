@@ -118,6 +118,65 @@ def test_line_dedup_finds_runs_of_any_number_of_lines(spark):
         assert got[2 * k] == (rows[2 * k][1], 0) and got[2 * k + 1] == (f"bbbbb{k}\nddddd{k}", t.count("\n") + 1)
 
 
+@pytest.mark.parametrize("seed", [1, 2, 3])
+def test_line_dedup_against_brute_force(spark, seed):
+    """Few kinds of lines, so that runs overlap, repeat within a text and end at blank lines."""
+    rng = random.Random(seed)
+    kinds = ["", "", "a", "bb", "c" * 30, "d" * 50, "e" * 130, "f f f f", "g" * 90]
+    runs = [[rng.choice(kinds) for _ in range(rng.randrange(2, 14))] for _ in range(8)]
+    rows = []
+    for i in range(60):
+        ls = [x for _ in range(rng.randrange(1, 5)) for x in (rng.choice(runs) if rng.random() < 0.7 else [rng.choice(kinds) for _ in range(3)])]
+        rows.append((i, "\n".join(ls)))
+    rows.append((60, "\n".join(["ab"] * 300)))
+    gone = brute.deleted_lines(rows)
+    out = linededup.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string").repartition(3)).collect()
+    assert {r.doc_id: (r.text, r.ld_removed) for r in out} == {i: ("\n".join(x for k, x in enumerate(t.split("\n")) if k not in gone[i]), len(gone[i])) for i, t in rows}
+
+
+def test_language_against_brute_force(docs, rows):
+    """Prototypes and cosines from vectors bound and bundled letter by letter."""
+    import numpy as np
+
+    vector = lambda p, seen={}: seen.setdefault(p, langid.letter_vectors(np.array([p]))[0].astype(float))  # noqa: E731, B006
+    texts = brute.hypervectors([r[1] for r in rows], langid.DIM, vector)
+    total = {}
+    for (i, _, lang, *_), v in zip(rows, texts):
+        if lang and not brute.held(i, 4, 2):
+            total[lang] = total.get(lang, 0) + v
+    got = {r.doc_id: r for r in langid.language_id(docs).collect()}
+    for (i, *_), v in zip(rows, texts):
+        if np.abs(v).sum():
+            cos = {x: v @ t / np.linalg.norm(v) / np.linalg.norm(t) for x, t in total.items()}
+            assert abs(got[i].score - min(1, max(0, max(cos.values())))) < 1e-5 and cos[got[i].lang_pred] > max(cos.values()) - 1e-9
+
+
+def test_language_of_a_long_text_in_pieces():
+    import numpy as np
+
+    text = "Ab, c  dé.\n" * 900
+    whole, n = langid.bundles([text], np.zeros(1, np.int64), 1)
+    parts, m = langid.bundles([text], np.zeros(1, np.int64), 1, piece=257)
+    assert n[0] == m[0] and np.allclose(whole, parts)
+
+
+def test_texts_of_several_megabytes(spark):
+    """One text of 3 MB beside short ones goes through every operator on texts, whole."""
+    rng = random.Random(4)
+    big = "\n".join(" ".join(f"w{rng.randrange(50000)}" for _ in range(40)) for _ in range(11000))
+    rows = [(0, big, "en"), (1, big[:-200], "en"), (2, "a short one of its own", "en"), (3, big[1_000_000:1_000_900], None)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    assert {r.doc_id: r.lang_pred for r in langid.language_id(df).collect()}[0] in ("en", "und")
+    assert {r.doc_id: r.component_id for r in neardup.near_duplicates(df).collect()} == {0: 0, 1: 0, 2: 2, 3: 3}
+    assert {r.doc_id: r.n_tokens for r in maxent.lm_scores(df).collect()} == {i: len(t.split()) + 1 for i, t, _ in rows}
+    got = {r.doc_id: r for r in suffixdedup.substring_query(df).collect()}
+    assert got[0].n_removed < 3000 and got[1].n_removed >= len(rows[1][1]) - 1 and got[3].n_removed == 900
+    gone = brute.deleted_lines([r[:2] for r in rows])
+    assert {r.doc_id: r.ld_removed for r in linededup.dedup_lines(df).collect()} == {i: len(x) for i, x in gone.items()}
+    bench = spark.createDataFrame([(7, rows[3][1])], "item_id long, text string")
+    assert {r.doc_id: (r.n_words, r.n_hit) for r in decontam.decontam_query(df, bench).collect()} == {d: x[:2] for d, x in brute.contaminated([r[:2] for r in rows], [(7, rows[3][1])]).items()}
+
+
 def test_language(docs, rows, empty):
     got = {r.doc_id: r for r in langid.language_id(docs).collect()}
     assert len(got) == len(rows)
@@ -153,6 +212,76 @@ def test_lm_base_scores(docs, rows, empty):
     assert maxent.lm_scores(empty).count() == 0
 
 
+def lm_parts(spark, rows):
+    """Counts, model and pairs learnt from the rows that are not held out."""
+    table = spark.createDataFrame(rows, "doc_id long, text string").where("crc32(cast(doc_id as string)) % 7 <> 2")
+    counts = maxent.Counts(table, "text")
+    return counts, *maxent.train_model(table, counts, "text", "doc_id")
+
+
+def lm_brute(counts, model, pairs, train):
+    """(words before, word) -> probability, from loops over outputs, classes, members and counted pairs."""
+    import numpy as np
+
+    book = counts.book
+    place = {int(w): k for k, w in enumerate(book.word)}
+    output = lambda h: int(book.output[place[h]]) if h in place else 0
+    count = lambda h: int(book.count[place[h]]) if h in place else 0
+    pair = {}
+    for ws in train:
+        for a, b in zip([0, *ws], ws):
+            if b in place and output(b) < maxent.GROUPS:
+                pair[a, b] = pair.get((a, b), 0) + 1
+
+    def softmax(z):
+        z = np.exp(z - z.max())
+        return z / z.sum()
+
+    def probability(two, one, word):
+        o1, o2 = (maxent.START_ID if x == 0 else output(x) for x in (one, two))
+        f = maxent.features(np.array([o1]), np.array([o2]))[:, 0]
+        o = output(word)
+        p = softmax(sum(model.of_class[k].astype(float) for k in f))[o // maxent.MEMBERS]
+        p *= softmax(sum(model.of_member[k * maxent.CLASSES + o // maxent.MEMBERS].astype(float) for k in f))[o % maxent.MEMBERS]
+        if o < maxent.GROUPS:
+            inside = {k: n for k, n in pair.items() if k[0] == one and output(k[1]) == o}
+            u, n = (count(word) + 1) / book.mass[o], sum(inside.values())
+            p *= (inside.get((one, word), 0) + len(inside) * u) / (n + len(inside)) if inside else u
+        return p
+
+    return probability
+
+
+def test_lm_scores_against_brute_force(spark, docs, rows):
+    """Every score is the sum of the logarithms of a softmax worked out output by output, and probabilities sum to 1."""
+    import numpy as np
+    import pyarrow as pa
+
+    few = [r for r in pairs(rows) if len(r[1] or "") < 3000]
+    counts, model, kept = lm_parts(spark, few)
+    toks = {i: [int(x) for x in next(maxent.tokens(pa.array([t or ""])))[1]] for i, t in few}
+    held = {i: brute.held(i, 7, 2) for i, _ in few}
+    p = lm_brute(counts, model, kept, [toks[i] for i, _ in few if not held[i]])
+    lm = spark.createDataFrame([(i, t, held[i]) for i, t in few], "doc_id long, text string, held boolean")
+    got = {r.doc_id: r.score for r in maxent.score_texts(lm, counts, model, kept, "text", "doc_id", "held").collect()}
+    for i, ws in list(toks.items())[::5]:
+        want = sum(np.log10(p(a, b, w)) for a, b, w in zip([0, 0, *ws], [0, *ws], ws))
+        assert abs(got[i] - want) < 1e-4 * max(1, abs(want))
+    for a, b in ((0, 0), (0, toks[1][0]), tuple(toks[1][3:5]), tuple(toks[7][-3:-1])):
+        assert abs(sum(p(a, b, int(w)) for w in counts.book.word) + p(a, b, -5) - 1) < 1e-4
+
+
+def test_lm_keeps_the_commonest_pairs(spark, rows):
+    import pyarrow as pa
+
+    table = spark.createDataFrame(pairs(rows), "doc_id long, text string")
+    counts = maxent.Counts(table, "text")
+    held = spark.sparkContext.broadcast(counts.book)
+    every, few = maxent.count_pairs(table, held, "text"), maxent.count_pairs(table, held, "text", limit=40)
+    assert 0 < len(few.key) <= 40 < len(every.key) and min(few.n) > 1 and (every.n >= min(few.n)).sum() == len(few.key)
+    assert (every.kept < every.total).all() and set(few.context) <= set(every.context) and pa.array(every.key).null_count == 0
+
+
 def test_lm_counts_beyond_the_dictionary(spark, docs, rows, monkeypatch):
     """Words that the dictionary does not hold come by the join."""
     monkeypatch.setattr(maxent, "DICTIONARY", 5)
