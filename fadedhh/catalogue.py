@@ -13,7 +13,7 @@ from fadedhh.functions.decay import DecaySpec
 from fadedhh.functions.times import between_days, micros
 from fadedhh.operators import countmin, exact, invariants, metrics, params as sizing, related, sketch, spacesaving, window_hh
 from fadedhh.operators.params import SketchParams
-from fadedhh.plans import miner, online_runs, sqlapi
+from fadedhh.plans import measure, miner, online_runs, sqlapi
 from fadedhh.plans import workloads as wl
 from fadedhh.sources.tables import load
 
@@ -194,6 +194,12 @@ def _pivot(spark, sf_dir):
 _CUST = STREAMS["customers"]
 
 
+@query("mass_sets_type_day", f"SELECT event_type, day, sum(x) AS f FROM (SELECT *, ((tick - {wl.EVENTS_FROM}::BIGINT) // {wl.DAY}::BIGINT) AS day FROM ({_TYPED.weighted_sql()})) GROUP BY GROUPING SETS ((event_type), (day), ())")
+def _sets(spark, sf_dir):
+    day = F.floor((F.col("tick") - wl.EVENTS_FROM) / wl.DAY).alias("day")
+    return exact.mass_sets(_TYPED.weighted(spark, sf_dir).select("event_type", day, "x"), [["event_type"], ["day"], []])
+
+
 @query("mass_rollup_region_nation", f"""SELECT r_name, n_name, sum(x) AS f FROM ({_CUST.weighted_sql()}) JOIN customer ON c_custkey = item JOIN nation ON n_nationkey = c_nationkey JOIN region ON r_regionkey = n_regionkey GROUP BY ROLLUP (r_name, n_name)""")
 def _rollup(spark, sf_dir):
     per = exact.decayed_frequency(_CUST.weighted(spark, sf_dir)).withColumnRenamed("f", "x")
@@ -252,9 +258,12 @@ def _cm_hh(spark, sf_dir):
 # ---- the faded sketch: cells ----
 
 
-def fold_sql(s: wl.Stream, p: SketchParams, shards: int) -> str:
+_EVENT_ROWS = "(SELECT max(event_id) + 1 FROM events)"
+
+
+def fold_sql(s: wl.Stream, p: SketchParams, shards: int, total: str = _EVENT_ROWS) -> str:
     """CTEs ending in m(row, col, cell): ordered fold per shard, then over the shards."""
-    shard = f"(ord * {shards} // (SELECT max(event_id) + 1 FROM events))" if shards > 1 else "0"
+    shard = f"(ord * {shards} // {total})" if shards > 1 else "0"
     rows = rows_sql(f"SELECT *, {shard} AS shard FROM ({s.weighted_sql()})", p, ", shard, ord")
     return f"""WITH h AS ({rows}),
     l AS (SELECT shard, row, col, list_reduce(list([{{'n': -x, 'i': item}}] ORDER BY ord), lambda a, b: {cell.merge_sql('a', 'b')}) AS cell FROM h GROUP BY shard, row, col),
@@ -325,10 +334,10 @@ def _never(spark, sf_dir):
 # ---- the faded sketch: answers ----
 
 
-def estimate_sql(s: wl.Stream, p: SketchParams, shards: int) -> str:
+def estimate_sql(s: wl.Stream, p: SketchParams, shards: int, total: str = _EVENT_ROWS) -> str:
     probe = " UNION ALL ".join(f"SELECT {r} AS row, {h} AS col, item FROM (SELECT DISTINCT item FROM ({s.weighted_sql()}))" for r, h in enumerate(p.hashes.sql()))
     value = "CASE WHEN cell[1].i = item THEN -cell[1].n WHEN cell[2].i = item THEN -cell[2].n ELSE coalesce(-cell[2].n, 0.0::DOUBLE) END"
-    return f"{fold_sql(s, p, shards)}, q AS ({probe}), e AS (SELECT item, min({value}) AS est FROM q LEFT JOIN m ON m.row = q.row AND m.col = q.col GROUP BY item)"
+    return f"{fold_sql(s, p, shards, total)}, q AS ({probe}), e AS (SELECT item, min({value}) AS est FROM q LEFT JOIN m ON m.row = q.row AND m.col = q.col GROUP BY item)"
 
 
 @query("point_estimate_users", f"{estimate_sql(USERS, _SMALL, 4)} SELECT item, est / {dbl(norm_of(USERS))} AS est FROM e")
@@ -359,8 +368,16 @@ def verified(s: wl.Stream, phi: float, w: int = 1360):
 for _name in ("parts", "suppliers", "customers", "tokens", "hosts", "event_type", "props", "zipf11"):
     query(f"faded_hh_{_name}", hh_sql(STREAMS[_name], PHI[_name], "item, f / {norm} AS f"))(verified(STREAMS[_name], PHI[_name]))
 
-_DIALOG = wl.tokens("conversations", "conv_id", "turn")
-query("dialog_terms_hh", hh_sql(_DIALOG, 0.01, "item, f / {norm} AS f"))(verified(_DIALOG, 0.01))
+_DIALOG = wl.tokens("conversations", "conv_id", "turn", also="role")
+_ROLES = ["user", "assistant", "system"]
+
+
+@query("dialog_terms_hh", f"WITH f AS (SELECT role, item, sum(x) AS f FROM ({_DIALOG.weighted_sql()}) GROUP BY ALL) SELECT role, item, f FROM (SELECT *, sum(f) OVER (PARTITION BY role) AS c FROM f) WHERE f > 0.02::DOUBLE * c")
+def _dialog(spark, sf_dir):
+    """Heavy terms of each role, by one grouped sketch and exact sums of its answer."""
+    return miner.verified_grouped(_DIALOG.weighted(spark, sf_dir), _DIALOG.params(), "role", 0.02, _ROLES)
+
+
 _GOOD = wl.tokens(quality=True)
 query("quality_docs_tokens_hh", hh_sql(_GOOD, 0.01, "item, f / {norm} AS f"))(verified(_GOOD, 0.01))
 _BY_DATE = wl.parts_by_orderdate()
@@ -395,11 +412,8 @@ _GROUPED = f"""WITH f AS (SELECT event_type, item, sum(x) AS f FROM ({_TYPED.wei
 
 @query("grouped_hh_by_type", _GROUPED)
 def _grouped(spark, sf_dir):
-    """A sketch per event type; its answers are confirmed by exact sums."""
-    s = _TYPED.weighted(spark, sf_dir)
-    answer = miner.mine_grouped(s, _TYPED.params(w=256), "event_type", 0.025, ["view", "click", "purchase", "signup", "error"], wl.EVENTS_TO)
-    true = exact.grouped_heavy_hitters(s, "event_type", 0.025)
-    return true.join(F.broadcast(answer.select("event_type", "item")), ["event_type", "item"], "left_semi").select("event_type", "item", "f")
+    """A sketch per event type, all in one pass; exact sums are taken of its answer only."""
+    return miner.verified_grouped(_TYPED.weighted(spark, sf_dir), _TYPED.params(w=256), "event_type", 0.025, ["view", "click", "purchase", "signup", "error"])
 
 
 @query("topk_decayed", f"SELECT item, sum(x) / {dbl(norm_of(USERS))} AS est FROM ({USERS.weighted_sql()}) GROUP BY item ORDER BY sum(x) DESC, item LIMIT 10")
@@ -415,31 +429,64 @@ _Z = STREAMS["zipf11"]
 def sweep_sql(vary: str) -> str:
     """Truth by SQL; that every true heavy hitter and nothing else is reported is the claim under test."""
     out = []
-    for v in wl.SWEEPS[vary]:
-        s = wl.zipf(v if vary == "rho" else 1.1)
-        phi = v if vary == "phi" else wl.PHI
-        w = v if vary == "w" else wl.WIDTH
-        where = f" WHERE ord < (SELECT (max(event_id) + 1) * 6 // {v} FROM events)" if vary == "n" else ""
-        out.append(f"""(WITH f AS (SELECT item, sum(x) AS f FROM ({s.weighted_sql()}){where} GROUP BY item), c AS (SELECT sum(f) AS c FROM f)
-        SELECT '{vary}' AS vary_name, {float(v)!r}::DOUBLE AS vary_value, {str(sizing.implied(4, int(w))[0] < phi).lower()} AS in_guarantee, count(*) AS truth, count(*) AS reported, count(*) AS hits, 1.0::DOUBLE AS precision, 1.0::DOUBLE AS recall
-        FROM f, c WHERE f > {dbl(phi)} * c)""")
+    for at in wl.points(vary):
+        out.append(f"""(WITH f AS (SELECT item, sum(x) AS f FROM ({at.stream().weighted_sql()}) GROUP BY item), c AS (SELECT sum(f) AS c FROM f)
+        SELECT '{vary}' AS vary_name, {at.value!r}::DOUBLE AS vary_value, {str(at.params().eps < at.phi).lower()} AS in_guarantee, count(*) AS truth, count(*) AS reported, count(*) AS hits, 1.0::DOUBLE AS precision, 1.0::DOUBLE AS recall
+        FROM f, c WHERE f > {dbl(at.phi)} * c)""")
     return " UNION ALL ".join(out)
 
 
+def measured_sql(s: wl.Stream, p: SketchParams, shards: int, phi: float, cols: str, total: str = _EVENT_ROWS) -> str:
+    """One row of measures of the folded sketch's answer. ``cols`` may use truth, reported, hits, are, worst and mean."""
+    phi_, norm = dbl(phi), dbl(norm_of(s))
+    return f"""{estimate_sql(s, p, shards, total)}, t AS (SELECT item, sum(x) AS f FROM ({s.weighted_sql()}) GROUP BY item), c AS (SELECT sum(f) AS c FROM t),
+    a AS (SELECT item, est FROM e, c WHERE est > {phi_} * c AND item IN (SELECT cell[1].i FROM m, c WHERE -cell[1].n > {phi_} * c)),
+    b AS (SELECT t.item, f, est, f > {phi_} * c AS heavy, est IS NOT NULL AS told FROM t CROSS JOIN c LEFT JOIN a ON a.item = t.item),
+    z AS (SELECT count(*) FILTER (WHERE heavy) AS truth, count(*) FILTER (WHERE told) AS reported, count(*) FILTER (WHERE heavy AND told) AS hits, coalesce(avg(abs(est - f) / f) FILTER (WHERE heavy AND told), 0) AS are,
+      coalesce(max(abs(est - f)), 0) / {norm} AS worst, coalesce(avg(abs(est - f)), 0) / {norm} AS mean FROM b)
+    SELECT {cols} FROM z"""
+
+
+_RATIOS = "truth, reported, hits, CASE WHEN reported = 0 THEN 1.0::DOUBLE ELSE hits / reported END AS precision, CASE WHEN truth = 0 THEN 1.0::DOUBLE ELSE hits / truth END AS recall"
+_ERRORS = "round(are, 9) AS are, round(worst, 6) AS abs_err_max, round(mean, 6) AS abs_err_mean"
+
+
+def rounded(df: DataFrame) -> DataFrame:
+    """Measures of error to as many digits as sums of exponential weights agree in any order."""
+    return df.withColumns({c: F.round(c, d) for c, d in (("are", 9), ("abs_err_max", 6), ("abs_err_mean", 6))})
+
+
+#: Copies of each event in the runs of the reference form, which replays element by element in both engines.
+_COPIES = 2
+
+
+def error_sql(vary: str) -> str:
+    every = "(SELECT round(avg(abs(e.est - t.f)) / {norm}, 9) FROM e JOIN t ON t.item = e.item) AS point_err_mean"
+    cols = lambda at: f"'{vary}' AS vary_name, {at.value!r}::DOUBLE AS vary_value, {_ERRORS}, {every.format(norm=dbl(norm_of(at.stream())))}"
+    return " UNION ALL ".join(f"({measured_sql(at.stream(), at.params(), at.shards, at.phi, cols(at), at.total_sql)})" for at in wl.points(vary, _COPIES))
+
+
 for _v in wl.SWEEPS:
     query(f"faded_hh_metrics_{_v}", sweep_sql(_v))(lambda spark, sf_dir, v=_v: wl.accuracy(spark, sf_dir, v).drop("are", "abs_err_max", "abs_err_mean"))
-    query(f"faded_hh_errors_{_v}")(lambda spark, sf_dir, v=_v: wl.accuracy(spark, sf_dir, v).select("vary_name", "vary_value", "are", "abs_err_max", "abs_err_mean"))
+    query(f"faded_hh_errors_{_v}", error_sql(_v))(lambda spark, sf_dir, v=_v: rounded(wl.accuracy(spark, sf_dir, v, _COPIES, folded=True)).select("vary_name", "vary_value", "are", "abs_err_max", "abs_err_mean", F.round("point_err_mean", 9).alias("point_err_mean")))
+
+_TINY = (2, 8, 32, 128, 800)
+
 
+def folded_answer(spark, sf_dir, phi: float, w: int, p: int = 4) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(answer, truth, all exact frequencies) of a folded sketch of any size, all normalised."""
+    m = folded_users(spark, sf_dir, w=w, p=p)
+    true = exact.decayed_frequency(USERS.weighted(spark, sf_dir)).withColumn("f", F.col("f") / F.lit(norm_of(USERS)))
+    return m.heavy_hitters(phi, wl.EVENTS_TO, strict=False), metrics.truth(true, phi), true
 
-@query("tiny_sketch_recall")
+
+@query("tiny_sketch_recall", " UNION ALL ".join(f"({measured_sql(USERS, USERS.params(w=w), 4, PHI['users'], f'{w} AS w, {_RATIOS}, round(are, 9) AS are')})" for w in _TINY))
 def _tiny(spark, sf_dir):
     """Recall of ever smaller sketches: it holds at 800 columns and falls only for extremely small ones."""
     out = None
-    weighted = _Z.weighted(spark, sf_dir)
-    true = exact.decayed_frequency(weighted).withColumn("f", F.col("f") / F.lit(norm_of(_Z)))
-    for w in (8, 32, 128, 800):
-        got = miner.mine_weighted(weighted, _Z.params(w=w)).heavy_hitters(wl.PHI, _Z.now, strict=False)
-        row = metrics.summary(got, true, wl.PHI).select(F.lit(w).alias("w"), "truth", "reported", "hits", "precision", "recall", "are")
+    for w in _TINY:
+        got, _, true = folded_answer(spark, sf_dir, PHI["users"], w)
+        row = rounded(metrics.summary(got, true, PHI["users"])).select(F.lit(w).alias("w"), "truth", "reported", "hits", "precision", "recall", "are")
         out = row if out is None else out.union(row)
     return out
 
@@ -450,25 +497,42 @@ def _tolerance(spark, sf_dir):
     return invariants.tolerance_contract(miner.mine_weighted(weighted, p).heavy_hitters(0.01, _Z.now), weighted, 0.01, p.eps)
 
 
-@query("bound_checks")
+_BOUND_POINTS = [(d, seed) for d in (1, 2, 4) for seed in (1, 2, 3)]
+
+
+def _bound_sql(d: int, seed: int) -> str:
+    p = USERS.params(w=128, d=d, seed=seed)
+    return f"""({estimate_sql(USERS, p, 4)}, t AS (SELECT item, sum(x) AS f FROM ({USERS.weighted_sql()}) GROUP BY item), c AS (SELECT sum(f) AS c FROM t)
+    SELECT {d} AS d, {seed} AS seed, count(*) FILTER (WHERE f > {dbl(PHI['users'])} * c) AS truth, count(*) FILTER (WHERE f > {dbl(PHI['users'])} * c AND t.item NOT IN (SELECT cell[1].i FROM m)) AS missed,
+    {dbl(sizing.miss_bound(PHI['users'], d, 128))} AS miss_bound, count(*) AS items, count(*) FILTER (WHERE est - f >= {dbl(p.eps)} * c) AS violations, count(*) FILTER (WHERE est - f >= {dbl(p.eps)} * c) / count(*) AS rate, {dbl(sizing.implied(d, 128)[1])} AS delta
+    FROM t CROSS JOIN c JOIN e ON e.item = t.item)"""
+
+
+@query("bound_checks", " UNION ALL ".join(_bound_sql(d, seed) for d, seed in _BOUND_POINTS))
 def _bound_checks(spark, sf_dir):
     """Both probabilistic bounds over hash seeds on small grids: misses against the detection bound and error violations
     against delta."""
-    weighted = _Z.weighted(spark, sf_dir)
+    weighted = sketch.block_shards(USERS.weighted(spark, sf_dir), 4, event_rows(spark, sf_dir))
     true = exact.decayed_frequency(weighted)
-    heavy = metrics.truth(true, 0.01)
+    heavy = metrics.truth(true, PHI["users"])
     out = None
-    for d in (1, 2, 4):
-        for seed in (1, 2, 3):
-            p = _Z.params(w=128, d=d, seed=seed)
-            cells = miner.mine_weighted(weighted, p).cells
-            miss = metrics.missed_candidates(cells, heavy)
-            bad = metrics.bound_violations(sketch.raw_estimates(cells, p, true.select("item")), true, p.eps)
-            row = miss.crossJoin(bad).select(F.lit(d).alias("d"), F.lit(seed).alias("seed"), "truth", "missed", F.lit(sizing.miss_bound(0.01, d, 128)).alias("miss_bound"), "items", "violations", "rate", F.lit(sizing.implied(d, 128)[1]).alias("delta"))
-            out = row if out is None else out.union(row)
+    for d, seed in _BOUND_POINTS:
+        p = USERS.params(w=128, d=d, seed=seed)
+        cells = miner.mine_folded(weighted, p, 4).cells
+        miss = metrics.missed_candidates(cells, heavy)
+        bad = metrics.bound_violations(sketch.raw_estimates(cells, p, true.select("item")), true, p.eps)
+        row = miss.crossJoin(bad).select(F.lit(d).alias("d"), F.lit(seed).alias("seed"), "truth", "missed", F.lit(sizing.miss_bound(PHI["users"], d, 128)).alias("miss_bound"), "items", "violations", "rate", F.lit(sizing.implied(d, 128)[1]).alias("delta"))
+        out = row if out is None else out.union(row)
     return out
 
 
+@query("local_cells_emitted", f"SELECT shard, count(*) AS cells, count(*) * {measure.CELL_BYTES} AS bytes FROM (SELECT DISTINCT ord * 4 // {_EVENT_ROWS} AS shard, row, col FROM ({rows_sql(f'SELECT * FROM ({USERS.weighted_sql()})', USERS.params(), ', ord')})) GROUP BY shard")
+def _emitted(spark, sf_dir):
+    """Cost of the reduction: cells that each local sketch hands on, and their bytes."""
+    weighted = sketch.block_shards(USERS.weighted(spark, sf_dir), 4, event_rows(spark, sf_dir))
+    return measure.cells_emitted(sketch.local_sketches(weighted, USERS.params()))
+
+
 # ---- k-counter summaries and related algorithms ----
 
 
@@ -554,12 +618,17 @@ def _ss(spark, sf_dir):
     return _guarantee(low, s, 0.01, 1 / 400)
 
 
-@query("count_sketch_est")
+_CS = _Z.params(w=1360, d=5)
+
+
+@query("count_sketch_est", f"""WITH s AS ({_Z.weighted_sql()}), h AS ({' UNION ALL '.join(f"SELECT {r} AS row, {h} AS col, {g} * 2 - 1 AS sign, item, x FROM s" for r, (h, g) in enumerate(zip(_CS.hashes.sql(), related.signs(_CS).sql())))}),
+k AS (SELECT row, col, sum(sign * x) AS f FROM h GROUP BY row, col), e AS (SELECT item, median(sign * k.f) AS est FROM (SELECT DISTINCT item, row, col, sign FROM h) p JOIN k ON k.row = p.row AND k.col = p.col GROUP BY item)
+SELECT item, f, est FROM e JOIN (SELECT item, sum(x) AS f FROM s GROUP BY item) USING (item)""")
 def _count_sketch(spark, sf_dir):
-    s, p = _Z.weighted(spark, sf_dir), _Z.params(w=1360, d=5)
+    """Estimates of all items beside their exact frequencies."""
+    s = _Z.weighted(spark, sf_dir)
     true = exact.decayed_frequency(s)
-    top = true.orderBy(F.desc("f"), "item").limit(20)
-    return related.count_sketch_estimate(related.count_sketch(s, p), p, top).join(top, "item").select("item", "f", "est")
+    return related.count_sketch_estimate(related.count_sketch(s, _CS), _CS, true).join(true, "item").select("item", "f", "est")
 
 
 @query("group_test_hh", hh_sql(_Z, 0.05, "item"))
@@ -569,22 +638,35 @@ def _group_test(spark, sf_dir):
     return sketch.verify(got, s, p, 0.05, _Z.now).select("item")
 
 
-@query("hcount_est")
+_HC = _Z.params(w=1360).with_(seed=1001)
+
+
+@query("hcount_est", f"""WITH s AS ({_Z.weighted_sql()}), h AS ({rows_sql('SELECT * FROM s', _HC)}), k AS (SELECT row, col, sum(x) AS f FROM h GROUP BY row, col)
+SELECT item, f, est FROM (SELECT item, min(k.f) AS est FROM (SELECT DISTINCT item, row, col FROM h) p JOIN k ON k.row = p.row AND k.col = p.col GROUP BY item) JOIN (SELECT item, sum(x) AS f FROM s GROUP BY item) USING (item)""")
 def _hcount(spark, sf_dir):
+    """Estimates of all items beside their exact frequencies."""
     s, p = _Z.weighted(spark, sf_dir), _Z.params(w=1360)
-    top = exact.decayed_frequency(s).orderBy(F.desc("f"), "item").limit(20)
-    return related.hcount_estimate(related.hcount(s, p), p.with_(seed=p.seed + 1000), top).join(top, "item").select("item", "f", "est")
+    true = exact.decayed_frequency(s)
+    return related.hcount_estimate(related.hcount(s, p), _HC, true).join(true, "item").select("item", "f", "est")
 
 
-@query("builtin_top_k")
+@query("builtin_top_k", f"SELECT item, f AS n FROM {_ZN} ORDER BY f DESC, item LIMIT 10")
 def _builtin(spark, sf_dir):
     return related.builtin_top_k(_plain(spark, sf_dir), 10)
 
 
-@query("approx_vs_exact_distinct")
+@query("builtin_count_min_size", "SELECT 1::BIGINT AS sketches, true AS bounded")
+def _builtin_count_min(spark, sf_dir):
+    """The engine's own Count-Min yields one sketch whose size depends on its bounds only; its cells cannot be read in SQL."""
+    size = F.octet_length("sketch")
+    return related.builtin_count_min(_plain(spark, sf_dir), 0.01, 0.95).agg(F.count("*").alias("sketches"), (F.max(size) < 64_000).alias("bounded"))
+
+
+@query("approx_vs_exact_distinct", f"SELECT count(DISTINCT item) AS exact, true AS within FROM ({PARTS.weighted_sql()})")
 def _distinct(spark, sf_dir):
-    s = PARTS.weighted(spark, sf_dir)
-    return s.agg(F.countDistinct("item").alias("exact"), F.approx_count_distinct("item").alias("approx"))
+    """The approximate count lies within three of its standard deviations (5 %)."""
+    n, guess = F.countDistinct("item"), F.approx_count_distinct("item", 0.05)
+    return PARTS.weighted(spark, sf_dir).agg(n.alias("exact"), (F.abs(guess - n) <= F.greatest(0.15 * n, F.lit(1.0))).alias("within"))
 
 
 # ---- joins and set operations around answers ----
@@ -598,14 +680,6 @@ def _near(spark, sf_dir):
     return wl.near_errors(spark, sf_dir, exact.heavy_hitters(USERS.weighted(spark, sf_dir), 0.0122), _ERR)
 
 
-def _answer_and_truth(spark, sf_dir):
-    """A sketch too small for its threshold, so that the answer and the truth differ."""
-    s = PARTS.weighted(spark, sf_dir)
-    p = PARTS.params(w=64)
-    true = metrics.truth(exact.decayed_frequency(s), 0.0016)
-    return s, p, miner.mine_weighted(s, p).heavy_hitters(0.0016, PARTS.now, strict=False), true
-
-
 @query("verify_semi", hh_sql(PARTS, 0.0016, "item, f / {norm} AS f"))
 def _verify(spark, sf_dir):
     s = PARTS.weighted(spark, sf_dir)
@@ -613,11 +687,16 @@ def _verify(spark, sf_dir):
     return sketch.verify(every, s, _CMH, 0.0016, PARTS.now)
 
 
-@query("misses_anti", f"SELECT item, f FROM ({hh_sql(PARTS, 0.0016, 'item, f')}) WHERE false")
+_W2 = USERS.params(w=2)
+_SMALLEST = f"""{estimate_sql(USERS, _W2, 4)}, t AS (SELECT item, sum(x) AS f FROM ({USERS.weighted_sql()}) GROUP BY item), c AS (SELECT sum(f) AS c FROM t),
+a AS (SELECT item FROM e, c WHERE est > {dbl(0.0122)} * c AND item IN (SELECT cell[1].i FROM m, c WHERE -cell[1].n > {dbl(0.0122)} * c))"""
+
+
+@query("misses_anti", f"{_SMALLEST} SELECT item, f / {dbl(norm_of(USERS))} AS f FROM t, c WHERE f > {dbl(0.0122)} * c AND item NOT IN (SELECT item FROM a)")
 def _misses(spark, sf_dir):
-    s = PARTS.weighted(spark, sf_dir)
-    true = metrics.truth(exact.decayed_frequency(s), 0.0016)
-    return metrics.misses(miner.mine_weighted(s, PARTS.params()).heavy_hitters(0.0016, PARTS.now), true)
+    """True heavy hitters that a sketch of two columns loses."""
+    answer, true, _ = folded_answer(spark, sf_dir, 0.0122, 2)
+    return metrics.misses(answer, true)
 
 
 @query("answer_setops", f"SELECT 'both' AS part, item FROM ({hh_sql(PARTS, 0.0016, 'item')})")
@@ -627,30 +706,27 @@ def _setops(spark, sf_dir):
     return metrics.set_ops(miner.mine_weighted(s, PARTS.params()).heavy_hitters(0.0016, PARTS.now), true)
 
 
-@query("outside_guarantee_metrics")
+@query("outside_guarantee_metrics", measured_sql(USERS, USERS.params(w=16), 4, 0.0122, f"{_RATIOS}, {_ERRORS}"))
 def _outside(spark, sf_dir):
-    """What leaving the guarantee costs: the answer still holds the truth, with intruders."""
-    s, p, answer, true = _answer_and_truth(spark, sf_dir)
-    exact_ = exact.decayed_frequency(s).withColumn("f", F.col("f") / F.lit(norm_of(PARTS)))
-    return metrics.summary(answer, exact_, 0.0016)
+    """What leaving the guarantee costs: intruders, misses and larger errors."""
+    answer, _, true = folded_answer(spark, sf_dir, 0.0122, 16)
+    return rounded(metrics.summary(answer, true, 0.0122))
 
 
-@query("asof_snapshot_pick", f"""WITH s AS (SELECT user_id % 4 AS site, event_id AS snapshot, value AS lcount FROM events WHERE event_id % 10 = 0), q AS (SELECT unnest([100, 400, 900]) AS at_)
-SELECT at_::BIGINT AS as_of, site, max(snapshot) AS snapshot, arg_max(lcount, snapshot) AS lcount FROM s, q WHERE snapshot <= at_ GROUP BY at_, site""")
+@query("asof_snapshot_pick", """WITH s AS (SELECT user_id % 4 AS site, event_id AS snapshot, value AS lcount FROM events), q AS (SELECT max(event_id) AS at_ FROM events GROUP BY date_trunc('day', ts))
+SELECT at_ AS as_of, site, max(snapshot) AS snapshot, arg_max(lcount, snapshot) AS lcount FROM s, q WHERE snapshot <= at_ GROUP BY at_, site""")
 def _asof(spark, sf_dir):
-    from fadedhh.sources.sketch_io import newest
+    """Every event a snapshot of one of four sites; per day's end the newest one of each site, in one pass."""
+    from fadedhh.sources.sketch_io import newest_at
 
-    meta = load(spark, sf_dir, "events").where("event_id % 10 = 0").select(F.expr("user_id % 4").alias("site"), F.col("event_id").alias("snapshot"), F.col("value").alias("lcount"))
-    out = None
-    for t in (100, 400, 900):
-        one = newest(meta, t).select(F.lit(t).cast("long").alias("as_of"), "site", "snapshot", "lcount")
-        out = one if out is None else out.union(one)
-    return out
+    e = load(spark, sf_dir, "events")
+    meta = e.select(F.expr("user_id % 4").alias("site"), F.col("event_id").alias("snapshot"), F.col("value").alias("lcount"))
+    return newest_at(meta, e.groupBy(F.date_trunc("day", "ts")).agg(F.max("event_id").alias("as_of")).select("as_of"))
 
 
-@query("zipf_head_counts", f"SELECT item, count(*) AS n FROM ({_Z.sql}) WHERE item <= 50 GROUP BY item")
-def _zipf_head(spark, sf_dir):
-    return _Z.build(spark, sf_dir).where("item <= 50").groupBy("item").agg(F.count("*").alias("n"))
+@query("zipf_rank_counts", f"SELECT item, count(*) AS n FROM ({_Z.sql}) GROUP BY item")
+def _zipf_ranks(spark, sf_dir):
+    return _Z.build(spark, sf_dir).groupBy("item").agg(F.count("*").alias("n"))
 
 
 # ---- SQL surface and streams ----

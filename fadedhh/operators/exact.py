@@ -36,6 +36,12 @@ def mass_rollup(weighted: DataFrame, *cols: str) -> DataFrame:
     return weighted.rollup(*cols).agg(F.sum("x").alias("f"))
 
 
+def mass_sets(weighted: DataFrame, sets: list[list[str]]) -> DataFrame:
+    """Decayed mass over the given subsets of columns."""
+    cols = list(dict.fromkeys(c for s in sets for c in s))
+    return weighted.groupingSets([[F.col(c) for c in s] for s in sets], *cols).agg(F.sum("x").alias("f"))
+
+
 def mass_pivot(weighted: DataFrame, by: str, pivot: str, values: list) -> DataFrame:
     return weighted.groupBy(by).pivot(pivot, values).agg(F.sum("x"))
 

@@ -12,6 +12,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from fadedhh.functions.hashing import RowHashes
 from fadedhh.shipping import arrow_map
 
 from .params import SketchParams
@@ -92,17 +93,23 @@ def sticky_sampling(stream: DataFrame, phi: float, eps: float, delta: float, n:
     return stream.join(first, "item").where("ord >= since").groupBy("item").agg(F.count("*").alias("count"))
 
 
+def signs(params: SketchParams) -> RowHashes:
+    return RowHashes(params.d, 2, params.seed + 2000)
+
+
+def _sign(params: SketchParams):
+    return F.element_at(F.array(*signs(params).columns(F.col("item"))), F.col("row") + 1) * 2 - 1
+
+
 def count_sketch(weighted: DataFrame, params: SketchParams) -> DataFrame:
-    """(row, col, f): signed sums; the sign of an item in a row is one further hash bit."""
-    sign = F.when(F.pmod(F.xxhash64("item", "row", F.lit(41)), F.lit(2)) == 0, 1.0).otherwise(-1.0)
-    return row_hashes(weighted, params).groupBy("row", "col").agg(F.sum(sign * F.col("x")).alias("f"))
+    """(row, col, f): signed sums; the sign of an item in a row is a further hash of two values."""
+    return row_hashes(weighted, params).groupBy("row", "col").agg(F.sum(_sign(params) * F.col("x")).alias("f"))
 
 
 def count_sketch_estimate(counters: DataFrame, params: SketchParams, items: DataFrame) -> DataFrame:
     """(item, est): median over the rows of the signed counters."""
     probe = items.select("item", F.posexplode(F.array(*params.hashes.columns(F.col("item")))).alias("row", "col"))
-    sign = F.when(F.pmod(F.xxhash64("item", "row", F.lit(41)), F.lit(2)) == 0, 1.0).otherwise(-1.0)
-    return probe.join(F.broadcast(counters), ["row", "col"], "left").groupBy("item").agg(F.percentile(sign * F.coalesce("f", F.lit(0.0)), F.lit(0.5)).alias("est"))
+    return probe.join(F.broadcast(counters), ["row", "col"], "left").groupBy("item").agg(F.percentile(_sign(params) * F.coalesce("f", F.lit(0.0)), F.lit(0.5)).alias("est"))
 
 
 def group_test(weighted: DataFrame, params: SketchParams, phi: float, bits: int = 48) -> DataFrame:

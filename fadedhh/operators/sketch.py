@@ -133,9 +133,11 @@ def merge_folded(local: DataFrame, shards: int, fan_in: int = 64) -> DataFrame:
             return level.select("row", "col", "cell")
 
 
-def reduce_local(local: DataFrame, params: SketchParams, partitions: int | None = None) -> tuple[DataFrame, DataFrame]:
-    """(cells, count) of kernel output, by one shuffle that both share: each task streams the partial cells of its share
-    of the grid through the vectorised merge, holding at most the grid and one batch; counts add up on the way."""
+def reduced(local: DataFrame, params: SketchParams, partitions: int | None = None) -> DataFrame:
+    """The merged grid of kernel output, with rows -1 whose f1 add up to the count, by one shuffle: each task streams the partial
+    cells of its share of the grid through the vectorised merge, holding at most the grid and one batch; counts add up on
+    the way. Partial cells of a cell are merged in the order in which they arrive: runs may differ in the counters they
+    end up with, within the same bounds. The folded form has a fixed order."""
     w = params.w
     parts = partitions or int(local.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
@@ -151,10 +153,41 @@ def reduce_local(local: DataFrame, params: SketchParams, partitions: int | None
         yield grid.rows(0).select(["row", "col", "i1", "f1", "i2", "f2"])
 
     rows = local.select("row", "col", "i1", "f1", "i2", "f2").repartition(min(parts, 64), "row", "col")
-    merged = arrow_map(rows, run, CELLS)
+    return arrow_map(rows, run, CELLS)
+
+
+def split_count(merged: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(cells, count) of a merged grid."""
     return merged.where("row >= 0"), merged.where("row = -1").agg(F.coalesce(F.sum("f1"), F.lit(0.0)).alias("c"))
 
 
+def reduce_local(local: DataFrame, params: SketchParams, partitions: int | None = None) -> tuple[DataFrame, DataFrame]:
+    """(cells, count) of kernel output; both share one shuffle."""
+    return split_count(reduced(local, params, partitions))
+
+
+def reduce_groups(local: DataFrame, params: SketchParams) -> tuple[DataFrame, DataFrame]:
+    """(cells, counts) with the shard as a group ``g`` that stays apart: the same reduction, its key led by the group."""
+    w = params.w
+
+    def run(batches):
+        held: dict[int, NumpySketch] = {}
+        for b in batches:
+            g, row, col = (b.column(k).to_numpy().astype(np.int64) for k in range(3))
+            cells = tuple(b.column(k).fill_null(0).to_numpy(zero_copy_only=False) for k in range(3, 7))
+            for k in np.unique(g).tolist():
+                grid = held.setdefault(k, NumpySketch(params))
+                grid.count += float(cells[1][(row < 0) & (g == k)].sum())
+                on = (row >= 0) & (g == k)
+                grid.absorb(*reduce_by_key(row[on] * w + col[on], tuple(x[on] for x in cells)))
+        for k, grid in held.items():
+            yield grid.rows(k)
+
+    rows = local.select("shard", "row", "col", "i1", "f1", "i2", "f2").repartition("shard", "row", "col")
+    merged = arrow_map(rows, run, "g int, " + CELLS)
+    return merged.where("row >= 0"), merged.where("row = -1").groupBy("g").agg(F.sum("f1").alias("c"))
+
+
 def merge_sketches(local: DataFrame, params: SketchParams, partitions: int | None = None) -> DataFrame:
     """The merged cells alone."""
     return reduce_local(local, params, partitions)[0]
@@ -188,13 +221,13 @@ def candidates(cells: DataFrame, count: DataFrame, phi: float) -> DataFrame:
     return cells.crossJoin(F.broadcast(count)).where(F.col("f1") > F.lit(phi) * F.col("c")).select(F.col("i1").alias("item")).distinct()
 
 
-def raw_estimates(cells: DataFrame, params: SketchParams, items: DataFrame) -> DataFrame:
-    """(item, est): smallest over the rows of what the item's cell allows: its counter, or the smaller one.
-    The grid is of fixed size (d x w rows), so it is the side that is broadcast."""
-    probe = items.select("item", F.posexplode(F.array(*params.hashes.columns(F.col("item")))).alias("row", "col"))
-    hit = probe.join(F.broadcast(cells), ["row", "col"], "left")
+def raw_estimates(cells: DataFrame, params: SketchParams, items: DataFrame, *by: str) -> DataFrame:
+    """(item, est): smallest over the rows of what the item's cell allows: its counter, or the smaller one. ``by`` names
+    columns of both sides that keep several grids apart. A grid is of fixed size (d x w rows), so it is the side that is broadcast."""
+    probe = items.select(*by, "item", F.posexplode(F.array(*params.hashes.columns(F.col("item")))).alias("row", "col"))
+    hit = probe.join(F.broadcast(cells), [*by, "row", "col"], "left")
     value = F.when(F.col("i1") == F.col("item"), F.col("f1")).when(F.col("i2") == F.col("item"), F.col("f2")).otherwise(F.coalesce("f2", F.lit(0.0)))
-    return hit.groupBy("item").agg(F.min(value).alias("est"))
+    return hit.groupBy(*by, "item").agg(F.min(value).alias("est"))
 
 
 def point_estimate(cells: DataFrame, params: SketchParams, items: DataFrame, now: int) -> DataFrame:

@@ -6,16 +6,19 @@ import time
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from fadedhh.operators import sketch
 from fadedhh.operators.params import SketchParams
+from fadedhh.shipping import fixed_width
 
 
 def seconds(df: DataFrame) -> float:
     """Wall clock of computing every row of a result and keeping none."""
-    t = time.perf_counter()
-    df.write.format("noop").mode("overwrite").save()
-    return time.perf_counter() - t
+    with fixed_width(df.sparkSession):
+        t = time.perf_counter()
+        df.write.format("noop").mode("overwrite").save()
+        return time.perf_counter() - t
 
 
 def update_phase(weighted: DataFrame, params: SketchParams) -> DataFrame:
@@ -69,6 +72,29 @@ def shuffle_bytes(df: DataFrame) -> int:
     return int(total)
 
 
+#: Bytes of a cell in the reduction: row, column, two items, two frequencies.
+CELL_BYTES = 40
+
+
 def sketch_traffic(params: SketchParams, shards: int) -> int:
-    """Upper bound in bytes of what the reduction moves: a full grid of 40-byte cells per shard."""
-    return shards * params.d * params.w * 40
+    """Upper bound in bytes of what the reduction moves: a full grid per shard."""
+    return shards * params.d * params.w * CELL_BYTES
+
+
+def cells_emitted(local: DataFrame) -> DataFrame:
+    """(shard, cells, bytes) that each local sketch hands to the reduction."""
+    count = local.where("row >= 0").groupBy(F.col("shard").cast("long").alias("shard")).agg(F.count("*").alias("cells"))
+    return count.withColumn("bytes", F.col("cells") * CELL_BYTES)
+
+
+def reduction_depth(shards: int, fan_in: int) -> int:
+    """Levels of a reduction tree."""
+    depth, left = 0, shards
+    while left > 1:
+        depth, left = depth + 1, -(-left // fan_in)
+    return max(1, depth)
+
+
+def worker_bytes(params: SketchParams) -> int:
+    """Memory of one local sketch: two items and two frequencies a cell."""
+    return params.d * params.w * 32

@@ -5,9 +5,12 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from fadedhh.operators import sketch
 from fadedhh.operators.params import SketchParams
+from fadedhh.shipping import fixed_width
+from fadedhh.sources.scratch import scratch_path
 
 
 @dataclass
@@ -33,9 +36,13 @@ class Mined:
 
 
 def mine_weighted(weighted: DataFrame, params: SketchParams, shard: str | None = None, combine: bool = True) -> Mined:
-    """Sketches a weighted stream by the kernel. Without a shard column each input partition is a shard."""
-    local = sketch.local_sketches(weighted, params, combine, shard)
-    return Mined(*sketch.reduce_local(local, params), params)
+    """Sketches a weighted stream by the kernel, at once: the job ends in a stored grid of fixed size, which queries read as often as
+    they like. Without a shard column each input partition is a shard."""
+    spark = weighted.sparkSession
+    path = scratch_path(spark, "grid")
+    with fixed_width(spark):
+        sketch.reduced(sketch.local_sketches(weighted, params, combine, shard), params).coalesce(1).write.parquet(path)
+    return Mined(*sketch.split_count(spark.read.schema(sketch.CELLS).parquet(path)), params)
 
 
 def mine(stream: DataFrame, params: SketchParams, phi: float, now: int, measure: str | None = None, strict: bool = True) -> DataFrame:
@@ -50,17 +57,26 @@ def mine_folded(weighted: DataFrame, params: SketchParams, shards: int, fan_in:
     return Mined(sketch.unpack(sketch.merge_folded(local, shards, fan_in)), sketch.global_count(weighted), params)
 
 
-def mine_grouped(weighted: DataFrame, params: SketchParams, group: str, phi: float, values: list, now: int) -> DataFrame:
-    """(group, item, est): a sketch per listed value of a low-cardinality column, built in one pass: the
-    group's number is the shard, and grids are merged and queried per group."""
-    from pyspark.sql import functions as F
-
+def mine_grouped(weighted: DataFrame, params: SketchParams, group: str, values: list) -> tuple[DataFrame, DataFrame]:
+    """(cells, counts) with a column ``g``, the place of the group in ``values``: one scan and one reduction for a sketch per
+    listed value of a low-cardinality column. A task holds a grid per value."""
     number = F.array_position(F.array(*[F.lit(v) for v in values]), F.col(group)).cast("int")
     local = sketch.local_sketches(weighted.where(F.col(group).isin(values)).withColumn("shard", number), params)
-    out = None
-    for k, v in enumerate(values, 1):
-        mine_ = local.where(F.col("shard") == k)
-        got = sketch.heavy_hitters(*sketch.reduce_local(mine_, params), params, phi, now, strict=False)
-        got = got.select(F.lit(v).alias(group), "item", "est")
-        out = got if out is None else out.union(got)
-    return out
+    return sketch.reduce_groups(local, params)
+
+
+def heavy_hitters_grouped(cells: DataFrame, counts: DataFrame, params: SketchParams, group: str, phi: float, values: list, now: int) -> DataFrame:
+    """(group, item, est): every group's own query, all at once. Both sides that are broadcast are of fixed size."""
+    hot = cells.join(F.broadcast(counts), "g").where(F.col("f1") > F.lit(phi) * F.col("c")).select("g", F.col("i1").alias("item")).distinct()
+    kept = sketch.raw_estimates(cells, params, hot, "g").join(F.broadcast(counts), "g").where(F.col("est") > F.lit(phi) * F.col("c"))
+    name = F.element_at(F.array(*[F.lit(v) for v in values]), F.col("g"))
+    return kept.select(name.alias(group), "item", (F.col("est") / F.lit(params.decay.g(now - params.landmark))).alias("est"))
+
+
+def verified_grouped(weighted: DataFrame, params: SketchParams, group: str, phi: float, values: list) -> DataFrame:
+    """(group, item, f): the grouped answer with exact raw frequencies, from a second scan of its items only."""
+    cells, counts = mine_grouped(weighted, params, group, values)
+    answer = heavy_hitters_grouped(cells, counts, params, group, phi, values, params.landmark)
+    name = F.element_at(F.array(*[F.lit(v) for v in values]), F.col("g"))
+    sums = weighted.join(F.broadcast(answer.select(group, "item")), [group, "item"], "left_semi").groupBy(group, "item").agg(F.sum("x").alias("f"))
+    return sums.join(F.broadcast(counts.select(name.alias(group), "c")), group).where(F.col("f") > F.lit(phi) * F.col("c")).select(group, "item", "f")

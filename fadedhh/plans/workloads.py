@@ -6,7 +6,8 @@ A stream is a DataFrame (item long, tick long, ord long [, x0 double]) with land
 from __future__ import annotations
 
 from collections.abc import Callable
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
+from datetime import timedelta
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -16,6 +17,8 @@ from fadedhh.functions.times import between_days, day_micros, key48, micros
 from fadedhh.operators import metrics, sketch
 from fadedhh.operators.exact import decayed_frequency
 from fadedhh.operators.params import SketchParams
+from fadedhh.plans import miner
+from fadedhh.sources.scratch import scratch_path
 from fadedhh.sources.tables import load
 
 DAY = 86_400_000_000
@@ -39,8 +42,12 @@ class Stream:
         return sketch.weigh(self.build(spark, sf_dir), self.params(), self.now, measure)
 
     def weighted_sql(self, extra: str = "") -> str:
-        """SQL of the weighted stream (dyadic and constant decay)."""
-        x = f"pow(2.0::DOUBLE, (tick - {self.landmark}::BIGINT) // {int(self.decay.param)}::BIGINT)" if self.decay.kind == "dyadic" else "1.0::DOUBLE"
+        """SQL of the weighted stream (dyadic, exponential and constant decay)."""
+        age = f"(tick - {self.landmark}::BIGINT)"
+        x = {
+            "dyadic": f"pow(2.0::DOUBLE, {age} // {int(self.decay.param or 1)}::BIGINT)",
+            "exp": f"exp({self.decay.param!r}::DOUBLE * ({age}::DOUBLE / {float(self.decay.unit)!r}::DOUBLE))",
+        }.get(self.decay.kind, "1.0::DOUBLE")
         return f"SELECT *, {x}{extra} AS x FROM ({self.sql}) WHERE item IS NOT NULL AND tick > {self.landmark}::BIGINT AND tick <= {self.now}::BIGINT"
 
 
@@ -138,19 +145,21 @@ def words_of(text: str) -> Column:
     return F.filter(F.split(F.lower(text), " "), lambda w: w != "")
 
 
-def tokens(table: str = "documents", key: str = "doc_id", place: str = "0", quality: bool = False) -> Stream:
-    """Words of a text table, timed by the bins of its id."""
+def tokens(table: str = "documents", key: str = "doc_id", place: str = "0", quality: bool = False, also: str | None = None) -> Stream:
+    """Words of a text table, timed by the bins of its id; ``also`` names a column that comes along."""
+    more = [also] if also else []
 
     def build(spark, sf_dir):
         rows = _binned(load(spark, sf_dir, table), key)
         if quality:
             good = load(spark, sf_dir, "labels").where("quality = 1").select("doc_id").distinct()
             rows = rows.join(good, "doc_id", "left_semi")
-        words = rows.select(F.expr(f"{key} * 1000 + {place}").alias("r"), "bin", F.posexplode(words_of("text")).alias("p", "w"))
-        return adapt(words, key48(F.col("w")), F.col("bin"), F.col("r") * 100_000 + F.col("p"))
+        words = rows.select(F.expr(f"{key} * 1000 + {place}").alias("r"), "bin", *more, F.posexplode(words_of("text")).alias("p", "w"))
+        return adapt(words, key48(F.col("w")), F.col("bin"), F.col("r") * 100_000 + F.col("p"), *[F.col(c) for c in more])
 
     where = " WHERE doc_id IN (SELECT doc_id FROM labels WHERE quality = 1)" if quality else ""
-    sql = f"""SELECT {_KEY.format('w')} AS item, tick FROM (SELECT {BINS} * {key} // n AS tick, unnest(list_filter(string_split(lower(text), ' '), lambda w: w <> '')) AS w
+    named = "".join(f", {c}" for c in more)
+    sql = f"""SELECT {_KEY.format('w')} AS item, tick{named} FROM (SELECT {BINS} * {key} // n AS tick{named}, unnest(list_filter(string_split(lower(text), ' '), lambda w: w <> '')) AS w
         FROM {table}, (SELECT max({key}) + 1 AS n FROM {table}){where})"""
     return _logical(build, sql)
 
@@ -190,7 +199,7 @@ def zipf_ranges(spark: SparkSession, rho: float, m: int = 10_000, buckets: int =
     return spark.createDataFrame(rows, "b long, lo long, hi long, item long")
 
 
-def zipf(rho: float = 1.1, m: int = 10_000, k: int = 6) -> Stream:
+def zipf(rho: float = 1.1, m: int = 10_000, k: int = 6, decay: DecaySpec = DecaySpec.dyadic(DAY)) -> Stream:
     """Every event k times; each copy draws a rank from the md5 of its key."""
 
     def build(spark, sf_dir):
@@ -205,40 +214,91 @@ def zipf(rho: float = 1.1, m: int = 10_000, k: int = 6) -> Stream:
     values = ", ".join(map(str, zipf_thresholds(rho, m)))
     sql = f"""SELECT t.item, k.tick, k.ord FROM (SELECT event_id * {k} + r AS ord, epoch_us(ts) AS tick, ('0x' || substr(md5((event_id * {k} + r)::VARCHAR), 1, 8))::BIGINT AS u FROM events, range({k}) q(r)) k
         JOIN (SELECT i AS item, CASE WHEN i = 1 THEN 0 ELSE h[i - 1] END AS lo, h[i] AS hi FROM (SELECT [{values}]::BIGINT[] AS h), range(1, {m + 1}) z(i)) t ON k.u >= t.lo AND k.u < t.hi"""
-    return Stream(build, sql, EVENTS_FROM, EVENTS_TO, DecaySpec.dyadic(DAY))
+    return Stream(build, sql, EVENTS_FROM, EVENTS_TO, decay)
 
 
 # ---- accuracy sweeps ----
 
+#: The experiments' decay is exponential.
+FADE = DecaySpec.half_life(timedelta(days=2))
 PHI = 0.01
 WIDTH = 1340
 SHARDS = 16
 SWEEPS: dict[str, list] = {"n": [8, 4, 2, 1], "rho": [1.0, 1.4, 1.8, 2.2], "phi": [0.001, 0.004, 0.008, 0.016], "w": [800, 1600, 3200, 6400], "p": [1, 16, 128, 256, 512]}
 
 
-def point(spark: SparkSession, sf_dir: str, vary: str, value: float, k: int = 6) -> tuple[DataFrame, SketchParams, float, int]:
-    """(weighted stream with shards, parameters, phi, query time) of one point of a sweep."""
-    s = zipf(value if vary == "rho" else 1.1, k=k)
-    w = int(value) if vary == "w" else WIDTH
-    p = int(value) if vary == "p" else SHARDS
-    weighted = s.weighted(spark, sf_dir)
-    n = (load(spark, sf_dir, "events").agg(F.max("event_id")).first()[0] + 1) * k
-    if vary == "n":
-        n = n // int(value)
-        weighted = weighted.where(F.col("ord") < n)
-    return sketch.block_shards(weighted, p, n), s.params(w=w), value if vary == "phi" else PHI, s.now
-
-
-def accuracy(spark: SparkSession, sf_dir: str, vary: str) -> DataFrame:
-    """One row per point of a sweep: the faded miner's answer measured against the exact one."""
-    out = None
-    for value in SWEEPS[vary]:
-        weighted, params, phi, now = point(spark, sf_dir, vary, value)
-        cells, count = sketch.reduce_local(sketch.local_sketches(weighted, params), params)
-        norm = params.decay.g(now - params.landmark)
-        answer = sketch.heavy_hitters(cells, count, params, phi, now, strict=False)
-        exact = decayed_frequency(weighted).withColumn("f", F.col("f") / F.lit(norm))
-        row = metrics.summary(answer, exact, phi).select(F.lit(vary).alias("vary_name"), F.lit(float(value)).alias("vary_value"), F.lit(params.eps < phi).alias("in_guarantee"), "*")
+@dataclass(frozen=True)
+class Point:
+    """One point of a sweep: the stream, how many of its elements in order, sketch parameters, threshold and shards."""
+
+    vary: str
+    value: float
+    k: int = 6
+
+    @property
+    def rho(self) -> float:
+        return self.value if self.vary == "rho" else 1.1
+
+    @property
+    def part(self) -> int:
+        """Divides the number of elements."""
+        return int(self.value) if self.vary == "n" else 1
+
+    @property
+    def phi(self) -> float:
+        return self.value if self.vary == "phi" else PHI
+
+    @property
+    def shards(self) -> int:
+        return int(self.value) if self.vary == "p" else SHARDS
+
+    @property
+    def total_sql(self) -> str:
+        return f"((SELECT max(event_id) + 1 FROM events) * {self.k} // {self.part})"
+
+    def stream(self) -> Stream:
+        """The stream; its SQL holds the point's elements only."""
+        s = zipf(self.rho, k=self.k, decay=FADE)
+        return replace(s, sql=f"SELECT * FROM ({s.sql}) WHERE ord < {self.total_sql}") if self.part > 1 else s
+
+    def params(self) -> SketchParams:
+        return self.stream().params(w=int(self.value) if self.vary == "w" else WIDTH)
+
+
+def points(vary: str, k: int = 6) -> list[Point]:
+    return [Point(vary, float(v), k) for v in SWEEPS[vary]]
+
+
+def _stored(spark: SparkSession, df: DataFrame) -> DataFrame:
+    path = scratch_path(spark, "sweep")
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
+
+
+def accuracy(spark: SparkSession, sf_dir: str, vary: str, k: int = 6, folded: bool = False) -> DataFrame:
+    """One row per point of a sweep: the faded miner's answer measured against the exact one. Points of one stream share
+    its elements and exact answer, points of one sketch its cells. ``folded`` takes the reference form, whose cells do not
+    depend on how rows come in, and adds point_err_mean, the mean absolute error of the estimates of all items."""
+    out, streams, sketches, rows = None, {}, {}, load(spark, sf_dir, "events").agg(F.max("event_id")).first()[0]
+    for at in points(vary, k):
+        s, n = at.stream(), ((-1 if rows is None else rows) + 1) * at.k // at.part
+        params, norm = at.params(), s.decay.g(s.now - s.landmark)
+        if (at.rho, at.part) not in streams:
+            if at.rho not in streams:
+                streams[at.rho] = _stored(spark, s.weighted(spark, sf_dir))
+            weighted = streams[at.rho] if at.part == 1 else streams[at.rho].where(F.col("ord") < n)
+            streams[at.rho, at.part] = weighted, _stored(spark, decayed_frequency(weighted).withColumn("f", F.col("f") / F.lit(norm)))
+        weighted, exact = streams[at.rho, at.part]
+        key = (at.rho, at.part, params.w, at.shards)
+        if key not in sketches:
+            dealt = sketch.block_shards(weighted, at.shards, n)
+            mined = miner.mine_folded(dealt, params, at.shards, fan_in=512) if folded else miner.mine_weighted(dealt, params, "shard")
+            sketches[key] = miner.Mined(_stored(spark, mined.cells), _stored(spark, mined.count), params) if folded else mined
+        answer = sketches[key].heavy_hitters(at.phi, s.now, strict=False)
+        row = metrics.summary(answer, exact, at.phi).select(F.lit(vary).alias("vary_name"), F.lit(at.value).alias("vary_value"), F.lit(params.eps < at.phi).alias("in_guarantee"), "*")
+        if folded:
+            every = sketch.point_estimate(sketches[key].cells, params, exact.select("item"), s.now).join(exact, "item")
+            row = row.crossJoin(F.broadcast(every.agg(F.avg(F.abs(F.col("est") - F.col("f"))).alias("point_err_mean"))))
         out = row if out is None else out.unionByName(row)
     return out
 

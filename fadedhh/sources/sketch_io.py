@@ -24,6 +24,19 @@ def newest(meta: DataFrame, as_of: int | None = None) -> DataFrame:
     return rows.groupBy("site").agg(F.max("snapshot").alias("snapshot"), F.max_by("lcount", "snapshot").alias("lcount"))
 
 
+def newest_at(meta: DataFrame, times: DataFrame) -> DataFrame:
+    """(as_of, site, snapshot, lcount): for every time in ``times`` (as_of) the newest snapshot of each site at or before it. The
+    times are gone through once, in order with the snapshots: no pairing of all with all."""
+    from pyspark.sql import Window as W
+
+    sites = meta.select("site").distinct()
+    asked = times.select("as_of").distinct().crossJoin(F.broadcast(sites)).select("site", F.col("as_of").alias("at"), F.lit(1).alias("asked"), F.lit(None).alias("snapshot"), F.lit(None).alias("lcount"))
+    rows = asked.unionByName(meta.select("site", F.col("snapshot").alias("at"), F.lit(0).alias("asked"), "snapshot", "lcount"))
+    before = W.partitionBy("site").orderBy("at", "asked").rowsBetween(W.unboundedPreceding, 0)
+    last = F.last(F.when(F.col("asked") == 0, F.struct("snapshot", "lcount")), ignorenulls=True).over(before)
+    return rows.withColumn("last", last).where("asked = 1 and last is not null").select(F.col("at").alias("as_of"), "site", "last.snapshot", "last.lcount")
+
+
 def read(spark: SparkSession, path: str, params: SketchParams, as_of: int | None = None) -> tuple[DataFrame, DataFrame]:
     """(site cells as shards, count) of the newest snapshots; refuses sketches built with other parameters."""
     meta = spark.read.parquet(f"{path}/meta")
