@@ -76,6 +76,13 @@ class NumpySketch:
         self.cells: Cells = (np.zeros(n, np.int64), np.zeros(n), np.zeros(n, np.int64), np.zeros(n))
         self.count = 0.0
 
+    def scale(self, factor: float) -> None:
+        """Multiplies all frequencies and the count; counters that vanish become free."""
+        i1, f1, i2, f2 = self.cells
+        f1, f2 = f1 * factor, f2 * factor
+        self.cells = (np.where(f1 > 0, i1, 0), f1, np.where(f2 > 0, i2, 0), f2)
+        self.count *= factor
+
     def absorb(self, key: np.ndarray, cells: Cells) -> None:
         """Merges further cells (keys distinct) into the grid."""
         mine = tuple(x[key] for x in self.cells)

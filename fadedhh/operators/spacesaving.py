@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import heapq
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -19,7 +21,8 @@ def fold_stream(weighted: DataFrame, k: int) -> DataFrame:
 
 def build(weighted: DataFrame, k: int) -> DataFrame:
     """(shard, mass, cell): a summary per partition by a kernel that adds up equal items of a batch and evicts the
-    smallest counter for each newcomer, heaviest newcomers last."""
+    smallest counter for each newcomer, heaviest newcomers last. The smallest comes from a heap, made anew for each batch, so a
+    newcomer costs log k."""
     rows = weighted.select("item", "x")
 
     def run(batches):
@@ -36,12 +39,14 @@ def build(weighted: DataFrame, k: int) -> DataFrame:
                     count[i] += x
                 elif x > 0:
                     fresh.append((i, x))
+            heap = [(f, -i) for i, f in count.items()]
+            heapq.heapify(heap)
             for i, x in fresh:
-                if len(count) < k:
-                    count[i] = x
-                else:
-                    low = min(count, key=lambda j: (count[j], -j))
-                    count[i] = count.pop(low) + x
+                if len(count) >= k:
+                    f, low = heapq.heappop(heap)
+                    x += count.pop(-low)
+                count[i] = x
+                heapq.heappush(heap, (x, -i))
         pairs = sorted(((-f, i) for i, f in count.items()))
         kind = pa.list_(pa.struct([("n", pa.float64()), ("i", pa.int64())]))
         yield pa.RecordBatch.from_arrays([pa.array([mass]), pa.array([[{"n": n, "i": i} for n, i in pairs]], kind)], names=["mass", "cell"])

@@ -18,10 +18,10 @@ def write(cells: DataFrame, count: DataFrame, params: SketchParams, path: str, s
     meta.write.mode("append").partitionBy("snapshot").parquet(f"{path}/meta")
 
 
-def newest(meta: DataFrame, as_of: int | None = None) -> DataFrame:
-    """(site, snapshot, lcount): per site the newest snapshot at or before ``as_of``."""
+def newest(meta: DataFrame, as_of: int | None = None, *more: str) -> DataFrame:
+    """(site, snapshot, lcount): per site the newest snapshot at or before ``as_of``, with ``more`` columns."""
     rows = meta if as_of is None else meta.where(F.col("snapshot") <= as_of)
-    return rows.groupBy("site").agg(F.max("snapshot").alias("snapshot"), F.max_by("lcount", "snapshot").alias("lcount"))
+    return rows.groupBy("site").agg(F.max("snapshot").alias("snapshot"), *[F.max_by(c, "snapshot").alias(c) for c in ("lcount", *more)])
 
 
 def newest_at(meta: DataFrame, times: DataFrame) -> DataFrame:
@@ -47,6 +47,21 @@ def read(spark: SparkSession, path: str, params: SketchParams, as_of: int | None
     return local, pick.agg(F.coalesce(F.sum("lcount"), F.lit(0.0)).alias("c"))
 
 
+def read_rebased(spark: SparkSession, path: str, params: SketchParams, as_of: int | None = None) -> tuple[DataFrame, DataFrame, SketchParams]:
+    """(site cells as shards, count, parameters) of the newest snapshots of sites that may have moved their landmarks: all are
+    scaled to the latest one, which the parameters name."""
+    meta = spark.read.parquet(f"{path}/meta")
+    check_params([r["params"] for r in meta.select("params").distinct().collect()], params)
+    pick = newest(meta, as_of, "landmark")
+    last = pick.agg(F.max("landmark")).first()[0]
+    moved = params if last is None else params.with_(landmark=int(last))
+    back = F.exp(F.lit(params.decay.param / params.decay.unit) * (F.col("landmark") - F.lit(moved.landmark))) if params.decay.kind == "exp" else F.lit(1.0)
+    pick = pick.withColumn("factor", back)
+    cells = spark.read.parquet(f"{path}/cells").drop("landmark").join(F.broadcast(pick.select("site", "snapshot", "factor")), ["site", "snapshot"])
+    local = cells.select(F.col("site").alias("shard"), "row", "col", "i1", (F.col("f1") * F.col("factor")).alias("f1"), "i2", (F.col("f2") * F.col("factor")).alias("f2"))
+    return local, pick.agg(F.coalesce(F.sum(F.col("lcount") * F.col("factor")), F.lit(0.0)).alias("c")), moved
+
+
 def check_params(found: list[str], params: SketchParams) -> None:
     for text in found:
         if json.loads(text) != json.loads(json.dumps(params.describe())):

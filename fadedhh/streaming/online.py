@@ -6,6 +6,8 @@ the newest snapshots, so sites never pause. State is one grid per site, whatever
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -17,8 +19,12 @@ from fadedhh.operators.params import SketchParams
 from fadedhh.shipping import ensure_shipped
 from fadedhh.sources import sketch_io
 
-STATE = "items binary, weights binary, count double, seen long"
-OUT = "site int, seen long, row int, col int, i1 long, f1 double, i2 long, f2 double"
+STATE = "items binary, weights binary, count double, seen long, landmark long"
+OUT = "site int, seen long, landmark long, row int, col int, i1 long, f1 double, i2 long, f2 double"
+
+
+#: Natural logarithm of a raw weight beyond which a site moves its landmark.
+MOST_LOG = 300.0
 
 
 def watermarked(stream: DataFrame, ts: str, delay: str) -> DataFrame:
@@ -45,27 +51,46 @@ def sessions(stream: DataFrame, ts: str, gap: str, by: str) -> DataFrame:
 
 
 def run_sites(stream: DataFrame, params: SketchParams, site: str = "site") -> DataFrame:
-    """Stateful operator: weighted rows (site, item, x) in, after each batch the whole sketch of each touched site out
-    (rows of cells and a row -1 with the count; ``seen`` orders a site's snapshots)."""
+    """Stateful operator: rows (site, item, x) with raw weights x, or (site, item, tick) to be weighted here, in; after each batch
+    the whole sketch of each touched site out (rows of cells and a row -1 with the count; ``seen`` orders a site's
+    snapshots).
+
+    Rows with a tick, under exponential decay, may run on for ever: before raw weights leave the range of doubles a site
+    moves its landmark to its newest row and scales what it holds; ``landmark`` tells to which."""
     ensure_shipped(stream.sparkSession)
+    rate = params.decay.param / params.decay.unit if params.decay.kind == "exp" else 0.0
+    ticks = "x" not in stream.columns
+    if ticks and not params.decay.landmark_free:
+        raise ValueError("only exponential or absent decay can move the landmark: give raw weights")
 
     def step(key, frames, state):
         local = NumpySketch(params)
-        seen = 0
+        seen, landmark = 0, params.landmark
         if state.exists:
-            items, weights, count, seen = state.get
+            items, weights, count, seen, landmark = state.get
             i, f = np.frombuffer(items, np.int64).reshape(2, -1), np.frombuffer(weights, np.float64).reshape(2, -1)
             local.cells = (i[0].copy(), f[0].copy(), i[1].copy(), f[1].copy())
             local.count = count
         for frame in frames:
             frame = frame.sort_values("ord") if "ord" in frame else frame
-            local.update(frame["item"].to_numpy(np.int64), frame["x"].to_numpy(float), combine=False)
+            if ticks:
+                frame = frame[frame["tick"] > params.landmark]
+            if ticks and len(frame):
+                newest = int(frame["tick"].max())
+                if rate * (newest - landmark) > MOST_LOG:
+                    local.scale(math.exp(-rate * (newest - landmark)))
+                    landmark = newest
+                x = np.exp(rate * (frame["tick"].to_numpy(np.int64) - landmark))
+            else:
+                x = frame["x"].to_numpy(float) if "x" in frame else np.zeros(0)
+            local.update(frame["item"].to_numpy(np.int64), x, combine=False)
             seen += len(frame)
         i1, f1, i2, f2 = local.cells
-        state.update((np.stack([i1, i2]).tobytes(), np.stack([f1, f2]).tobytes(), local.count, seen))
+        state.update((np.stack([i1, i2]).tobytes(), np.stack([f1, f2]).tobytes(), local.count, seen, landmark))
         out = pa.Table.from_batches([local.rows(int(key[0]))]).to_pandas(types_mapper=None)
         out = out.rename(columns={"shard": "site"})
         out.insert(1, "seen", seen)
+        out.insert(2, "landmark", landmark)
         out["i2"] = out["i2"].astype("Int64")
         yield out
 
@@ -78,18 +103,18 @@ def snapshot_writer(params: SketchParams, path: str):
 
     def write(batch: DataFrame, batch_id: int) -> None:
         last = batch.groupBy(F.col("site").alias("s")).agg(F.max("seen").alias("m"))
-        rows = batch.join(F.broadcast(last), F.expr("site = s and seen = m")).select("site", "row", "col", "i1", "f1", "i2", "f2")
+        rows = batch.join(F.broadcast(last), F.expr("site = s and seen = m")).select("site", "landmark", "row", "col", "i1", "f1", "i2", "f2")
         cells = rows.where("row >= 0")
         cells.write.mode("overwrite").parquet(f"{path}/cells/snapshot={batch_id}")
         import json
 
-        meta = rows.where("row = -1").select("site", F.col("f1").alias("lcount"), F.lit(json.dumps(params.describe())).alias("params"))
+        meta = rows.where("row = -1").select("site", "landmark", F.col("f1").alias("lcount"), F.lit(json.dumps(params.describe())).alias("params"))
         meta.write.mode("overwrite").parquet(f"{path}/meta/snapshot={batch_id}")
 
     return write
 
 
 def query_now(spark: SparkSession, path: str, params: SketchParams, phi: float, now: int, as_of: int | None = None) -> DataFrame:
-    """Heavy hitters over the newest snapshot of every site."""
-    local, count = sketch_io.read(spark, path, params, as_of)
+    """Heavy hitters over the newest snapshot of every site, under the latest of their landmarks."""
+    local, count, params = sketch_io.read_rebased(spark, path, params, as_of)
     return sketch.heavy_hitters(sketch.merge_sketches(local, params), count, params, phi, now)

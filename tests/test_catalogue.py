@@ -27,9 +27,15 @@ def test_errors_fall_with_width_and_skew(spark, sf_dir):
     for vary in ("w", "rho"):
         rows = sorted(catalogue.queries()[f"faded_hh_errors_{vary}"](spark, sf_dir).collect(), key=lambda r: r.vary_value)
         assert rows[-1].abs_err_mean <= rows[0].abs_err_mean + 1e-12
+        assert rows[-1].point_err_mean < rows[0].point_err_mean
         assert all(r.are < 1e-2 for r in rows)
 
 
+def test_errors_do_not_depend_on_the_shards(spark, sf_dir):
+    rows = catalogue.queries()["faded_hh_errors_p"](spark, sf_dir).collect()
+    assert len(rows) == 5 and max(r.point_err_mean for r in rows) < 2 * min(r.point_err_mean for r in rows) + 1e-3
+
+
 def test_recall_falls_only_for_tiny_sketches(spark, sf_dir):
     rows = {r.w: r for r in catalogue.queries()["tiny_sketch_recall"](spark, sf_dir).collect()}
     assert rows[800].recall == 1 and rows[800].precision == 1

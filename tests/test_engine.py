@@ -142,3 +142,80 @@ def test_late_rows_change_nothing(spark, tmp_path):
     got = {r.item: r.est for r in online.query_now(spark, str(tmp_path / "out"), p, 0.3, 9).collect()}
     want = {r.item: r.f for r in exact.heavy_hitters(w, 0.3, p.decay.g(9)).collect()}
     assert got == want
+
+
+def test_replayed_batch_changes_nothing(spark, tmp_path):
+    """A micro-batch that is run again after a failure replaces its snapshot."""
+    from fadedhh.streaming import online
+
+    p = SketchParams(d=2, w=30, decay=DecaySpec.none())
+    rows = [(0, 1, 0, 0, 0, 5, 3.0, None, 0.0), (0, 1, 0, -1, 0, 0, 3.0, None, 0.0)]
+    batch = spark.createDataFrame(rows, "site int, seen long, landmark long, row int, col int, i1 long, f1 double, i2 long, f2 double")
+    write = online.snapshot_writer(p, str(tmp_path))
+    for batch_id in (0, 0, 1, 1):
+        write(batch, batch_id)
+    local, count, _ = sketch_io.read_rebased(spark, str(tmp_path), p)
+    assert [r.f1 for r in local.collect()] == [3.0] and count.first().c == 3.0
+
+
+def test_sites_outlive_the_range_of_doubles(spark, tmp_path):
+    """Under exponential decay the landmark moves: a stream of 3,000 half-lives answers like weights taken back from now."""
+    import math
+
+    from fadedhh.streaming import online
+
+    p = SketchParams(d=2, w=40, decay=DecaySpec.exp(math.log(2), 1))
+    with pytest.raises(OverflowError):
+        p.decay.check_span(3000)
+    rows = [(i % 2, (i // 10) % 7 if i % 3 else 1, 1 + i, i) for i in range(3000)]
+    df = spark.createDataFrame(rows, "site int, item long, tick long, ord long")
+    src = str(tmp_path / "in")
+    for k in range(3):
+        df.where((F.col("ord") >= 1000 * k) & (F.col("ord") < 1000 * (k + 1))).coalesce(1).write.mode("append").parquet(src)
+    frames = spark.readStream.schema(df.schema).option("maxFilesPerTrigger", 1).parquet(src)
+    q = online.run_sites(frames, p).writeStream.foreachBatch(online.snapshot_writer(p, str(tmp_path / "out"))).option("checkpointLocation", str(tmp_path / "c")).trigger(availableNow=True).start()
+    q.awaitTermination()
+    got = {r.item: r.est for r in online.query_now(spark, str(tmp_path / "out"), p, 0.1, 3000).collect()}
+    want: dict = {}
+    for _, item, tick, _ in rows:
+        want[item] = want.get(item, 0.0) + 2.0 ** (tick - 3000)
+    total = sum(want.values())
+    assert set(got) == {i for i, f in want.items() if f > 0.1 * total} and all(abs(got[i] - want[i]) < 1e-6 for i in got)
+
+
+def test_grouped_sketches_stay_apart(spark):
+    rows = [(i % 5, 1 + i % 3, i, "ab"[i % 2]) for i in range(300)] + [(9, 1, 300 + i, "a") for i in range(200)]
+    df = spark.createDataFrame(rows, "item long, tick long, ord long, g0 string")
+    p = SketchParams(d=2, w=50, decay=DecaySpec.dyadic(1))
+    w = sketch.weigh(df, p, 3)
+    cells, counts = miner.mine_grouped(w, p, "g0", ["a", "b", "none"])
+    assert {r.g: r.c for r in counts.collect()} == {k: w.where(f"g0 = '{v}'").agg(F.sum("x")).first()[0] for k, v in ((1, "a"), (2, "b"))}
+    got = sorted(map(tuple, miner.verified_grouped(w, p, "g0", 0.15, ["a", "b", "none"]).collect()))
+    want = sorted((r.g0, r.item, r.f) for r in exact.grouped_heavy_hitters(w, "g0", 0.15).collect())
+    assert got == want and ("a", 9) in {x[:2] for x in got}
+
+
+def test_fixed_width_settings_are_put_back(spark):
+    from fadedhh.shipping import fixed_width
+
+    keys = ("spark.sql.execution.arrow.maxBytesPerBatch", "spark.sql.execution.arrow.maxRecordsPerBatch")
+    before = [spark.conf.get(k, None) for k in keys]
+    with pytest.raises(ZeroDivisionError), fixed_width(spark):
+        assert spark.conf.get(keys[0]) == str(2**31 - 1)
+        1 / 0
+    assert [spark.conf.get(k, None) for k in keys] == before
+
+
+def test_newest_snapshots_in_one_pass(spark):
+    meta = spark.createDataFrame([(s, 3 * k + s, float(k)) for k in range(20) for s in range(3) if (k + s) % 4], "site int, snapshot long, lcount double")
+    got = sorted(map(tuple, sketch_io.newest_at(meta, spark.createDataFrame([(1,), (7,), (7,), (500,)], "as_of long")).collect()))
+    want = sorted((t, *r) for t in (1, 7, 500) for r in map(tuple, sketch_io.newest(meta, t).select("site", "snapshot", "lcount").collect()))
+    assert got == want
+
+
+def test_cost_counters():
+    from fadedhh.plans import measure
+
+    p = SketchParams(d=4, w=100)
+    assert measure.worker_bytes(p) == 12_800 and measure.sketch_traffic(p, 3) == 48_000
+    assert [measure.reduction_depth(n, f) for n, f in ((1, 2), (2, 2), (512, 2), (512, 64), (65, 64))] == [1, 1, 9, 2, 2]
