@@ -368,7 +368,7 @@ def verified(s: wl.Stream, phi: float, w: int = 1360):
 for _name in ("parts", "suppliers", "customers", "tokens", "hosts", "event_type", "props", "zipf11"):
     query(f"faded_hh_{_name}", hh_sql(STREAMS[_name], PHI[_name], "item, f / {norm} AS f"))(verified(STREAMS[_name], PHI[_name]))
 
-_DIALOG = wl.tokens("conversations", "conv_id", "turn", also="role")
+_DIALOG = wl.tokens("conversations", "conv_id", also="role")
 _ROLES = ["user", "assistant", "system"]
 
 

@@ -34,12 +34,14 @@ class Stream:
     landmark: int
     now: int
     decay: DecaySpec
+    #: Column with the number of occurrences that a row of ``build`` stands for.
+    counted: str | None = None
 
     def params(self, w: int = 1360, d: int = 4, **more) -> SketchParams:
         return SketchParams(d=d, w=w, landmark=self.landmark, decay=self.decay, **more)
 
     def weighted(self, spark: SparkSession, sf_dir: str, measure: str | None = None) -> DataFrame:
-        return sketch.weigh(self.build(spark, sf_dir), self.params(), self.now, measure)
+        return sketch.weigh(self.build(spark, sf_dir), self.params(), self.now, measure or self.counted)
 
     def weighted_sql(self, extra: str = "") -> str:
         """SQL of the weighted stream (dyadic, exponential and constant decay)."""
@@ -145,8 +147,9 @@ def words_of(text: str) -> Column:
     return F.filter(F.split(F.lower(text), " "), lambda w: w != "")
 
 
-def tokens(table: str = "documents", key: str = "doc_id", place: str = "0", quality: bool = False, also: str | None = None) -> Stream:
-    """Words of a text table, timed by the bins of its id; ``also`` names a column that comes along."""
+def tokens(table: str = "documents", key: str = "doc_id", quality: bool = False, also: str | None = None) -> Stream:
+    """Words of a text table, timed by the bins of its id; ``also`` names a column that comes along. Equal words of a bin are
+    counted before they are hashed, so hashing and sketching see distinct words."""
     more = [also] if also else []
 
     def build(spark, sf_dir):
@@ -154,14 +157,14 @@ def tokens(table: str = "documents", key: str = "doc_id", place: str = "0", qual
         if quality:
             good = load(spark, sf_dir, "labels").where("quality = 1").select("doc_id").distinct()
             rows = rows.join(good, "doc_id", "left_semi")
-        words = rows.select(F.expr(f"{key} * 1000 + {place}").alias("r"), "bin", *more, F.posexplode(words_of("text")).alias("p", "w"))
-        return adapt(words, key48(F.col("w")), F.col("bin"), F.col("r") * 100_000 + F.col("p"), *[F.col(c) for c in more])
+        words = rows.select("bin", *more, F.explode(words_of("text")).alias("w")).groupBy("w", "bin", *more).agg(F.count("*").alias("x0"))
+        return adapt(words, key48(F.col("w")), F.col("bin"), F.lit(0), F.col("x0"), *[F.col(c) for c in more])
 
     where = " WHERE doc_id IN (SELECT doc_id FROM labels WHERE quality = 1)" if quality else ""
     named = "".join(f", {c}" for c in more)
     sql = f"""SELECT {_KEY.format('w')} AS item, tick{named} FROM (SELECT {BINS} * {key} // n AS tick{named}, unnest(list_filter(string_split(lower(text), ' '), lambda w: w <> '')) AS w
         FROM {table}, (SELECT max({key}) + 1 AS n FROM {table}){where})"""
-    return _logical(build, sql)
+    return replace(_logical(build, sql), counted="x0")
 
 
 def hosts() -> Stream:
