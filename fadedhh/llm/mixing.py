@@ -126,13 +126,15 @@ def mix(docs: DataFrame, weights: dict | None = None, doc_id: str = "doc_id", so
     table = spark.createDataFrame(rows or [("", 0, [0], [0])], f"{f}key string, {f}part long, {f}slots array<long>, {f}phases array<int>")
     small = len(counts) <= MAX_SOURCES and sum(len(x) for x in slots.values()) <= BROADCAST_BLOCKS
     table = F.broadcast(table) if small else table.hint("merge")
-    clean = docs.drop("mix_phase", "mix_block", "mix_slot", "mix_order", "mix_key", "mix_rank")
+    held = {c: f"{f}own_{c}" for c in docs.columns if c.lower() in ("mix_key", "mix_rank")}
+    clean = docs.drop("mix_phase", "mix_block", "mix_slot", "mix_order").withColumnsRenamed(held)
     placed = ranked(clean, sum(counts.values()), doc_id, source_key(source)).withColumn("mix_block", F.floor(F.col("mix_rank") / block_docs).cast("long"))
     joined = placed.join(table, F.expr(f"mix_key = {f}key and mix_block div {CHUNK} = {f}part"))
     place = F.expr(f"cast(mix_block % {CHUNK} + 1 as int)")
     out = joined.withColumns({"mix_phase": F.element_at(f"{f}phases", place), "mix_slot": F.element_at(f"{f}slots", place)})
     out = out.withColumn("mix_order", (F.col("mix_slot") * block_docs + F.col("mix_rank") % block_docs).cast("long"))
-    return out.drop("mix_key", "mix_rank", *[f + x for x in ("key", "part", "slots", "phases")])
+    out = out.drop("mix_key", "mix_rank", *[f + x for x in ("key", "part", "slots", "phases")])
+    return out.withColumnsRenamed({b: a for a, b in held.items()})
 
 
 def mixing_query(docs: DataFrame) -> DataFrame:
