@@ -39,7 +39,7 @@ def test_errors_do_not_depend_on_the_shards(spark, sf_dir):
 def test_recall_falls_only_for_tiny_sketches(spark, sf_dir):
     rows = {r.w: r for r in catalogue.queries()["tiny_sketch_recall"](spark, sf_dir).collect()}
     assert rows[800].recall == 1 and rows[800].precision == 1
-    assert rows[8].precision < 1
+    assert rows[2].recall < 1 and rows[2].recall <= rows[8].recall <= rows[32].recall
 
 
 def test_entry(spark):
