@@ -219,3 +219,14 @@ def test_cost_counters():
     p = SketchParams(d=4, w=100)
     assert measure.worker_bytes(p) == 12_800 and measure.sketch_traffic(p, 3) == 48_000
     assert [measure.reduction_depth(n, f) for n, f in ((1, 2), (2, 2), (512, 2), (512, 64), (65, 64))] == [1, 1, 9, 2, 2]
+
+
+def test_exact_top_k_on_small_grids(spark):
+    """More items than a grid has cells: the k heaviest come out exactly, ties by item, whatever the sketch puts first."""
+    s = spark.range(4000).select((F.col("id") * 7919 % 1009).alias("item"), (1 + F.col("id") % 5).alias("tick"), F.col("id").alias("ord"))
+    for w, k in ((4, 10), (64, 10), (64, 2000)):
+        p = SketchParams(d=2, w=w, decay=DecaySpec.dyadic(1))
+        weighted = sketch.weigh(s, p, 9)
+        got = [tuple(r) for r in miner.mine_weighted(weighted, p).exact_top_k(weighted, k, 9).collect()]
+        want = exact.decayed_frequency(weighted).orderBy(F.desc("f"), "item").limit(k).collect()
+        assert got == [(r.item, r.f / p.decay.g(9)) for r in want]
