@@ -230,3 +230,15 @@ def test_exact_top_k_on_small_grids(spark):
         got = [tuple(r) for r in miner.mine_weighted(weighted, p).exact_top_k(weighted, k, 9).collect()]
         want = exact.decayed_frequency(weighted).orderBy(F.desc("f"), "item").limit(k).collect()
         assert got == [(r.item, r.f / p.decay.g(9)) for r in want]
+
+
+def test_exact_heavy_hitters_outside_the_guarantee(spark):
+    """Grids whose own answer has intruders and misses items: after the second scan it is the exact one."""
+    s = spark.range(4000).select(F.floor(F.sqrt(F.col("id") * 7919 % 4001)).alias("item"), (1 + F.col("id") % 5).alias("tick"), F.col("id").alias("ord"))
+    for w, phi in ((1, 0.02), (4, 0.02), (32, 0.025)):
+        p = SketchParams(d=2, w=w, decay=DecaySpec.dyadic(1))
+        weighted = sketch.weigh(s, p, 9)
+        mined = miner.mine_weighted(weighted, p)
+        want = {(r.item, r.f) for r in exact.heavy_hitters(weighted, phi, p.decay.g(9)).collect()}
+        assert want and {tuple(r) for r in mined.exact_heavy_hitters(weighted, phi, 9).collect()} == want
+        assert {r.item for r in mined.heavy_hitters(phi, 9, strict=False).collect()} != {i for i, _ in want}
