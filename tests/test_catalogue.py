@@ -46,3 +46,10 @@ def test_entry(spark):
     import __spark_entry__
 
     assert __spark_entry__.entry(spark).count() > 0
+
+
+def test_bounds_follow_the_shares_of_a_table(spark, sf_dir):
+    from fadedhh.operators import params
+
+    for r in catalogue.queries()["detection_bounds"](spark, sf_dir).collect():
+        assert 0 < r.phi <= 1 and abs(r.miss - params.miss_bound(r.phi, r.d, r.w)) <= 1e-12 * r.miss
