@@ -53,3 +53,10 @@ def test_bounds_follow_the_shares_of_a_table(spark, sf_dir):
 
     for r in catalogue.queries()["detection_bounds"](spark, sf_dir).collect():
         assert 0 < r.phi <= 1 and abs(r.miss - params.miss_bound(r.phi, r.d, r.w)) <= 1e-12 * r.miss
+
+
+def test_dimensions_follow_the_shares_of_a_table(spark, sf_dir):
+    from fadedhh.operators import params
+
+    for r in catalogue.queries()["sketch_dimensions"](spark, sf_dir).collect():
+        assert (r.d, r.w) == params.dimension(r.eps, r.delta, r.kind)
