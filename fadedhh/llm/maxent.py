@@ -6,16 +6,15 @@ frequent words near it) and by its frequency. The softmax over the outputs has t
 in a bias, the output before, the output before that (a skip) and their hashed pair.
 
 Within a group a word has its add-one unigram, raised by a feature for each hashed pair of the word before and itself that
-was seen often enough. These features exclude each other given the word before, so their maximum-entropy weights have a
-closed form: a seen pair gets its count, the others of the group share what the pairs not kept and as many counts as there are
-kinds of pairs leave (the sum over the vocabulary is 1 in every context).
+was seen. These features exclude each other given the word before, so their maximum-entropy weights have a
+closed form: a seen pair gets its count, and all words of the group share as many counts as there are kinds of pairs (the sum over the vocabulary is 1 in every context).
 
 The softmax is trained data-parallel: every partition runs gradient updates over its own documents from the common weights,
 differences are averaged by tokens, and the next round goes on from there with the other documents; each training
 document is used once. Positions are grouped by context and output first, so gradients are dense in few contexts.
 
 Counts of words and of pairs stay distributed. What is broadcast is bounded: the dictionary of the commonest words, the
-commonest pairs, the weights. Rarer words get their counts by a join.
+commonest pairs, the weights. Rarer words get their counts and rarer pairs their weights by a join, so what is broadcast changes no score.
 """
 
 from __future__ import annotations
@@ -28,7 +27,7 @@ from pyspark.sql import functions as F
 from fadedhh.shipping import arrow_map
 
 from . import textbytes as tb
-from .common import settle
+from .common import release, settle
 
 CLASSES, MEMBERS = 16, 32
 OUTPUTS = CLASSES * MEMBERS
@@ -39,7 +38,7 @@ DICTIONARY = (1 << 18) - 1
 CENTRES, CLUSTERS, STEPS = 128, 7, 9
 #: Group 0 holds the words without company and those beyond the dictionary.
 GROUPS = 1 + CLUSTERS * STEPS
-#: Pairs of words that have a weight of their own, at most.
+#: Pairs of words whose weight every task holds, at most; the others' come by a join.
 PAIR_WEIGHTS = 1 << 21
 ROUNDS = 2
 BATCH = 1 << 15
@@ -47,6 +46,8 @@ SLICES = 64
 END = np.uint64(1)
 START_ID = OUTPUTS
 FEATURES = 2 * (OUTPUTS + 1) + PAIRS + 1
+#: The low bits of a pair's key: its word.
+LAST = (1 << 18) - 1
 LN10 = float(np.log(10.0))
 
 
@@ -205,6 +206,35 @@ def _average(batches):
         yield pa.RecordBatch.from_arrays([pa.array([s], pa.int32()), pa.array([n], pa.int64()), pa.array([(x / n).astype(np.float32).tobytes()])], names=["slice", "n", "part"])
 
 
+class Index:
+    """Places of 64-bit keys in an array of distinct ones, found by the leading bits of the mixed key."""
+
+    def __init__(self, keys: np.ndarray):
+        mixed = tb.mix64(keys.view(np.uint64))
+        self.place = np.argsort(mixed).astype(np.int32)
+        self.mixed = mixed[self.place]
+        self.shift = np.uint64(64 - min(22, max(1, len(keys).bit_length() + 1)))
+        size = np.bincount((self.mixed >> self.shift).astype(np.int64), minlength=1 << (64 - int(self.shift)))
+        self.first = np.concatenate([np.zeros(1, np.int32), np.cumsum(size).astype(np.int32)])
+
+    def __call__(self, keys: np.ndarray) -> np.ndarray:
+        """Places, -1 for keys that are not in the array."""
+        out = np.full(len(keys), -1)
+        if not len(self.mixed):
+            return out
+        mixed = tb.mix64(keys.view(np.uint64))
+        lead = (mixed >> self.shift).astype(np.int64)
+        at, end = self.first[lead], self.first[lead + 1]
+        left = np.flatnonzero(at < end)
+        at, end, mixed = at[left], end[left], mixed[left]
+        while len(left):
+            hit = self.mixed[at] == mixed
+            out[left[hit]] = self.place[at[hit]]
+            on = np.flatnonzero(~hit & (at + 1 < end))
+            left, at, end, mixed = left[on], at[on] + 1, end[on], mixed[on]
+        return out
+
+
 class Dictionary:
     """The commonest words, sorted by hash, with their counts and outputs; ``full`` if there are no others."""
 
@@ -213,6 +243,7 @@ class Dictionary:
         self.word, self.count, self.full, self.total, self.kinds = w[order], c[order], full, total, kinds
         self.rank = np.empty(len(w), np.int64)
         self.rank[order] = np.arange(len(w))  # places in the sorted arrays, commonest word first
+        self.index = Index(self.word)
         self.output = np.zeros(len(w), np.int16)
         self.fill(np.full(len(w), -1))
 
@@ -228,11 +259,7 @@ class Dictionary:
 
     def find(self, h: np.ndarray) -> np.ndarray:
         """Places of tokens, -1 for those not in the dictionary."""
-        if not len(self.word):
-            return np.full(len(h), -1)
-        k = np.searchsorted(self.word, h)
-        k[k == len(self.word)] = 0
-        return np.where(self.word[k] == h, k, -1)
+        return self.index(h)
 
     def outputs(self, place: np.ndarray) -> np.ndarray:
         return np.where(place < 0, 0, self.output[place]).astype(np.int64) if len(self.word) else np.zeros(len(place), np.int64)
@@ -251,23 +278,33 @@ def pair_keys(h: np.ndarray, count: np.ndarray, place: np.ndarray, ids: np.ndarr
 
 
 class Pairs:
-    """Kept pairs with their counts, and per word before and group the counts of all pairs, of their kinds and of the kept ones."""
+    """The commonest pairs with their counts, and per word before and group the counts of all pairs, with and without their kinds. ``rest``
+    is the table of all pairs (key, n); without one there are no others."""
 
-    def __init__(self, key: np.ndarray, n: np.ndarray, context: np.ndarray, total: np.ndarray, kept: np.ndarray):
+    def __init__(self, key: np.ndarray, n: np.ndarray, context: np.ndarray, total: np.ndarray, kept: np.ndarray, rest: DataFrame | None = None):
         order, other = np.argsort(key), np.argsort(context)
         self.key, self.n = key[order], n[order].astype(np.int32)
         self.context, self.total, self.kept = context[other], total[other], kept[other]
+        self.pair, self.before = Index(self.key), Index(self.context)
+        self.rest, self.more = rest, rest is not None
+
+    def __getstate__(self) -> dict:
+        return {**self.__dict__, "rest": None}
 
     def __call__(self, key: np.ndarray, unigram: np.ndarray) -> np.ndarray:
-        """Probabilities within the group, from those without the pairs."""
+        """Probabilities within the group, from those without the pairs; what ``missing`` names is not in them."""
         if not len(self.key):
             return unigram
-        k = np.searchsorted(self.key, key)
-        k[k == len(self.key)] = 0
-        n = np.where(self.key[k] == key, self.n[k], 0)
-        z = np.searchsorted(self.context, key >> 18)
-        z[z == len(self.context)] = 0
-        return np.where(self.context[z] == key >> 18, (n + (self.total[z] - self.kept[z]) * unigram) / self.total[z], unigram)
+        k, z = self.pair(key), self.before(key >> 18)
+        n = np.where(k >= 0, self.n[k], 0)
+        return np.where(z >= 0, (n + (self.total[z] - self.kept[z]) * unigram) / self.total[z], unigram)
+
+    def missing(self, key: np.ndarray) -> np.ndarray:
+        """Which pairs have something in ``rest``: those not held, for which there is no need if their context is held and their
+        word is beyond the dictionary."""
+        if not len(self.key):
+            return np.ones(len(key), bool)
+        return (self.pair(key) < 0) & ((key & LAST != LAST) | (self.before(key >> 18) < 0))
 
 
 class Counts:
@@ -332,13 +369,11 @@ def cluster_words(train: DataFrame, book: Dictionary, text: str) -> np.ndarray:
     top = top[book.word[top] != END][:CENTRES]
     number = np.full(len(book.word) + 1, -1)
     number[top] = np.arange(len(top))
-    held = context.broadcast((book.word, number))
+    held = context.broadcast((book.index, number))
 
     def find(h):
-        word, number = held.value
-        k = np.searchsorted(word, h)
-        k[k == len(word)] = 0
-        place = np.where(word[k] == h, k, -1)
+        index, number = held.value
+        place = index(h)
         return place, number[place]
 
     def meet(total, h, count):
@@ -368,34 +403,103 @@ def cluster_words(train: DataFrame, book: Dictionary, text: str) -> np.ndarray:
     return np.where(votes.sum(axis=1) > 0, best, -1)
 
 
-def count_pairs(train: DataFrame, book, text: str, limit: int = PAIR_WEIGHTS) -> Pairs:
-    """All pairs of a word and a word of a group after it are counted; the commonest are kept, down to the count at which no
-    more than ``limit`` are."""
+def _starts(x: np.ndarray) -> np.ndarray:
+    """Where runs of equal numbers begin."""
+    return np.flatnonzero(np.concatenate([[True], x[1:] != x[:-1]])) if len(x) else np.zeros(0, np.int64)
+
+
+def _pair_table(batches):
+    """From counts sorted by pair, a context's pairs next to each other: rows (key, n, kinds, total) of every pair, the last two of its
+    context. Holds one context's kinds of pairs, at most the dictionary, and a batch."""
+    k, n = np.zeros(0, np.int64), np.zeros(0, np.int64)
+
+    def rows(k, n):
+        at = _starts(k >> 18)
+        kinds = np.diff(np.append(at, len(k)))
+        cols = k, n, np.repeat(kinds, kinds), np.repeat(np.add.reduceat(n, at) + kinds, kinds)
+        return pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names=["key", "n", "kinds", "total"])
+
+    for b in batches:
+        k, n = (np.concatenate([a, b.column(c).to_numpy()]) for c, a in enumerate((k, n)))
+        if not len(k):
+            continue
+        at = _starts(k)
+        k, n = k[at], np.add.reduceat(n, at)
+        cut = int(np.searchsorted(k, (k[-1] >> 18) << 18))
+        if cut:
+            yield rows(k[:cut], n[:cut])
+        k, n = k[cut:], n[cut:]
+    if len(k):
+        yield rows(k, n)
+
+
+def _weights_of_rest(batches, book: Dictionary, pairs: Pairs):
+    """From rows (s, v) sorted by s, whose bits are context, whether it is asked for, and word: counted pairs with their counts, then
+    those asked for with their rows, the sums of the logarithms that these lack by row. Holds one context's kinds of pairs and a batch."""
+    k, n = np.zeros(0, np.int64), np.zeros(0, np.int64)
+    for b in batches:
+        s, v = b.column(0).to_numpy(), b.column(1).to_numpy()
+        if not len(s):
+            continue
+        asked = (s >> 18) & 1 == 1
+        k, n = np.concatenate([k, s[~asked]]), np.concatenate([n, v[~asked]])
+        x, want, row = k >> 19, s[asked], v[asked]
+        at = _starts(x)
+        if len(at) and len(want):
+            kinds = np.diff(np.append(at, len(k)))
+            total = np.add.reduceat(n, at) + kinds
+            z = np.minimum(np.searchsorted(x[at], want >> 19), len(at) - 1)
+            on = np.flatnonzero(x[at][z] == want >> 19)  # after a word that no pair of this group has, nothing is added
+            want, row, z = want[on], row[on], z[on]
+            pair = want ^ (1 << 18)
+            j = np.minimum(np.searchsorted(k, pair), len(k) - 1)
+            place = np.minimum(want & LAST, len(book.word) - 1)
+            u = (book.count[place] + 1.0) / book.mass[book.output[place]]
+            log = np.where(k[j] == pair, np.log10(1 + n[j] / (kinds[z] * u)), 0.0)
+            log += np.where(pairs.before((want >> 19) & ((1 << 45) - 1)) < 0, np.log10(kinds[z] / total[z]), 0.0)
+            row, back = np.unique(row, return_inverse=True)
+            yield pa.RecordBatch.from_arrays([pa.array(row), pa.array(np.bincount(back, log, minlength=len(row)).astype(float))], names=["r", "mv"])
+        k, n = k[x == s[-1] >> 19], n[x == s[-1] >> 19]
+
+
+def count_pairs(train: DataFrame, book, text: str, limit: int = PAIR_WEIGHTS, portion: int = 1 << 22) -> Pairs:
+    """All pairs of a word and a word of a group after it are counted and have their weights. The commonest are held by every task, down
+    to the count at which no more than ``limit`` are; all others stay in a table that scores are joined with."""
 
     def run(batches):
-        book_ = book.value
+        book_, keys, size = book.value, [], 0
+
+        def counted():
+            k, n = np.unique(np.concatenate(keys), return_counts=True)
+            return pa.RecordBatch.from_arrays([pa.array(k), pa.array(n.astype(np.int64))], names=["k", "n"])
+
         for b in batches:
             for _, h, count in tokens(b.column(0)):
                 place = book_.find(h)
                 ids = book_.outputs(place)
-                key = pair_keys(h, count, place, ids)[(place >= 0) & (ids < GROUPS)]
-                k, n = np.unique(key, return_counts=True)
-                yield pa.RecordBatch.from_arrays([pa.array(k), pa.array(n.astype(np.int64))], names=["k", "n"])
-
-    part = arrow_map(train.select(F.col(text).alias("t")), run, "k long, n long")
-    table = settle(part.groupBy("k").agg(F.sum("n").alias("n")))
+                keys.append(pair_keys(h, count, place, ids)[(place >= 0) & (ids < GROUPS)])
+                size += len(keys[-1])
+                if size >= portion:
+                    yield counted()
+                    keys, size = [], 0
+        if size:
+            yield counted()
+
+    part = arrow_map(train.select(F.col(text).alias("t")), run, "k long, n long").repartition(F.shiftright("k", 18)).sortWithinPartitions("k")
+    pairs = settle(arrow_map(part, _pair_table, "key long, n long, kinds long, total long"))
+    del part
+    release(train.sparkSession)
     level = F.when(F.col("n") < 64, F.col("n")).otherwise(F.pow(F.lit(2.0), F.floor(F.log2("n"))).cast("long"))
     least, room = 1, limit
-    for m, n in sorted(((r["m"], r["count"]) for r in table.groupBy(level.alias("m")).count().collect()), reverse=True):
+    for m, n in sorted(((r["m"], r["count"]) for r in pairs.groupBy(level.alias("m")).count().collect()), reverse=True):
         room -= n
         if room < 0:
             least = 2 * m if m >= 64 else m + 1
             break
-    kept = table.where(F.col("n") >= least).toArrow()
-    context = table.groupBy(F.shiftright("k", 18).alias("x")).agg(F.sum("n").alias("n"), F.count("*").alias("kinds"), F.sum(F.when(F.col("n") >= least, F.col("n"))).alias("kept"))
-    context = context.where("kept is not null").toArrow()
-    x, n, kinds, held = (context.column(c).to_numpy() for c in ("x", "n", "kinds", "kept"))
-    return Pairs(kept.column("k").to_numpy(), kept.column("n").to_numpy(), x, (n + kinds).astype(np.float64), held.astype(np.float64))
+    held = pairs.where(F.col("n") >= least).select("key", "n", "kinds", "total").toArrow()
+    key, n, kinds, total = (held.column(c).to_numpy() for c in range(4))
+    context, at = np.unique(key >> 18, return_index=True)
+    return Pairs(key, n, context, total[at].astype(np.float64), (total - kinds)[at].astype(np.float64), pairs.select("key", "n") if room < 0 else None)
 
 
 def train_model(train: DataFrame, counts: Counts, text: str, doc_id: str, rounds: int = ROUNDS, rate: float = 0.5, batch: int = BATCH) -> tuple[Model, Pairs]:
@@ -421,7 +525,7 @@ def train_model(train: DataFrame, counts: Counts, text: str, doc_id: str, rounds
 
 def log_probabilities(h: np.ndarray, count: np.ndarray, book: Dictionary, model: Model, pairs: Pairs) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(log10 probability, training count, whether that is known here) of every token; a token whose count is not known yet lacks
-    the logarithm of its count plus one."""
+    the logarithm of its count plus one, and one whose pair is not held those that ``Pairs.rest`` has for it."""
     place = book.find(h)
     ids = book.outputs(place)
     c = book.counts(place)
@@ -442,27 +546,38 @@ def score_texts(docs: DataFrame, counts: Counts, model: Model, pairs: Pairs, tex
     """
     spark = docs.sparkSession
     tables = spark.sparkContext.broadcast((counts.book, model, pairs))
-    frame = docs.select(F.col(doc_id).alias("d"), F.xxhash64(F.coalesce(F.col(text), F.lit(""))).alias("th"), F.col(held).alias("held"), F.col(text).alias("t"))
+    frame = docs.select(F.col(doc_id).alias("d"), F.col(held).alias("held"), F.col(text).alias("t"))
+    frame = frame.withColumn("r", F.xxhash64("d", F.coalesce("t", F.lit("")), F.col("d").isNull()))
     kind = dict(frame.dtypes)["d"]
+    more_words, more_pairs = not counts.book.full, pairs.more
 
-    def rare(batches):
+    def rarer_words(batches):
+        """(row, word) of every token beyond the dictionary."""
         book = tables.value[0]
         for b in batches:
-            for i, h, count in tokens(b.column(2)):
-                told = (book.find(h) >= 0) | book.full
-                row = np.repeat(np.arange(len(count)), count)[~told]
-                w = h[~told]
-                order = np.lexsort((w, row))
-                w, row = w[order], row[order]
-                at = np.flatnonzero(np.concatenate([[True], (w[1:] != w[:-1]) | (row[1:] != row[:-1])])) if len(w) else np.zeros(0, np.int64)
-                pick = pa.array(row[at] + i)
-                yield pa.RecordBatch.from_arrays([b.column(0).take(pick), b.column(1).take(pick), pa.array(w[at].view(np.int64)), pa.array(np.diff(np.append(at, len(w))).astype(np.int32))], names=["d", "th", "w", "k"])
+            for i, h, count in tokens(b.column(1)):
+                rare = book.find(h) < 0
+                row = np.repeat(np.arange(i, i + len(count)), count)[rare]
+                yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(row)), pa.array(h[rare].view(np.int64))], names=["r", "w"])
+
+    def rarer_pairs(batches):
+        """(key as asked for, row) of every token whose weight is not held."""
+        book, _, pairs = tables.value
+        for b in batches:
+            for i, h, count in tokens(b.column(1)):
+                place = book.find(h)
+                ids = book.outputs(place)
+                key = pair_keys(h, count, place, ids)
+                at = np.flatnonzero(ids < GROUPS)
+                at = at[pairs.missing(key[at])]
+                row = np.repeat(np.arange(i, i + len(count)), count)[at]
+                yield pa.RecordBatch.from_arrays([pa.array(((key[at] >> 18) << 19) | (1 << 18) | (key[at] & LAST)), b.column(0).take(pa.array(row))], names=["s", "v"])
 
     def head(batches):
         book, model, pairs = tables.value
         for b in batches:
             n, known, logs, own = [], [], [], []
-            for _, h, count in tokens(b.column(3)):
+            for _, h, count in tokens(b.column(2)):
                 lp, c, _ = log_probabilities(h, count, book, model, pairs)
                 at = np.cumsum(count) - count
                 n.append(count)
@@ -470,27 +585,35 @@ def score_texts(docs: DataFrame, counts: Counts, model: Model, pairs: Pairs, tex
                 logs.append(np.add.reduceat(np.log10(c + 1.0), at))
                 own.append(np.add.reduceat(lp, at))
             cols = [np.concatenate(x) if x else np.zeros(0) for x in (n, known, logs, own)]
-            yield pa.RecordBatch.from_arrays([*b.columns[:3], *[pa.array(x.astype(t)) for x, t in zip(cols, (np.int64, np.int64, float, float))]], names=["d", "th", "held", "n", "known", "logs", "own"])
-
-    top = arrow_map(frame, head, f"d {kind}, th long, held boolean, n long, known long, logs double, own double")
-    words = arrow_map(frame.select("d", "th", "t"), rare, f"d {kind}, th long, w long, k int")
-    found = words.join(counts.table.hint("merge"), "w")
-    more = found.groupBy("d", "th").agg(F.sum("k").alias("mk"), F.sum(F.col("k") * F.log10(F.col("c") + 1.0)).alias("ml")).select(F.col("d").alias("d2"), F.col("th").alias("th2"), "mk", "ml")
-    times = frame.groupBy("d", "th").agg(F.count("*").alias("times")).where("times > 1").select(F.col("d").alias("d3"), F.col("th").alias("th3"), "times")
-    same = lambda k: F.col("d").eqNullSafe(F.col(f"d{k}")) & (F.col("th") == F.col(f"th{k}"))
-    all_ = top.join(more.hint("merge"), same(2), "left")
-    if not counts.book.full:  # only then can a count be missing, and only then do repeated rows share what was found
-        all_ = all_.join(times.hint("merge"), same(3), "left")
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(3), *[pa.array(x.astype(t)) for x, t in zip(cols, (np.int64, np.int64, float, float))]], names=["d", "held", "r", "n", "known", "logs", "own"])
+
+    all_ = arrow_map(frame, head, f"d {kind}, held boolean, r long, n long, known long, logs double, own double")
+    found = []
+    if more_words:
+        words = arrow_map(frame.select("r", "t"), rarer_words, "r long, w long").join(counts.table.hint("merge"), "w")
+        log = F.log10(F.col("c") + 1.0)
+        found.append(words.select("r", F.lit(1).alias("mk"), log.alias("ml"), log.alias("mv")))
+    if more_pairs:
+        counted = pairs.rest.select((F.shiftleft(F.shiftright("key", 18), 19).bitwiseOR(F.col("key").bitwiseAND(F.lit(LAST)))).alias("s"), F.col("n").alias("v"))
+        both = counted.union(arrow_map(frame.select("r", "t"), rarer_pairs, "s long, v long")).repartition(F.shiftright("s", 19)).sortWithinPartitions("s")
+        logs = settle(arrow_map(both, lambda it: _weights_of_rest(it, tables.value[0], tables.value[2]), "r long, mv double").groupBy("r").agg(F.sum("mv").alias("mv")))
+        del counted, both
+        release(spark)
+        found.append(logs.select("r", F.lit(0).alias("mk"), F.lit(0.0).alias("ml"), "mv"))
+    if found:
+        sums = (found[0] if len(found) == 1 else found[0].union(found[1])).groupBy("r").agg(*[F.sum(c).alias(c) for c in ("mk", "ml", "mv")])
+        times = frame.groupBy("r").agg(F.count("*").alias("times")).where("times > 1")  # repeated rows share what was found
+        all_ = all_.join(sums.hint("merge"), "r", "left").join(times.hint("merge"), "r", "left")
     else:
-        all_ = all_.withColumn("times", F.lit(1))
+        all_ = all_.select("*", *[F.lit(None).cast("double").alias(c) for c in ("mk", "ml", "mv", "times")])
     share = F.coalesce("times", F.lit(1))
-    extra = F.coalesce(F.col("ml") / share, F.lit(0.0))
+    extra = lambda c: F.coalesce(F.col(c) / share, F.lit(0.0))
     return all_.select(
         F.col("d").alias(doc_id), F.col("held").alias("held_out"), F.col("n").alias("n_tokens"),
-        (F.col("known") + F.coalesce((F.col("mk") / share).cast("long"), F.lit(0))).cast("long").alias("n_known"),
+        (F.col("known") + extra("mk").cast("long")).cast("long").alias("n_known"),
         F.lit(counts.n).cast("long").alias("train_tokens"),
-        (F.col("logs") + extra - F.col("n") * float(np.log10(counts.n + counts.v + 1))).alias("base_score"),
-        (F.col("own") + extra).alias("score"),
+        (F.col("logs") + extra("ml") - F.col("n") * float(np.log10(counts.n + counts.v + 1))).alias("base_score"),
+        (F.col("own") + extra("mv")).alias("score"),
     )
 
 

@@ -79,6 +79,24 @@ def runs_of_rows(offsets: np.ndarray, budget: int, most: int = 1 << 30):
         i = j
 
 
+#: Codes of bytes by separator set, 0 for separators, and the powers of the inverse multiplier.
+_codes: dict[bytes, np.ndarray] = {}
+_INVERSE = np.uint64(pow(0x9E3779B97F4A7C15, -1, 1 << 64))
+_inverses = np.ones(1, np.uint64)
+#: Bytes that are hashed by powers of their place in the data; more go by their place in the word.
+NEAR = 1 << 22
+
+
+def _unpowers(n: int) -> np.ndarray:
+    """The first n powers of the multiplier's inverse modulo 2**64."""
+    global _inverses
+    if len(_inverses) < n:
+        p = np.full(max(n, 2 * len(_inverses), 4096), _INVERSE)
+        p[0] = 1
+        _inverses = np.multiply.accumulate(p)
+    return _inverses[:n]
+
+
 def words(data: np.ndarray, offsets: np.ndarray, keep: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(64-bit hashes of lower-cased words in text order, number of words of each row)."""
     rows = len(offsets) - 1
@@ -87,16 +105,21 @@ def words(data: np.ndarray, offsets: np.ndarray, keep: np.ndarray) -> tuple[np.n
     inside = keep[data]
     first = np.zeros(len(data) + 1, bool)
     first[offsets] = True
-    first = first[:-1]
     start = inside.copy()
-    start[1:] &= ~inside[:-1] | first[1:]
+    start[1:] &= ~inside[:-1] | first[1:-1]
     begin = np.flatnonzero(start)
     count = np.diff(np.searchsorted(begin, offsets))
     if not len(begin):
         return np.zeros(0, np.uint64), count
-    at = np.flatnonzero(inside)
-    head = np.searchsorted(at, begin)
-    size = np.diff(np.append(head, len(at)))
-    within = np.arange(len(at)) - np.repeat(head, size)
-    term = BYTE_CODE[LOWER[data[at]]] * powers(int(size.max()))[within]
-    return mix64(np.add.reduceat(term, head) + size.astype(np.uint64)), count
+    if len(data) > NEAR:
+        at = np.flatnonzero(inside)
+        head = np.searchsorted(at, begin)
+        size = np.diff(np.append(head, len(at)))
+        within = np.arange(len(at)) - np.repeat(head, size)
+        total = np.add.reduceat(BYTE_CODE[LOWER[data[at]]] * powers(int(size.max()))[within], head)
+    else:
+        inside[:-1] &= ~inside[1:] | first[1:-1]  # the last byte of each word
+        size = np.flatnonzero(inside) - begin + 1
+        code = _codes.setdefault(keep.tobytes(), np.where(keep, BYTE_CODE[LOWER], np.uint64(0)))
+        total = np.add.reduceat(code[data] * powers(len(data)), begin) * _unpowers(len(data))[begin]
+    return mix64(total + size.astype(np.uint64)), count

@@ -281,6 +281,42 @@ def test_lm_keeps_the_commonest_pairs(spark):
     assert (every.kept < every.total).all() and set(few.context) <= set(every.context)
 
 
+def test_lm_scores_do_not_depend_on_the_pairs_held(spark):
+    """Pairs and contexts beyond the limit get their weights by the join, in repeated rows too."""
+    import numpy as np
+    import pyarrow as pa
+
+    few = [(i, " ".join(f"w{j} v{j % (50 * i + 1)}" for j in range(700) if j % (1 + i // 2) == 0)) for i in range(10)]
+    counts, model, every = lm_parts(spark, few)
+    table = spark.createDataFrame(few, "doc_id long, text string").where("crc32(cast(doc_id as string)) % 7 <> 2")
+    held = spark.sparkContext.broadcast(counts.book)
+    lm = spark.createDataFrame([(i, t, False) for i, t in [*few, few[3], (None, few[5][1])]], "doc_id long, text string, held boolean").repartition(3)
+    score = lambda p: sorted((r.doc_id is None, r.doc_id, r.n_known, round(r.score, 6)) for r in maxent.score_texts(lm, counts, model, p, "text", "doc_id", "held").collect())
+    want = score(every)
+    for limit in (0, 400):
+        some = maxent.count_pairs(table, held, "text", limit=limit, portion=500)
+        assert len(some.key) <= limit < len(every.key) and score(some) == want
+    toks = {i: [int(x) for x in next(maxent.tokens(pa.array([t])))[1]] for i, t in few}
+    p = lm_brute(counts, model, every, [toks[i] for i in toks if not brute.held(i, 7, 2)])
+    got = {r[1]: r[3] for r in want}
+    for i in (4, 9):
+        brute_score = sum(np.log10(p(a, b, w)) for a, b, w in zip([0, 0, *toks[i]], [0, *toks[i]], toks[i]))
+        assert abs(got[i] - brute_score) < 1e-4 * abs(brute_score)
+
+
+def test_word_hashes_do_not_depend_on_the_length(monkeypatch):
+    import numpy as np
+    import pyarrow as pa
+
+    from fadedhh.llm import textbytes as tb
+
+    data, offsets = tb.raw(pa.array(["Ab cd", "", None, "x", "yé  Z\n", " ", "abc" * 90]))
+    near = tb.words(data, offsets, tb.SPACED)
+    monkeypatch.setattr(tb, "NEAR", 0)
+    far = tb.words(data, offsets, tb.SPACED)
+    assert (near[0] == far[0]).all() and near[1].tolist() == far[1].tolist() == [2, 0, 0, 1, 2, 0, 1] and len(np.unique(near[0])) == 6
+
+
 def test_lm_counts_beyond_the_dictionary(spark, docs, rows, monkeypatch):
     """Words that the dictionary does not hold come by the join."""
     monkeypatch.setattr(maxent, "DICTIONARY", 5)
