@@ -89,21 +89,35 @@ def features(one: np.ndarray, two: np.ndarray) -> np.ndarray:
     return np.stack([one, OUTPUTS + 1 + two, 2 * (OUTPUTS + 1) + pair, np.full(len(one), FEATURES - 1)])
 
 
-def _log_softmax(z: np.ndarray) -> np.ndarray:
-    z = z - z.max(axis=1, keepdims=True)
-    z -= np.log(np.exp(z).sum(axis=1, keepdims=True))
-    return z
+def _softmax(w: np.ndarray, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(z, exp(z), its sums) with z the sum of the weight rows named by a column of ``rows``, less its maximum where it would leave the
+    range of floats."""
+    z = w.take(rows[0], axis=0)
+    for r in rows[1:]:
+        z += w.take(r, axis=0)
+    one = np.ones(z.shape[1], np.float32)
+    with np.errstate(over="ignore"):
+        e = np.exp(z)
+        total = e @ one
+    if not (np.isfinite(total).all() and (total > 1e-20).all()):
+        z -= z.max(axis=1, keepdims=True)
+        e = np.exp(z)
+        total = e @ one
+    return z, e, total
 
 
 def _climb(w: np.ndarray, squares: np.ndarray, rows: np.ndarray, g: np.ndarray, rate: float) -> None:
     """Adds the gradient ``g`` to the weight rows named by each line of ``rows``, with adaptive steps."""
-    for r in rows:
+    for r in rows.astype(np.uint16):  # there are fewer rows than 2 ** 16, and short numbers are sorted by radix
         order = np.argsort(r, kind="stable")
-        at = np.flatnonzero(np.concatenate([[True], np.diff(r[order]) != 0]))
-        f = r[order][at]
-        total = np.add.reduceat(g[order], at, axis=0)
-        squares[f] += total * total
-        w[f] += rate * total / (np.sqrt(squares[f]) + 1e-6)
+        f = r[order]
+        at = _starts(f)
+        f = f[at]
+        total = np.add.reduceat(g.take(order, axis=0).view(np.complex64), at, axis=0).view(np.float32)  # two columns at once
+        s = squares.take(f, axis=0)
+        s += total * total
+        squares[f] = s
+        w[f] += rate * total / (np.sqrt(s) + 1e-6)
 
 
 class Model:
@@ -124,14 +138,6 @@ class Model:
         m.of_member[-CLASSES:] = np.log(c).reshape(CLASSES, MEMBERS)
         return m
 
-    def classes(self, rows: np.ndarray) -> np.ndarray:
-        w = self.of_class
-        return _log_softmax(w[rows[0]] + w[rows[1]] + w[rows[2]] + w[rows[3]])
-
-    def members(self, rows: np.ndarray) -> np.ndarray:
-        w = self.of_member
-        return _log_softmax(w[rows[0]] + w[rows[1]] + w[rows[2]] + w[rows[3]])
-
     @staticmethod
     def grouped(ids: np.ndarray, one: np.ndarray, two: np.ndarray) -> tuple:
         """(feature rows per context, context of each (context, class), class of it, its member rows, place of each token)."""
@@ -150,7 +156,10 @@ class Model:
         for lo in range(0, len(ids), step):
             part = slice(lo, lo + step)
             rows, own, cls, deep, place = self.grouped(ids[part], one[part], two[part])
-            out[part] = self.classes(rows)[own, cls][place].astype(float) + self.members(deep)[place, ids[part] % MEMBERS]
+            z, _, total = _softmax(self.of_class, rows)
+            out[part] = (z[own, cls] - np.log(total)[own])[place]
+            z, _, total = _softmax(self.of_member, deep)
+            out[part] += z.reshape(-1).take(place * MEMBERS + ids[part] % MEMBERS) - np.log(total)[place]
         return out
 
     def update(self, ids: np.ndarray, one: np.ndarray, two: np.ndarray, squares: Model, rate: float) -> None:
@@ -160,8 +169,10 @@ class Model:
         total = seen.sum(axis=1)
         by_class = np.zeros((rows.shape[1], CLASSES), np.float32)
         by_class[own, cls] = total
-        top = (by_class - by_class.sum(axis=1, keepdims=True) * np.exp(self.classes(rows))) / len(ids)
-        low = (seen - total[:, None] * np.exp(self.members(deep))) / len(ids)
+        _, top, norm = _softmax(self.of_class, rows)
+        top = (by_class - (by_class.sum(axis=1) / norm)[:, None] * top) / len(ids)
+        _, low, norm = _softmax(self.of_member, deep)
+        low = (seen - (total / norm)[:, None] * low) / len(ids)
         _climb(self.of_class, squares.of_class, rows, top, rate)
         _climb(self.of_member, squares.of_member, deep, low, rate)
 
@@ -207,21 +218,37 @@ def _average(batches):
 
 
 class Index:
-    """Places of 64-bit keys in an array of distinct ones, found by the leading bits of the mixed key."""
+    """Places of 64-bit keys in an array of distinct ones, found by the leading bits of the mixed key. Only the keys are pickled, as every
+    executor has a broadcast on its disk; the rest is made where it is first used, without sorting if the keys are in the order of ``mixed``."""
 
     def __init__(self, keys: np.ndarray):
-        mixed = tb.mix64(keys.view(np.uint64))
-        self.place = np.argsort(mixed).astype(np.int32)
-        self.mixed = mixed[self.place]
-        self.shift = np.uint64(64 - min(22, max(1, len(keys).bit_length() + 1)))
-        size = np.bincount((self.mixed >> self.shift).astype(np.int64), minlength=1 << (64 - int(self.shift)))
-        self.first = np.concatenate([np.zeros(1, np.int32), np.cumsum(size).astype(np.int32)])
+        self.keys, self.mixed = keys, None
+
+    def __reduce__(self):
+        return Index, (self.keys,)
+
+    @staticmethod
+    def order(keys: np.ndarray) -> np.ndarray:
+        return np.argsort(tb.mix64(keys.view(np.uint64)))
+
+    def _make(self) -> None:
+        mixed, self.place = tb.mix64(self.keys.view(np.uint64)), None
+        if (mixed[1:] < mixed[:-1]).any():
+            self.place = np.argsort(mixed).astype(np.int32)
+            mixed = mixed[self.place]
+        self.shift = np.uint64(64 - min(22, max(1, len(mixed).bit_length() + 1)))
+        size = np.bincount((mixed >> self.shift).view(np.int64), minlength=1 << (64 - int(self.shift)))
+        self.first = np.zeros(len(size) + 1, np.int32)
+        np.cumsum(size, out=self.first[1:])
+        self.mixed = mixed
 
     def __call__(self, keys: np.ndarray) -> np.ndarray:
         """Places, -1 for keys that are not in the array."""
         out = np.full(len(keys), -1)
-        if not len(self.mixed):
+        if not len(self.keys):
             return out
+        if self.mixed is None:
+            self._make()
         mixed = tb.mix64(keys.view(np.uint64))
         lead = (mixed >> self.shift).astype(np.int64)
         at, end = self.first[lead], self.first[lead + 1]
@@ -229,7 +256,7 @@ class Index:
         at, end, mixed = at[left], end[left], mixed[left]
         while len(left):
             hit = self.mixed[at] == mixed
-            out[left[hit]] = self.place[at[hit]]
+            out[left[hit]] = at[hit] if self.place is None else self.place[at[hit]]
             on = np.flatnonzero(~hit & (at + 1 < end))
             left, at, end, mixed = left[on], at[on] + 1, end[on], mixed[on]
         return out
@@ -247,6 +274,9 @@ class Dictionary:
         self.output = np.zeros(len(w), np.int16)
         self.fill(np.full(len(w), -1))
 
+    def __getstate__(self) -> dict:
+        return {**self.__dict__, "rank": None}  # of use on the driver only
+
     def fill(self, cluster: np.ndarray) -> None:
         """Sets outputs and the mass of every group, the unseen included in group 0, from the words' clusters."""
         step = np.minimum(np.frexp(self.count.astype(float))[1] - 1, STEPS - 1)
@@ -282,7 +312,7 @@ class Pairs:
     is the table of all pairs (key, n); without one there are no others."""
 
     def __init__(self, key: np.ndarray, n: np.ndarray, context: np.ndarray, total: np.ndarray, kept: np.ndarray, rest: DataFrame | None = None):
-        order, other = np.argsort(key), np.argsort(context)
+        order, other = Index.order(key), Index.order(context)
         self.key, self.n = key[order], n[order].astype(np.int32)
         self.context, self.total, self.kept = context[other], total[other], kept[other]
         self.pair, self.before = Index(self.key), Index(self.context)
@@ -367,7 +397,7 @@ def cluster_words(train: DataFrame, book: Dictionary, text: str) -> np.ndarray:
     context = train.sparkSession.sparkContext
     top = book.rank[: CENTRES + 1]
     top = top[book.word[top] != END][:CENTRES]
-    number = np.full(len(book.word) + 1, -1)
+    number = np.full(len(book.word) + 1, -1, np.int16)
     number[top] = np.arange(len(top))
     held = context.broadcast((book.index, number))
 
@@ -398,6 +428,7 @@ def cluster_words(train: DataFrame, book: Dictionary, text: str) -> np.ndarray:
                 np.add.at(total, place[x][ok] * CLUSTERS + c[y][ok], 1)
 
     votes = _summed(train, text, size, vote).reshape(-1, CLUSTERS)
+    held.destroy()
     share = np.bincount(own, book.count[top], minlength=CLUSTERS) / max(1, book.count[top].sum())
     best = (votes / np.maximum(votes.sum(axis=1, keepdims=True), 1) / np.sqrt(share + 1e-3)).argmax(axis=1)
     return np.where(votes.sum(axis=1) > 0, best, -1)
@@ -516,11 +547,14 @@ def train_model(train: DataFrame, counts: Counts, text: str, doc_id: str, rounds
         mine = train.where(F.pmod(F.xxhash64(doc_id), F.lit(rounds)) == r).select(F.col(text).alias("t"))
         got = arrow_map(mine, lambda it, w=w: _train(it, w.value, held.value, rate, batch), "slice int, n long, part binary")
         got = arrow_map(got.repartition(parts, "slice"), _average, "slice int, n long, part binary").toArrow()
+        w.destroy()
         found = dict(zip(got.column("slice").to_pylist(), got.column("part").to_pylist()))
         if found:
             change = np.concatenate([np.frombuffer(found[s], np.float32) for s in range(SLICES)])
             model = Model(model.w + change)
-    return model, count_pairs(train, held, text)
+    pairs = count_pairs(train, held, text)
+    held.destroy()
+    return model, pairs
 
 
 def log_probabilities(h: np.ndarray, count: np.ndarray, book: Dictionary, model: Model, pairs: Pairs) -> tuple[np.ndarray, np.ndarray, np.ndarray]:

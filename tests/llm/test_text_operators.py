@@ -304,6 +304,51 @@ def test_lm_scores_do_not_depend_on_the_pairs_held(spark):
         assert abs(got[i] - brute_score) < 1e-4 * abs(brute_score)
 
 
+def test_lm_broadcasts_hold_keys_and_counts_alone():
+    """Every executor has its broadcasts on disk: 18 bytes a word, 12 a pair and 24 a context, and what finds them is made there."""
+    import pickle
+
+    import numpy as np
+
+    rng = np.random.default_rng(3)
+    key = np.unique(rng.integers(0, 1 << 62, 60000))
+    n = np.arange(1, len(key) + 1)
+    book = maxent.Dictionary(key.view(np.uint64), n[::-1].copy(), True, 1, 1)
+    before, at = np.unique(key >> 18, return_index=True)
+    pairs = maxent.Pairs(key, n, before, n[at] + 1.0, n[at] + 0.0)
+    ask = np.concatenate([key[::7], key[::5] + 1, [0, -1]])
+    u = np.full(len(ask), 0.25)
+    want = book.find(ask.view(np.uint64)), pairs(ask, u), pairs.missing(ask)
+    assert (want[0][: len(key[::7])] == np.arange(len(key))[::7]).all() and (want[0][-2:] == -1).all()
+    for x, least in ((book, 18 * len(key)), (pairs, 12 * len(key) + 24 * len(before))):
+        assert len(pickle.dumps(x)) < 1.05 * least + 10000
+    book, pairs = pickle.loads(pickle.dumps((book, pairs)))
+    assert all((a == b).all() for a, b in zip(want, (book.find(ask.view(np.uint64)), pairs(ask, u), pairs.missing(ask))))
+
+
+def test_lm_lets_its_broadcasts_go(spark, docs, monkeypatch):
+    """Of all that training broadcasts, nothing stays on disk; the tables of the scores do."""
+    import os
+
+    made, plain = [], type(spark.sparkContext).broadcast
+    monkeypatch.setattr(type(spark.sparkContext), "broadcast", lambda self, x: made.append(plain(self, x)) or made[-1])
+    out = maxent.lm_scores(docs)
+    assert len(made) > 3 and [os.path.exists(b._path) for b in made] == [False] * (len(made) - 1) + [True]
+    assert out.count() == docs.count()
+
+
+def test_lm_softmax_stays_in_range():
+    """Lines far from 0 give the same probabilities as those near it."""
+    import numpy as np
+
+    w = np.random.default_rng(5).normal(0, 3, (4, 32)).astype(np.float32)
+    rows = np.zeros((4, 2), np.int64) + np.arange(4)[:, None]
+    z, e, total = maxent._softmax(w, rows)
+    for far in (300, -300):
+        fz, fe, ftotal = maxent._softmax(w + np.float32(far) * np.eye(4, dtype=np.float32)[:, :1], rows)
+        assert np.allclose(fe / ftotal[:, None], e / total[:, None], rtol=1e-3) and np.allclose(np.exp(fz) / ftotal[:, None], e / total[:, None], rtol=1e-3)
+
+
 def test_word_hashes_do_not_depend_on_the_length(monkeypatch):
     import numpy as np
     import pyarrow as pa
